@@ -17,14 +17,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import BLANKS, read, stored
+from .common import read, stored
 
 ALPHA = 0.05
 DELTA = 0.05
 MIN_WORDS = 50
 REPEAT_PERCENT = 50
-SYMBOLS = "#*$%&|<>"
-CAPITALS = "".join(chr(c) for c in [*range(0x41, 0x5B), *range(0xC0, 0xD7), *range(0xD8, 0xDF)])
+CAPITALS = "A-ZÀ-ÖØ-Þ"
+BLANK = r"\x20\x09-\x0D"
 #: Rule -> measure over the base counts; a share or a rate.
 MEASURES = {
     "symbols": "n_symbols / n_words",
@@ -41,8 +41,9 @@ MAX_BROADCAST_STRATA = 10_000
 STEP = "_q_"
 
 
-def _removed(text: Column, chars: str) -> Column:
-    return F.length(text) - F.length(F.translate(text, chars, ""))
+def _removed(text: Column, kind: str) -> Column:
+    """How many characters of the class `kind` the text has."""
+    return F.length(text) - F.length(F.regexp_replace(text, f"[{kind}]+", ""))
 
 
 def _let(value: Column, body) -> Column:
@@ -68,13 +69,13 @@ def with_counts(docs: DataFrame) -> DataFrame:
 
     def counts(t: Column) -> Column:
         parts = F.struct(
-            F.filter(F.split(F.translate(t, BLANKS, " " * len(BLANKS)), " "), lambda x: x != "").alias("w"),
-            F.filter(F.split(t, "\n"), lambda x: F.translate(x, BLANKS, "") != "").alias("l"),
+            F.filter(F.split(t, f"[{BLANK}]+"), lambda x: x != "").alias("w"),
+            F.filter(F.split(t, "\n"), lambda x: x.rlike(f"[^{BLANK}]")).alias("l"),
         )
         return _let(parts, lambda p: F.struct(
             F.size(p["w"]).cast("long").alias("n_words"),
-            F.length(F.translate(t, BLANKS, "")).cast("long").alias("word_chars"),
-            _removed(t, SYMBOLS).cast("long").alias("n_symbols"),
+            F.length(F.array_join(p["w"], "")).cast("long").alias("word_chars"),
+            _removed(t, "#*$%\\&|<>").cast("long").alias("n_symbols"),
             _removed(t, CAPITALS).cast("long").alias("n_capitals"),
             _removed(t, "!").cast("long").alias("n_shouts"),
             F.size(p["l"]).cast("long").alias("n_lines"),

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from .common import map_rows, read
 
-TABLE = 150_000
+TABLE = 400_000
 MARK = "▁"
 CHUNK = re.compile(" [ ]*[^ ]*")
 DIGEST = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -41,7 +41,7 @@ def chunks(text: str) -> list[str]:
 
 
 class ChunkTable:
-    """chunk -> (ids as text, number of ids, decoded text)."""
+    """chunk -> ids as text; `odd` holds the chunks that decode to something else than themselves."""
 
     def __init__(self, model: str, size: int = TABLE):
         import sentencepiece
@@ -50,22 +50,28 @@ class ChunkTable:
         m = self.model
         if any(re.search(f"[^{MARK}]{MARK}", m.id_to_piece(i)) for i in range(m.vocab_size())):
             raise ValueError("a piece crosses a word marker: the texts can't be segmented by marked words")
-        self.known: dict[str, tuple[str, int, str]] = {}
+        self.known: dict[str, str] = {}
+        self.odd: dict[str, str] = {}
 
     def learn(self, texts: list[list[str]]) -> None:
-        new = {c for t in texts for c in t}.difference(self.known)
+        met = set().union(*texts)
+        new = met.difference(self.known)
         if len(self.known) + len(new) > self.size:
-            self.known = {}
-            new = {c for t in texts for c in t}
+            self.known, self.odd, new = {}, {}, met
         new.discard("")
-        self.known[""] = (str(self.model.piece_to_id(MARK)), 1, "")
+        self.known[""] = str(self.model.piece_to_id(MARK))
         new = list(new)
-        for c, ids in zip(new, self.model.encode(new, num_threads=1)):
-            self.known[c] = (",".join(map(str, ids)), len(ids), self.model.decode(ids))
+        if not new:
+            return
+        ids = self.model.encode(new, num_threads=1)
+        self.known.update(zip(new, [",".join(map(str, i)) for i in ids]))
+        self.odd.update((c, d) for c, d in zip(new, self.model.decode(ids, num_threads=1)) if c != d)
 
     def encode(self, text_chunks: list[str]) -> tuple[str, int, str]:
-        found = [self.known[c] for c in text_chunks]
-        return ",".join([x[0] for x in found]), sum([x[1] for x in found]), " ".join([x[2] for x in found])
+        ids = ",".join(map(self.known.__getitem__, text_chunks))
+        odd = self.odd
+        decoded = " ".join([odd.get(c, c) for c in text_chunks] if odd else text_chunks)
+        return ids, ids.count(",") + 1 if ids else 0, decoded
 
 
 def coded(docs: DataFrame, model: str, schema: str, row, carry: list[str]) -> DataFrame:
