@@ -112,7 +112,12 @@ def regions(lengths: list[int], window: int = WINDOW, surge: int = SURGE) -> lis
             j = i
             while j < n and sums[j] > 0:
                 j += 1
-            found.append((i, j))
+            a, b = i, j  # the window looks ahead: the surge is at its first line with text, the dive after the last
+            while a < b and not lengths[a]:
+                a += 1
+            while b > a and not lengths[b - 1]:
+                b -= 1
+            found.append((a, b))
             i = j
         i += 1
     return found
