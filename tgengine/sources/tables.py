@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.functions import udtf
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -33,4 +34,4 @@ def register_views(spark: SparkSession, graph) -> None:
     graph.nodes.createOrReplaceTempView("temporal_nodes")
     from ..operators.sequences import SlidingSequences
 
-    spark.udtf.register("sliding_sequences", SlidingSequences)
+    spark.udtf.register("sliding_sequences", udtf(SlidingSequences))
