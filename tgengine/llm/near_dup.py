@@ -38,7 +38,7 @@ ROUNDS = 2
 #: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `LEAST` a
 #: tenth of the 256 bits differ, 45 with four standard deviations; texts of few k-mers leave bins empty and get more room.
 ROWS = 8
-UNLIKE, UNLIKE_SHORT, SHORT = 45, 64, 150
+UNLIKE, UNLIKE_SHORT, SHORT = 45, 64, 64
 #: Hash values computed at a time.
 CELLS = 1 << 20
 #: So many keys, of 16 bytes, may be broadcast; beyond, they are joined by shuffle.
