@@ -6,6 +6,7 @@ against one computed from scratch.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -60,7 +61,7 @@ def _trade(spark, d):
 
 
 # graphs
-ISLANDS = """select src, dst, min(m) as valid_from, least({cap}, max(m) + {w}) as valid_to from (select *, sum(case when before is null or m > before + {w} then 1 else 0 end) over (partition by src, dst order by m) as stay
+ISLANDS = """select src, dst, min(m)::int as valid_from, least({cap}, max(m) + {w})::int as valid_to from (select *, sum(case when before is null or m > before + {w} then 1 else 0 end) over (partition by src, dst order by m) as stay
   from (select src, dst, m, lag(m) over (partition by src, dst order by m) as before from (select distinct src, dst, m from {act}))) group by src, dst, stay"""
 HANDOFF = """act as (select * from (select lag(user_id) over (partition by event_type, date_diff('day', timestamp '2024-01-01', ts) order by ts, event_id) as src, user_id as dst, date_diff('day', timestamp '2024-01-01', ts) as m from events) where src is not null and src <> dst)"""
 
@@ -75,7 +76,7 @@ def handoff_edges_w7(spark, d):
     return graphs.handoff(spark, d).edges.select("src", "dst", "valid_from", "valid_to")
 
 
-@query(f"with {SALES} select m as t, s_nationkey::bigint as src, c_nationkey::bigint as dst, sum(qty)::bigint as qty, sum(revenue)::bigint as revenue from sales join supplier on src = 2 * s_suppkey join customer on dst = 2 * c_custkey + 1 group by 1, 2, 3")
+@query(f"with {SALES} select m::int as t, s_nationkey::bigint as src, c_nationkey::bigint as dst, sum(qty)::bigint as qty, sum(revenue)::bigint as revenue from sales join supplier on src = 2 * s_suppkey join customer on dst = 2 * c_custkey + 1 group by 1, 2, 3")
 def flow_monthly(spark, d):
     return graphs.flow_monthly(spark, d)
 
@@ -441,4 +442,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(_sql)
+    # snapshot, sequence and gate numbers are INT on both sides
+    return {n: re.sub(r"unnest\(range\((\d[^()]*)\)\)", r"unnest(range(\1)::int[])", s) for n, s in _sql.items()}

@@ -37,10 +37,3 @@ class SlidingSequences:
         for q in range(count(snapshots, length, stride)):
             for i in range(length):
                 yield q, i + 1, q * stride + i
-
-    @staticmethod
-    def analyze(snapshots, length, stride):
-        from pyspark.sql import types as T
-        from pyspark.sql.udtf import AnalyzeResult
-
-        return AnalyzeResult(T.StructType().add("q", "int").add("idx", "int").add("t", "int"))

@@ -34,4 +34,4 @@ def register_views(spark: SparkSession, graph) -> None:
     graph.nodes.createOrReplaceTempView("temporal_nodes")
     from ..operators.sequences import SlidingSequences
 
-    spark.udtf.register("sliding_sequences", udtf(SlidingSequences))
+    spark.udtf.register("sliding_sequences", udtf(SlidingSequences, returnType="q int, idx int, t int"))
