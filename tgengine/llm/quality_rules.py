@@ -158,14 +158,12 @@ def report(docs: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: floa
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
-    """The rows that the rules keep, with their own columns only."""
-    names = docs.columns
-    counted = with_counts(docs.select("doc_id", "text", stratum().alias("stratum"))).drop("text")
-    cutoffs = stored(certified_cutoffs(counted, labels, alpha, delta))
-    mine = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias(f"{STEP}row"))
+    """The rows that the rules keep, with their own columns only. Counts are made once and stored beside each row."""
+    mine = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(f"{STEP}row"))
     inner = mine.select(f"{STEP}row", F.col(f"{STEP}row.doc_id").alias("doc_id"), F.col(f"{STEP}row.text").alias("text"), F.coalesce(F.col(f"{STEP}row.lang"), F.lit("und")).alias("stratum"))
-    judged = verdicts(with_counts(inner), cutoffs)
-    return judged.filter("kept").select(f"{STEP}row.*")
+    counted = stored(with_counts(inner).drop("text"))
+    cutoffs = stored(certified_cutoffs(counted.drop(f"{STEP}row"), labels, alpha, delta))
+    return verdicts(counted, cutoffs).filter("kept").select(f"{STEP}row.*")
 
 
 def op2_quality_rules(spark, sf_dir: str) -> DataFrame:
