@@ -9,7 +9,7 @@ Since scores are sums over the two positions, the normaliser of every context is
 log-probabilities of tokens are three lookups and exactly normalised. A token of the class for others costs the class and
 its add-one share among all others, by its count in all training texts.
 
-Counts cover every training token. The `HEAD` most frequent tokens travel to the tasks (a fixed number; longer tokens are
+Counts cover every training token. Up to `HEAD` of the most frequent tokens travel to the tasks (a fixed bound; longer tokens are
 named by a digest, so their size is bounded too); all others are joined by shuffle. Null and empty texts are one end
 token; null ids are hashed as the empty text; without training texts N and V are 0 and every score is that of an unseen
 token. Other columns are ignored.
@@ -64,6 +64,25 @@ def token_counts(docs: DataFrame) -> DataFrame:
     return map_rows(docs.select("text"), "token binary, c long", run).groupBy("token").agg(F.sum("c").alias("c"))
 
 
+def most_frequent(counts: DataFrame, head: int) -> list[tuple[bytes, int]]:
+    """The most frequent tokens, by falling count: all whose count reaches the least bound that at most `head` tokens reach.
+
+    Bounds keep the eleven leading bits of a count, so their histogram is small at any size of input, and no task sends
+    more than its share of the `head` tokens.
+    """
+    low = F.expr("shiftleft(shiftright(c, greatest(length(bin(c)) - 11, 0)), greatest(length(bin(c)) - 11, 0))")
+    held, least = 0, None
+    for r in sorted(counts.groupBy(low.alias("low")).count().collect(), reverse=True):
+        held += r["count"]
+        if held > head:
+            break
+        least = r["low"]
+    if least is None:
+        return []
+    rows = counts.filter(low >= least).collect()
+    return sorted(((bytes(r["token"]), r["c"]) for r in rows), key=lambda x: (-x[1], x[0]))
+
+
 class Model:
     """Parameters as one vector: input vectors (with a start), output vectors, biases, position vectors."""
 
@@ -161,7 +180,7 @@ def report(docs: DataFrame, vocabulary: int = VOCABULARY, head: int = HEAD) -> D
     training = rows.filter("not held_out")
     counts = stored(token_counts(training))
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    top = [(bytes(r["token"]), r["c"]) for r in counts.orderBy(F.desc("c"), "token").limit(head).collect()]
+    top = most_frequent(counts, head)
     known = {t: i for i, (t, _) in enumerate(top[:vocabulary])}
     rest, rest_kinds = total - sum(c for _, c in top[:vocabulary]), distinct - len(known)
     unigram = np.array([c for _, c in top[:vocabulary]] + [rest + 1], dtype=np.float64)
