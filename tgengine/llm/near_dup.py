@@ -5,10 +5,12 @@ functions the two labelled k-mers with the smallest hashes are taken and kept in
 texts agree in a sketch the likelier the more k-mers they share in the same order.
 
 Equal texts are one node. Nodes that agree in a sketch share a bucket and are candidates if they agree in `AGREE` sketches
-or more, are of similar size and differ in few one-bit minimum hashes. In buckets of up to `SMALL` nodes all pairs are candidates. The members of a larger bucket are compared, by
-joins on the bucket, so that no task holds it whole, with `PIVOTS` members drawn by hash in each of `ROUNDS` rounds; then
-every pair with a member outside the bucket's largest component, and not connected yet, is a candidate too. So no link
-that joins two classes is left out, while links within a class need not all be found.
+or more, are of similar size and differ in few one-bit minimum hashes. In buckets of up to `SMALL` nodes all pairs are
+candidates. The members of a larger bucket are compared, by joins on the bucket, so that no task holds it whole, with
+`PIVOTS` members drawn by hash in each of `ROUNDS` rounds; then every pair with a member outside the bucket's largest
+component, and not connected yet, is a candidate too. So no link that joins two classes is left out, while links within a
+class need not all be found. In larger buckets, where two texts have up to `FEW` distinct k-mers, the hashes of these tell
+their similarity before their texts are fetched; alignment still decides.
 Candidates whose distinct five-word runs have a Jaccard similarity of `LEAST` or more are aligned within a band of edits;
 the similarity of the runs matched in order is reported where it reaches `LEAST` itself.
 Links are closed to classes by label propagation with pointer jumping; each round is a written table.
@@ -39,6 +41,8 @@ ROUNDS = 2
 #: tenth of the 256 bits differ, 45 with four standard deviations; texts of few k-mers leave bins empty and get more room.
 ROWS = 8
 UNLIKE, UNLIKE_SHORT, SHORT = 45, 64, 64
+#: Distinct k-mers up to which a node carries the 32-bit hashes of all.
+FEW = 256
 #: Hash values computed at a time.
 CELLS = 1 << 20
 #: So many keys, of 16 bytes, may be broadcast; beyond, they are joined by shuffle.
@@ -113,6 +117,11 @@ def bits(x: np.ndarray) -> np.ndarray:
     return np.packbits(out).view(np.int64)
 
 
+def short_hashes(x: np.ndarray) -> np.ndarray:
+    """The distinct 32-bit hashes of the k-mers."""
+    return np.unique((x >> np.uint64(32)).astype(np.uint32)).view(np.int32)
+
+
 def sketch(h: np.ndarray) -> tuple[int, np.ndarray]:
     """Number of distinct k-mers; the sketches, then the one-bit hashes, as 64-bit values."""
     x = kmers(h)
@@ -199,22 +208,24 @@ def similarity(a: list[str], b: list[str], sa: set | None = None, sb: set | None
 
 
 def nodes(docs: DataFrame) -> DataFrame:
-    """doc_id, key (of the text), n (distinct k-mers), sketches; key is null without words."""
+    """doc_id, key (of the text), n (distinct k-mers), sketches, bits, few (hashes, null beyond `FEW`); key is null without words."""
 
     def run(batches):
         hasher = Hasher()
         for b in batches:
-            n, s, key = [], [], []
+            n, s, key, few = [], [], [], []
             for t, k in zip(b["text"], b["key"]):
                 w = words(t)
-                d, x = sketch(hasher(w)) if w else (0, ())
+                h = hasher(w) if w else None
+                d, x = sketch(h) if w else (0, ())
+                few.append(short_hashes(kmers(h)) if 0 < d <= FEW else None)
                 n.append(d)
                 s.append(list(x))
                 key.append(k if w else None)
-            yield {"doc_id": b["doc_id"], "key": key, "n": n, "sketches": [x[:SKETCHES] for x in s], "bits": [x[SKETCHES:] for x in s]}
+            yield {"doc_id": b["doc_id"], "key": key, "n": n, "sketches": [x[:SKETCHES] for x in s], "bits": [x[SKETCHES:] for x in s], "few": few}
 
     rows = docs.select("doc_id", F.unhex(F.md5("text")).alias("key"), "text")
-    return map_rows(rows, "doc_id long, key binary, n int, sketches array<long>, bits array<long>", run)
+    return map_rows(rows, "doc_id long, key binary, n int, sketches array<long>, bits array<long>, few array<int>", run)
 
 
 def _likely(a: str, b: str):
@@ -225,6 +236,12 @@ def _likely(a: str, b: str):
     return size & near & (F.expr(f"size(filter(zip_with({a}.sketches, {b}.sketches, (x, y) -> x = y), x -> x))") >= AGREE)
 
 
+def _alike(a: str, b: str):
+    """Whether the k-mers' hashes, where both nodes carry them, allow a link; one hash may be lost to a collision."""
+    enough = f"(1 + {LEAST}D) * (size(array_intersect({a}.few, {b}.few)) + 1) >= {LEAST}D * (size({a}.few) + size({b}.few))"
+    return F.expr(f"{a}.few is null or {b}.few is null or {enough}")
+
+
 def _once(a: str, b: str):
     """Whether sketch `i` is the first in which two nodes agree."""
     return F.expr(f"array_position(zip_with({a}.sketches, {b}.sketches, (x, y) -> x = y), true) = i + 1")
@@ -270,11 +287,11 @@ def components(links: DataFrame) -> DataFrame:
 
 def links(docs: DataFrame, found: DataFrame) -> DataFrame:
     """Verified links (a, b, similarity) between different texts that connect whatever all links connect; `found`: stored nodes."""
-    texts = stored(found.filter("key is not null").groupBy("key").agg(F.first(F.struct("n", "sketches", "bits")).alias("x")).select("key", "x.n", "x.sketches", "x.bits"))
+    texts = stored(found.filter("key is not null").groupBy("key").agg(F.first(F.struct("n", "sketches", "bits", "few")).alias("x")).select("key", "x.*"))
     buckets = texts.select("key", F.posexplode("sketches").alias("i", "value")).select("key", "i", F.xxhash64("i", "value").alias("bucket"))
     sizes = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
     shared = stored(buckets.join(sizes.hint("merge"), "bucket"))
-    node = F.struct("key", "n", "sketches", "bits").alias("node")
+    node = F.struct("key", "n", "sketches", "bits", F.when(F.col("size") > SMALL, F.col("few")).alias("few")).alias("node")
     shared = stored(shared.join(texts.hint("merge"), "key").select("bucket", "i", "size", node))
     small = shared.filter(F.col("size") <= SMALL).groupBy("bucket", "i").agg(F.collect_list("node").alias("all"))
     small = small.select("i", F.explode(F.expr("flatten(transform(all, (x, i) -> transform(slice(all, i + 2, size(all)), y -> struct(x, y))))")).alias("p")).select("i", "p.x", "p.y").filter(_once("x", "y") & _likely("x", "y"))
@@ -294,7 +311,7 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
             draws = [F.min(F.struct(F.xxhash64("y.key", "bucket", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
             drawn = others.groupBy("bucket").agg(*draws)
             others = drawn.select("bucket", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly")
-        more = rest.join(others, "bucket").filter("lx <> ly").filter(_likely("x", "y"))
+        more = rest.join(others, "bucket").filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
         if turn == ROUNDS:
             more = more.filter(_once("x", "y"))
         done = stored(done.unionByName(verified(more.select(*_pairs("x", "y")), docs)))
