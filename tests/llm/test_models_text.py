@@ -104,6 +104,22 @@ def test_language_model_is_normalised():
     assert abs(p.sum() - 1) < 1e-5
 
 
+def test_short_hash_filter_keeps_every_link(spark):
+    base = [f"u{i}" for i in range(120)]
+    texts = [base[:60] + [f"x{k}y{i}" for i in range(k)] + base[60 + k :] for k in range(0, 30)] + [base + base[:9], base * 3]
+    rows = []
+    for k, w in enumerate(texts):
+        x = near_dup.kmers(near_dup.Hasher()(w))
+        rows.append((k, near_dup.short_hashes(x).tolist() if len(set(x.tolist())) <= near_dup.FEW else None))
+    few = spark.createDataFrame([*rows, (len(rows), None)], "k int, few array<int>")
+    kept = {tuple(r) for r in few.alias("x").crossJoin(few.alias("y")).filter(near_dup._alike("x", "y")).select("x.k", "y.k").collect()}
+    runs = [near_dup.runs_of(w) for w in texts]
+    exact = {(i, j): len(a & b) / len(a | b) for i, a in enumerate(runs) for j, b in enumerate(runs)}
+    assert {p for p, s in exact.items() if s >= near_dup.LEAST} <= kept
+    assert not any(p in kept for p, s in exact.items() if s < 0.78)
+    assert {(len(rows), k) for k in range(len(rows) + 1)} <= kept  # without hashes nothing is ruled out
+
+
 def test_near_duplicates_against_all_pairs(spark, sf_dir):
     docs = read(spark, sf_dir, "documents").select("doc_id", "text").collect()
     base = " ".join(f"u{i}" for i in range(200))
