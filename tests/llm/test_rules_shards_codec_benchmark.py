@@ -83,6 +83,38 @@ def test_shard_files(spark, tmp_path):
     assert Counter((r.doc_id, r.text) for r in back.collect()) == Counter((r[0], r[1]) for r in EDGES)
 
 
+def test_shards_hold_whole_rows_in_slot_order(spark, tmp_path):
+    import glob
+
+    import pyarrow.parquet as pq
+
+    hot = [(50, "hot " * 200, "en", "s", 1)] * 300 + [(51, f"{i} " * 150, "en", f"s{i}", i) for i in range(200)]
+    docs = edges(spark).unionByName(spark.createDataFrame(hot, SCHEMA))
+    orders = []
+    for parts in (7, 2):
+        path = str(tmp_path / f"out{parts}")
+        sharding.write(docs.repartition(parts), path, shards=3, bucket_bytes=16_000)
+        files = [(int(re.search(r"shard=(\d+)", f)[1]), pq.ParquetFile(f).read().to_pylist()) for f in glob.glob(f"{path}/shard=*/*.parquet")]
+        rows = [(shard, *r.values()) for shard, part in files for r in part]
+        assert Counter(r[1:-1] for r in rows) == Counter([*EDGES, *hot])
+        assert len(files) > 12 and max(sum(r["doc_id"] == 50 for r in part) for _, part in files) < 100  # of 300 copies
+        for _, part in files:  # each bucket is written as it was shuffled
+            assert [r["slot"] for r in part] == list(range(part[0]["slot"], part[0]["slot"] + len(part)))
+        for s in range(3):
+            assert sorted(r[-1] for r in rows if r[0] == s) == list(range(sum(r[0] == s for r in rows)))
+        orders.append(sorted(map(str, rows)))
+    assert orders[0] == orders[1]
+
+
+def test_the_sharding_query_reports_what_it_wrote(spark, monkeypatch):
+    paths, write = [], sharding.write
+    monkeypatch.setattr(sharding, "write", lambda docs, path, *a: (paths.append(path), write(docs, path, *a)))
+    rows = sharding.plan(edges(spark, "extra")).collect()
+    back = spark.read.parquet(*paths)
+    assert back.columns == [*edges(spark, "extra").columns, "slot", "shard"]
+    assert Counter((r.doc_id, len((r.text or "").encode()) + 1, zlib.crc32((r.text or "").encode()), r.shard, r.slot) for r in back.collect()) == Counter((r.doc_id, r.size, r.text_crc32, r.shard, r.slot) for r in rows)
+
+
 @pytest.fixture(scope="module")
 def library():
     import sentencepiece
