@@ -24,6 +24,33 @@ def test_extraction_keeps_the_article_only(spark):
     assert Counter((r.page_id, r.n_chars) for r in out) == Counter({(1, 44): 2, (None, 0): 1, (2, 0): 1}) or all(r.n_chars == len(r.text) for r in out)
 
 
+LONG = "A sentence of the article that is long enough to count as text of its own. "
+LINKS = "".join(f"<p><a href=x>See also {i}</a></p>" for i in range(3))
+
+
+def test_extraction_without_marks():
+    nav = "".join(f"<div><a href=x>Topic {i}</a></div>" for i in range(12))
+    page = f"<body>{nav}<h1>Title</h1><p>{LONG}</p>{LINKS}<p>{LONG}2</p><p>{LONG}3</p>{nav}<p>{LONG}elsewhere</p></body>"
+    t = LONG.strip()
+    assert html_extract.main_text(page).split("\n") == ["Title", t, "See also 0", "See also 1", "See also 2", f"{LONG}2", f"{LONG}3"]
+    teaser = f"<body><article><p>Teaser of another text, not long at all, yet some sixty letters</p></article>{nav}<p>{LONG * 9}</p></body>"
+    assert html_extract.main_text(teaser) == (LONG * 9).strip()
+
+
+def test_extraction_keeps_links_of_the_article():
+    page = f"<body><p><a href=x>Home</a></p><article><h1><a href=x>Linked head</a></h1><p>{LONG}</p><p><a href=x>Read on</a></p></article></body>"
+    assert html_extract.main_text(page).split("\n") == ["Linked head", LONG.strip(), "Read on"]
+
+
+@pytest.mark.parametrize("outer", ["form", "div class='content with-sidebar'", "div id=share", "header"])
+def test_extraction_reads_what_holds_the_article(outer):
+    end, t = f"</{outer.split()[0]}>", LONG.strip()
+    assert html_extract.main_text(f"<body><p>Note.</p><{outer}><div class=menu>Menu</div><article><p>{LONG}</p></article>{end}</body>") == t
+    assert html_extract.main_text(f"<body><{outer}><nav>Menu</nav><div class=promo><h2>Buy</h2></div><h1>Title</h1><p>{LONG}</p>{end}</body>") == f"Title\n{t}"
+    assert html_extract.main_text(f"<body><p>{LONG}</p><{outer}><p>{LONG}other</p>{end}</body>") == t
+    assert html_extract.main_text("<form>" * 3000 + LONG) in ("", t)
+
+
 def test_extraction_of_all_pages(spark, sf_dir):
     import html
 

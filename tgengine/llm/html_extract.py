@@ -2,10 +2,14 @@
 
 Markup is stripped so that each block element ends a line; scripts, styles, comments, forms and elements that are page
 furniture by their name, role or class give no text. Lengths of the remaining lines (words inside links don't count) are
-summed over a sliding window of `WINDOW` lines. A text region starts where the sums surge: at a window of at least `SURGE`
-characters whose following sums stay above zero; it ends where they dive to zero. If the page marks an article or a main
-part, only its lines compete, any text is a surge, and the lines from the first surge to the last dive are kept; else the longest region is, widened over the lines beside it
-that the window covers.
+summed over a sliding window of `WINDOW` lines, over the whole page. A text region starts where the sums surge: at a window
+of at least `SURGE` characters whose following sums stay above zero; it ends where they dive to zero. Regions with at most
+`GAP` lines between them, such as a list of links inside the text, are one; the region with most text is the main text. If
+the page marks articles or a main part and these hold at least 1 / `PART` as much text, all their lines are kept instead,
+links too, and no others.
+
+An element that looks like furniture is read after all if it holds the article: a marked one where no other is seen, or,
+on pages without marks, more text than is seen where nothing seen surges, or a main heading and `PART` times all other text.
 
 Null and empty pages, and pages without text, give the empty text; unclosed and cut-off markup ends with the page; null
 ids and repeated rows are answered row by row; other columns are ignored.
@@ -15,6 +19,7 @@ from __future__ import annotations
 
 import html
 import re
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 
@@ -22,10 +27,14 @@ from .common import map_rows, read
 
 WINDOW = 3
 SURGE = 60
+GAP = 2 * WINDOW
+PART = 4
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)|<[!?][^>]*(?:>|\Z)", re.S)
 #: Elements whose content isn't text of the page, page furniture, and blocks.
 RAW = {"script", "style", "noscript", "template", "textarea", "iframe", "svg", "math", "object", "canvas", "title"}
 FURNITURE = {"nav", "header", "footer", "aside", "form", "button", "select", "menu", "dialog", "head"}
+#: Furniture that holds the text only where it also holds a marked article.
+LISTS = {"nav", "footer", "button", "select", "menu"}
 BLOCKS = set("address article aside blockquote body br caption center dd details dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html li main menu nav ol option p pre section summary table tbody td tfoot th thead title tr ul".split())
 VOID = {"br", "hr", "img", "input", "meta", "link", "area", "base", "col", "embed", "source", "track", "wbr"}
 LABEL = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
@@ -41,9 +50,21 @@ def _is_furniture(tag: str, attributes: str, in_article: bool) -> bool:
     return bool(attributes) and tag not in ("body", "html", "article", "main") and any(NAMES.search(a or b or c) for a, b, c in LABEL.findall(attributes))
 
 
-def lines(page: str) -> list[tuple[str, int, bool]]:
-    """(text, characters outside links, inside an article) of each line with text."""
+@dataclass
+class Hidden:
+    start: int
+    tag: str
+    size: int = 0  # characters outside links
+    marked: bool = False  # holds an article or a main part
+    headed: bool = False  # holds a main heading
+
+
+def lines(page: str, shown: frozenset[int] = frozenset()) -> tuple[list[tuple[str, int, bool]], list[Hidden]]:
+    """(text, characters outside links, inside an article) of each line with text; the elements left out.
+
+    `shown`: starts of elements that are read though they look like furniture."""
     out: list[tuple[str, int, bool]] = []
+    left: list[Hidden] = []
     parts: list[str] = []
     linked = [0]
     stack: list[str] = []  # open elements, outermost first
@@ -65,6 +86,8 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
             parts.append(page[at:stop])
             if link:
                 linked[0] += stop - at
+        elif stop > at and not link:
+            left[-1].size += len(page[at:stop].strip())
         if not m:
             break
         at = m.end() if m.end() > m.start() else m.end() + 1
@@ -95,11 +118,31 @@ def lines(page: str) -> list[tuple[str, int, bool]]:
             close = re.compile(f"</{tag}\\s*>", re.I).search(page, at)
             at = close.end() if close else size
             stack.pop()
-        elif not hidden and _is_furniture(tag, m[3], article > 0):
+        elif hidden:
+            left[-1].marked |= tag in ("article", "main")
+            left[-1].headed |= tag == "h1"
+        elif m.start() not in shown and _is_furniture(tag, m[3], article > 0):
             hidden = len(stack)
+            left.append(Hidden(m.start(), tag))
     if not hidden:
         end()
-    return out
+    return out, left
+
+
+def holder(found: list[tuple[str, int, bool]], left: list[Hidden], window: int, surge: int) -> int | None:
+    """Start of the element left out that holds the article, if one does."""
+    if any(x[2] for x in found):
+        return None
+    marked = [x for x in left if x.marked and x.size]
+    if marked:
+        return max(marked, key=lambda x: (x.size, -x.start)).start
+    seen = sum(x[1] for x in found)
+    most = max((x for x in left if x.tag not in LISTS), key=lambda x: (x.size, -x.start), default=None)
+    if most is None or most.size < surge:
+        return None
+    others = seen + sum(x.size for x in left) - most.size
+    alone = most.size > seen and not regions([x[1] for x in found], window, surge)
+    return most.start if alone or (most.headed and most.size >= PART * others) else None
 
 
 def regions(lengths: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int]]:
@@ -123,18 +166,32 @@ def regions(lengths: list[int], window: int = WINDOW, surge: int = SURGE) -> lis
     return found
 
 
+def joined(spans: list[tuple[int, int]], gap: int = GAP) -> list[tuple[int, int]]:
+    out: list[tuple[int, int]] = []
+    for a, b in spans:
+        if out and a - out[-1][1] <= gap:
+            out[-1] = (out[-1][0], b)
+        else:
+            out.append((a, b))
+    return out
+
+
 def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str:
-    found = lines(page or "")
+    shown: frozenset[int] = frozenset()
+    found, left = lines(page or "")
+    for _ in range(16):  # elements that hold the article may stand in each other
+        more = holder(found, left, window, surge)
+        if more is None:
+            break
+        shown |= {more}
+        found, left = lines(page or "", shown)
+    weight = lambda rows: sum(x[1] for x in rows)
+    spans = joined(regions([x[1] for x in found], window, surge))
+    a, b = max(spans, key=lambda s: (weight(found[s[0] : s[1]]), -s[0]), default=(0, 0))
     marked = [x for x in found if x[2]]
-    if marked:
-        # the markup bounds the part, so any text is a surge; short paragraphs between two dives stay
-        spans = regions([x[1] for x in marked], window, 1) or [(0, len(marked))]
-        return "\n".join(x[0] for x in marked[spans[0][0] : spans[-1][1]])
-    spans = regions([x[1] for x in found], window, surge)
-    if not spans:
-        return "\n".join(x[0] for x in found if x[1])
-    a, b = max(spans, key=lambda s: (sum(x[1] for x in found[s[0] : s[1]]), -s[0]))
-    return "\n".join(x[0] for x in found[a:b])
+    if marked and PART * weight(marked) >= weight(found[a:b]):
+        return "\n".join(x[0] for x in marked)
+    return "\n".join(x[0] for x in (found[a:b] if spans else found) if spans or x[1])
 
 
 def report(pages: DataFrame) -> DataFrame:
