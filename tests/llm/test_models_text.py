@@ -178,6 +178,26 @@ def test_near_duplicates_against_all_pairs(spark, sf_dir):
     assert near_dup.classes(table.limit(0)).count() == 0
 
 
+def test_repeated_and_reordered_copies_are_near_duplicates(spark):
+    import random
+
+    rows, want = [], Counter()
+    for k in range(80):
+        r = random.Random(k)
+        base = [f"t{k}w{r.randrange(10**6)}" for _ in range(300)]
+        blocks = [base[i : i + 60] for i in range(0, 300, 60)][::-1]
+        group = [base, base * 2, base * 3, [w for b in blocks for w in b]]
+        runs = [near_dup.runs_of(w) for w in group]
+        assert all(len(runs[0] & x) >= near_dup.LEAST * len(runs[0] | x) for x in runs)
+        rows += [(4 * k + i, " ".join(w)) for i, w in enumerate(group)]
+        want.update((4 * k + i, 4 * k, 4) for i in range(4))
+    rows += [(900, "a a a a a"), (901, "a " * 40)]
+    want.update([(900, 900, 2), (901, 900, 2)])
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    assert Counter(map(tuple, near_dup.classes(table).collect())) == want
+    assert sorted(r.doc_id for r in near_dup.keep_one(table).collect()) == [*range(0, 320, 4), 900]
+
+
 def test_alignment():
     a = [f"w{i}" for i in range(60)]
     b = a[:20] + ["x", "y"] + a[21:50] + a[52:]
