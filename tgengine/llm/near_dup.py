@@ -9,7 +9,8 @@ functions, the two distinct k-mers with the smallest hashes, in order of the has
 Equal texts are one node. Nodes that agree in a sketch share a bucket and are candidates if they agree in `AGREE` sketches
 or more, or in one by sets, are of similar size and differ in few one-bit minimum hashes. In buckets of up to `SMALL` nodes all pairs are
 candidates. The members of a larger bucket are compared, by joins on the bucket, so that no task holds it whole, with
-`PIVOTS` members drawn by hash in each of `ROUNDS` rounds; then every pair with a member outside the bucket's largest
+`PIVOTS` members drawn by hash of the text in each of `ROUNDS` rounds (so the buckets of a group draw much the same ones, and
+its links stay few); then every pair with a member outside the bucket's largest
 component, and not connected yet, is a candidate too. So no link that joins two classes is left out, while links within a
 class need not all be found. In larger buckets, where two texts have up to `FEW` distinct k-mers, the hashes of these tell
 their similarity before their texts are fetched; alignment still decides.
@@ -325,7 +326,7 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
         rest = named.join(main, "bucket").filter("label <> main").select("bucket", "i", F.col("node").alias("x"), F.col("label").alias("lx"))
         others = named.select("bucket", F.col("node").alias("y"), F.col("label").alias("ly"))
         if turn < ROUNDS:
-            draws = [F.min(F.struct(F.xxhash64("y.key", "bucket", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
+            draws = [F.min(F.struct(F.xxhash64("y.key", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
             drawn = others.groupBy("bucket").agg(*draws)
             others = drawn.select("bucket", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly")
         more = rest.join(others, "bucket").filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
