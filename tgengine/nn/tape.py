@@ -53,21 +53,87 @@ def beside(a: Var, b: Var) -> Var:
 
 
 class Graph:
-    """One snapshot's edges among local nodes; sums over in-edges."""
+    """One snapshot's edges among local nodes; weighted sums over in-edges, scaled by target."""
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray, w: np.ndarray, nodes: int):
-        self.src, self.dst, self.w, self.nodes, self.passes = src, dst, w, nodes, 0
+    def __init__(self, src: np.ndarray, dst: np.ndarray, w: np.ndarray, nodes: int, norm: np.ndarray | None = None):
+        self.src, self.dst, self.w, self.nodes = src, dst, w, nodes
+        self.norm = np.ones(nodes) if norm is None else norm
+        self.passes, self.messages = 0, 0
 
     def gather(self, x: np.ndarray, forward: bool = True) -> np.ndarray:
-        a, b = (self.src, self.dst) if forward else (self.dst, self.src)
         out = np.zeros((self.nodes, x.shape[1]))
-        np.add.at(out, b, x[a] * self.w[:, None])
+        if forward:
+            np.add.at(out, self.dst, x[self.src] * self.w[:, None])
+            return out * self.norm[:, None]
+        np.add.at(out, self.src, (x * self.norm[:, None])[self.dst] * self.w[:, None])
         return out
 
-    def sum(self, x: Var) -> Var:
+    def count(self, messages: int) -> None:
         self.passes += 1
+        self.messages += messages
+
+    def sum(self, x: Var) -> Var:
+        self.count(len(self.src))
         return Var(self.gather(x.value), (x,), lambda g: (self.gather(g, False),))
 
+    def raw(self, x: np.ndarray, pick: np.ndarray | None = None) -> np.ndarray:
+        """Unscaled sums of the messages of all edges, or of the picked ones."""
+        src, dst, w = (self.src, self.dst, self.w) if pick is None else (self.src[pick], self.dst[pick], self.w[pick])
+        out = np.zeros((self.nodes, x.shape[1]))
+        np.add.at(out, dst, x[src] * w[:, None])
+        return out
+
+    def moved(self, before: "Graph", x_before: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which edges of `before` are in the minus set and which of this graph in the plus set."""
+        changed = (x_before != x).any(axis=1)
+        a, b = before.src * self.nodes + before.dst, self.src * self.nodes + self.dst
+        return ~np.isin(a, b) | changed[before.src], ~np.isin(b, a) | changed[self.src]
+
+    def attend(self, score: Var, x: Var) -> Var:
+        """Sums of x over in-edges, weighted by the softmax of the edges' scores (a column) at each target."""
+        self.count(len(self.src))
+        top = np.full(self.nodes, -np.inf)
+        np.maximum.at(top, self.dst, score.value[:, 0])
+        e = np.exp(score.value[:, 0] - top[self.dst])
+        p = e / np.bincount(self.dst, e, self.nodes)[self.dst]
+        out = np.zeros((self.nodes, x.value.shape[1]))
+        np.add.at(out, self.dst, x.value[self.src] * p[:, None])
+
+        def back(g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            each = (g[self.dst] * x.value[self.src]).sum(axis=1)
+            mean = np.bincount(self.dst, each * p, self.nodes)[self.dst]
+            dx = np.zeros_like(x.value)
+            np.add.at(dx, self.src, g[self.dst] * p[:, None])
+            return (p * (each - mean))[:, None], dx
+
+        return Var(out, (score, x), back)
+
+
+def take(x: Var, rows: np.ndarray) -> Var:
+    def back(g: np.ndarray) -> tuple[np.ndarray]:
+        out = np.zeros_like(x.value)
+        np.add.at(out, rows, g)
+        return (out,)
+
+    return Var(x.value[rows], (x,), back)
+
+
+def leaky(x: Var, slope: float = 0.2) -> Var:
+    k = np.where(x.value > 0, 1.0, slope)
+    return Var(x.value * k, (x,), lambda g: (g * k,))
+
+
+def dot(x: Var, y: np.ndarray) -> Var:
+    """Sum of products with a constant."""
+    return Var((x.value * y).sum(), (x,), lambda g: (g * y,))
+
+
+def share_abs(x: Var, y: np.ndarray, rows: np.ndarray, cells: int) -> Var:
+    """Absolute errors of some rows, as a share of `cells`."""
+    d = np.zeros_like(x.value)
+    d[rows] = x.value[rows] - y
+    return Var(np.abs(d).sum() / cells, (x,), lambda g: (g * np.sign(d) / cells,))
+
 
 def mean_abs(x: Var, y: np.ndarray) -> Var:
     d = x.value - y

@@ -9,8 +9,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..storage import stored
 from . import delta
-from .temporal import TemporalGraph, contributions, expand
+from .temporal import TemporalGraph, coded, contributions, expand
 
 
 def _sums(lanes: tuple[str, ...], sign: Column | None = None) -> list[Column]:
@@ -39,29 +40,34 @@ def _dense(steps: DataFrame, lanes: tuple[str, ...], until: Column, keys: list[s
 
 
 def incremental(graph: TemporalGraph, fn: str = "sum") -> DataFrame:
-    """The same rows as `scratch`, from the first snapshot and the deltas alone: one shuffle on the target."""
+    """The same rows as `scratch`, from the first snapshot and the deltas alone: partial sums per (target, t), then running sums per target."""
     if fn in ("max", "min"):
         return extremal(graph, fn).drop("recomputed")
-    out = _by_deltas(contributions(graph), graph.lanes, graph.snapshots)
+    out = _by_deltas(contributions(graph), graph.lanes, F.lit(graph.snapshots), ["dst"])
     return _mean(out, graph.lanes) if fn == "mean" else out
 
 
-def _by_deltas(c: DataFrame, lanes: tuple[str, ...], snapshots: int) -> DataFrame:
-    plus = c.select("dst", F.col("valid_from").alias("t"), F.lit(1).alias("sign"), "w", *lanes)
-    minus = c.filter(F.col("valid_to") < snapshots).select("dst", F.col("valid_to").alias("t"), F.lit(-1).alias("sign"), "w", *lanes)
-    steps = plus.union(minus).groupBy("dst", "t").agg(*_sums(lanes, F.col("sign")))
-    return _dense(steps, lanes, F.lit(snapshots), ["dst"])
+def _by_deltas(c: DataFrame, lanes: tuple[str, ...], until: Column, keys: list[str]) -> DataFrame:
+    """Every contribution is read once and gives its arrival and, before `until`, its departure."""
+    ends = F.explode(F.array(F.struct(F.col("valid_from").alias("t"), F.lit(1).alias("sign")), F.struct(F.col("valid_to").alias("t"), F.lit(-1).alias("sign")))).alias("end")
+    steps = c.select(*keys, "w", *lanes, ends).filter(F.col("end.t") < until).select(*keys, "end.t", "end.sign", "w", *lanes)
+    return _dense(steps.groupBy(*keys, "t").agg(*_sums(lanes, F.col("sign"))), lanes, until, keys)
 
 
 def adaptive(graph: TemporalGraph, threshold: float = 0.5) -> DataFrame:
-    """Sums where each snapshot whose change ratio exceeds the threshold starts anew; the others continue by deltas."""
-    seg = delta.segments(graph, threshold).select("segment", "seg_from", "seg_to").distinct()
-    c = contributions(graph).join(F.broadcast(seg), (F.col("valid_from") < F.col("seg_to")) & (F.col("seg_from") < F.col("valid_to")))
-    names = ["dst", "segment", "seg_to"]
-    plus = c.select(*names, F.greatest("valid_from", "seg_from").alias("t"), F.lit(1).alias("sign"), "w", *graph.lanes)
-    minus = c.filter("valid_to < seg_to").select(*names, F.col("valid_to").alias("t"), F.lit(-1).alias("sign"), "w", *graph.lanes)
-    steps = plus.union(minus).groupBy(*names, "t").agg(*_sums(graph.lanes, F.col("sign")))
-    return _dense(steps, graph.lanes, F.col("seg_to"), names)
+    """Sums where each snapshot whose change ratio exceeds the threshold starts anew; the others continue by deltas.
+
+    The coded graph is written once and read for the ratios and for the sums. A contribution is cut at the segments it
+    spans: their numbers are looked up at its two ends and lie side by side, so all joins are on equality, with one row per snapshot."""
+    graph = coded(graph)
+    seg = stored(delta.segments(graph, threshold))
+    number = lambda at, name: seg.select(F.col("t").alias(at), F.col("segment").alias(name))
+    bounds = seg.select("segment", "seg_from", "seg_to").distinct()
+    c = contributions(graph).withColumn("last_t", F.col("valid_to") - 1)
+    c = c.join(F.broadcast(number("valid_from", "first_seg")), "valid_from").join(F.broadcast(number("last_t", "last_seg")), "last_t")
+    c = c.withColumn("segment", F.explode(F.sequence("first_seg", "last_seg"))).join(F.broadcast(bounds), "segment")
+    c = c.withColumns({"valid_from": F.greatest("valid_from", "seg_from"), "valid_to": F.least("valid_to", "seg_to")})
+    return _by_deltas(c, graph.lanes, F.col("seg_to"), ["dst", "segment", "seg_to"])
 
 
 def step(previous: DataFrame, changes: DataFrame, lanes: tuple[str, ...]) -> DataFrame:
@@ -156,7 +162,7 @@ def propagate(graph: TemporalGraph, message: Callable[[dict[str, Column]], Colum
     """User-defined message over (source lanes, edge weight) and reduction; an invertible one runs on deltas."""
     c = contributions(graph).withColumn("message", message({x: F.col(x) for x in graph.lanes} | {"w": F.col("w")}))
     if invertible:
-        return _by_deltas(c.withColumn("w", F.lit(1)), ("message",), graph.snapshots).select("t", "dst", F.col("a0").alias("value"))
+        return _by_deltas(c.withColumn("w", F.lit(1)), ("message",), F.lit(graph.snapshots), ["dst"]).select("t", "dst", F.col("a0").alias("value"))
     return expand(c).groupBy("t", "dst").agg(reduce(F.col("message")).alias("value"))
 
 

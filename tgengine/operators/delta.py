@@ -2,19 +2,23 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .temporal import TemporalGraph, contributions, expand
 
 
+def _ends(rows: DataFrame, snapshots: int, *more: Column) -> DataFrame:
+    """Each interval's beginning (sign 1) and end (-1) within the snapshots, in one pass; `more`: a column for each of the two."""
+    pair = [F.struct(F.col("valid_from").alias("t"), F.lit(1).alias("sign"), *[m.alias("cause") for m in more[:1]])]
+    pair.append(F.struct(F.col("valid_to").alias("t"), F.lit(-1).alias("sign"), *[m.alias("cause") for m in more[1:]]))
+    return rows.withColumn("end", F.explode(F.array(*pair))).filter(F.col("end.t") < snapshots)
+
+
 def topology(graph: TemporalGraph) -> DataFrame:
     """Deleted (-1) and inserted (+1) edges at each t >= 1."""
-    e = graph.edges
-    gone = e.filter(F.col("valid_to") < graph.snapshots).select(F.col("valid_to").alias("t"), F.lit(-1).alias("sign"), "src", "dst", "edge_id", "w")
-    come = e.filter("valid_from > 0").select(F.col("valid_from").alias("t"), F.lit(1).alias("sign"), "src", "dst", "edge_id", "w")
-    return gone.unionByName(come)
+    return _ends(graph.edges, graph.snapshots).filter("end.t > 0").select("end.t", "end.sign", "src", "dst", "edge_id", "w")
 
 
 def features(graph: TemporalGraph) -> DataFrame:
@@ -24,12 +28,11 @@ def features(graph: TemporalGraph) -> DataFrame:
 
 def build(graph: TemporalGraph) -> DataFrame:
     """Both causes together; an edge stands once in each set. Lanes: the features before (minus) or after (plus) the change."""
-    c = contributions(graph)
     cause = lambda edge, feat: F.when(edge & feat, "both").when(edge, "edge").otherwise("feature")
-    names = ["src", "dst", "edge_id", "w", *graph.lanes]
-    minus = c.filter(F.col("valid_to") < graph.snapshots).select(F.col("valid_to").alias("t"), F.lit(-1).alias("sign"), *names, cause(F.col("edge_to") == F.col("valid_to"), F.col("feat_to") == F.col("valid_to")).alias("cause"))
-    plus = c.filter("valid_from > 0").select(F.col("valid_from").alias("t"), F.lit(1).alias("sign"), *names, cause(F.col("edge_from") == F.col("valid_from"), F.col("feat_from") == F.col("valid_from")).alias("cause"))
-    return minus.unionByName(plus)
+    came = cause(F.col("edge_from") == F.col("valid_from"), F.col("feat_from") == F.col("valid_from"))
+    went = cause(F.col("edge_to") == F.col("valid_to"), F.col("feat_to") == F.col("valid_to"))
+    both = _ends(contributions(graph), graph.snapshots, came, went).filter("end.t > 0")
+    return both.select("end.t", "end.sign", "src", "dst", "edge_id", "w", *graph.lanes, "end.cause")
 
 
 def by_anti_join(graph: TemporalGraph) -> DataFrame:
@@ -57,15 +60,14 @@ def ratio(graph: TemporalGraph) -> DataFrame:
 
 def snapshot_sizes(graph: TemporalGraph) -> DataFrame:
     """Edges per snapshot by a running sum of arrivals and departures; no snapshot is written out."""
-    e = graph.edges
-    steps = e.select(F.col("valid_from").alias("t"), F.lit(1).alias("d")).union(e.select(F.col("valid_to").alias("t"), F.lit(-1).alias("d"))).groupBy("t").agg(F.sum("d").alias("d"))
-    every = e.sparkSession.range(graph.snapshots).select(F.col("id").cast("int").alias("t"))
+    steps = _ends(graph.edges, graph.snapshots).groupBy("end.t").agg(F.sum("end.sign").alias("d"))
+    every = graph.edges.sparkSession.range(graph.snapshots).select(F.col("id").cast("int").alias("t"))
     # one row per snapshot: the window over all of them is small
     return every.join(steps, "t", "left").select("t", F.sum(F.coalesce("d", F.lit(0))).over(Window.orderBy("t")).alias("n_edges"))
 
 
 def segments(graph: TemporalGraph, threshold: float = 0.5) -> DataFrame:
-    """t, scratch (its change ratio exceeds the threshold, or it is the first), segment (number of scratch snapshots so far), start of the segment and of the next."""
+    """t, scratch (its change ratio exceeds the threshold, or it is the first), segment (number of scratch snapshots so far), start of the segment and of the next. One row per snapshot."""
     r = ratio(graph).select("t", F.coalesce(F.col("change_ratio") > threshold, F.lit(True)).alias("scratch"))
     r = r.union(graph.edges.sparkSession.range(1).select(F.lit(0).alias("t"), F.lit(True).alias("scratch")))
     numbered = r.select("t", "scratch", F.sum(F.col("scratch").cast("int")).over(Window.orderBy("t")).alias("segment"))

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.exact import edge_id
+from ..storage import stored
 
 
 @dataclass(frozen=True)
@@ -76,6 +77,11 @@ def contributions(graph: TemporalGraph) -> DataFrame:
     )
 
 
+def coded(graph: TemporalGraph) -> TemporalGraph:
+    """The graph with its intervals written once, for plans that read them more than once."""
+    return TemporalGraph(stored(graph.edges), stored(graph.feats), graph.nodes, graph.snapshots, graph.lanes)
+
+
 def as_of(events: DataFrame, feats: DataFrame, lanes: tuple[str, ...], width: int = 8) -> DataFrame:
     """Events (node, t) with the features that hold at t: an equi-join on (node, time bucket) and a residual filter."""
     f = feats.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("valid_from") / width), F.floor((F.col("valid_to") - 1) / width))))
