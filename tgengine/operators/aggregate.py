@@ -158,9 +158,15 @@ def weighted(graph: TemporalGraph, score: Column, version: int = 0) -> DataFrame
     return e.groupBy("t", "dst").agg(*sums).withColumn("version", F.lit(version))
 
 
-def propagate(graph: TemporalGraph, message: Callable[[dict[str, Column]], Column], reduce: Callable[[Column], Column], invertible: bool = False) -> DataFrame:
-    """User-defined message over (source lanes, edge weight) and reduction; an invertible one runs on deltas."""
-    c = contributions(graph).withColumn("message", message({x: F.col(x) for x in graph.lanes} | {"w": F.col("w")}))
+def propagate(graph: TemporalGraph, message: Callable[[dict[str, Column]], Column], reduce: Callable[[Column], Column], invertible: bool = False, target: DataFrame | None = None) -> DataFrame:
+    """User-defined message over (source lanes, edge weight, lanes of the target: `target.<name>` of a table by node) and reduction; an invertible one runs on deltas."""
+    c = contributions(graph)
+    names = {x: F.col(x) for x in graph.lanes} | {"w": F.col("w")}
+    if target is not None:
+        own = {x: f"_target_{x}" for x in target.columns if x != "node"}
+        c = c.join(target.withColumnsRenamed({"node": "dst"} | own), "dst")
+        names |= {f"target.{x}": F.col(y) for x, y in own.items()}
+    c = c.withColumn("message", message(names))
     if invertible:
         return _by_deltas(c.withColumn("w", F.lit(1)), ("message",), F.lit(graph.snapshots), ["dst"]).select("t", "dst", F.col("a0").alias("value"))
     return expand(c).groupBy("t", "dst").agg(reduce(F.col("message")).alias("value"))

@@ -17,14 +17,15 @@ def sampler(nodes: DataFrame, batches: int, seed: int = 42) -> DataFrame:
 
 def khop(graph: TemporalGraph, batch: DataFrame, hops: int = 2, fanouts: tuple[int, ...] | None = None, seed: int = 42) -> DataFrame:
     """batch_id, t, hop, src, dst. With fanouts, of each target the in-neighbours with the smallest hashes stay; the hash knows nothing of t, so the choice moves only with the neighbourhood."""
-    edges = expand(graph.edges).select("t", "src", "dst")
     frontier = batch.select("batch_id", F.col("node").alias("dst"))
     out = None
     for hop in range(1, (len(fanouts) if fanouts else hops) + 1):
-        here = edges
+        # only the frontier's in-edges are spread over their snapshots and ranked
+        wanted = graph.edges.join(frontier.select("dst").distinct(), "dst", "left_semi")
+        here = expand(wanted).select("t", "src", "dst")
         if fanouts:
             order = Window.partitionBy("t", "dst").orderBy(arithmetic_hash(F.col("src"), F.col("dst"), hop, seed), "src")
-            here = edges.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= fanouts[hop - 1]).drop("r")
+            here = here.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= fanouts[hop - 1]).drop("r")
         keys = ["dst"] if hop == 1 else ["t", "dst"]
         reached = here.join(frontier, keys).select("batch_id", "t", F.lit(hop).alias("hop"), "src", "dst")
         out = reached if out is None else out.union(reached)

@@ -72,7 +72,7 @@ class Store:
     def access(self, key, future: int = 0, imminent: float = 0.0, next_use: float = float("inf")) -> bool:
         hit = key in self.held
         self.uses[key] += 1
-        if self.policy in ("lookahead", "optimum") and future <= 0:
+        if self.policy in ("lookahead", "optimum") and future <= 0:  # no read to come
             self.held.pop(key, None)
             return hit
         if self.policy == "lookahead":
@@ -100,6 +100,61 @@ class Store:
         return False
 
 
+class GlobalStore:
+    """Values of input aggregates under a capacity (entries; None: unbounded), for layers, sequences, parts and the next snapshot's deltas.
+
+    Who leaves is the policy's choice; entries without a read to come leave at once, except the newest one of each gate, where
+    the next snapshot's deltas start from it. Keys begin with the gate. Sizes are counted in bytes."""
+
+    def __init__(self, capacity: int | None = None, policy: str = "lookahead"):
+        self.store = Store(1 << 60 if capacity is None else capacity, policy)
+        self.values: dict = {}
+        self.newest: dict = {}
+        self.hits = self.misses = self.bytes = self.peak_bytes = 0
+
+    def peek(self, key):
+        if key in self.values:
+            return self.values[key]
+        last = self.newest.get(key[0])
+        return last[1] if last is not None and last[0] == key else None
+
+    def get(self, key, future: int, imminent: float, make, keep_newest: bool = False):
+        held = self.values.get(key)
+        value = make() if held is None else held
+        self.hits += held is not None
+        self.misses += held is None
+        self.store.access(key, future, imminent)
+        if key in self.store.held:
+            self.values[key] = value
+        for gone in [k for k in self.values if k not in self.store.held]:
+            del self.values[gone]
+        if keep_newest:
+            self.newest[key[0]] = (key, value)
+        self.bytes = sum(v.nbytes for v in self.values.values()) + sum(v.nbytes for k, v in self.newest.values() if k not in self.values)
+        self.peak_bytes = max(self.peak_bytes, self.bytes)
+        return value
+
+
+class LocalStore:
+    """The aggregates of one cell's operands, read by all its gates; emptied when the next cell opens."""
+
+    def __init__(self):
+        self.values: dict = {}
+        self.hits = self.misses = self.peak_bytes = 0
+
+    def open(self) -> None:
+        self.values.clear()
+
+    def get(self, key, make):
+        if key in self.values:
+            self.hits += 1
+        else:
+            self.misses += 1
+            self.values[key] = make()
+            self.peak_bytes = max(self.peak_bytes, sum(v.value.nbytes for v in self.values.values()))
+        return self.values[key]
+
+
 POLICIES = ("lookahead", "lru", "lfu", "freq_size_age", "optimum")
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from dataclasses import dataclass
 from statistics import median
 
 from pyspark.sql import DataFrame
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..plans.reuse import Flags, ModelShape, passes
 from . import delta, placement
-from .sequences import seq2seq, windows
+from .sequences import count, seq2seq, windows
 from .temporal import TemporalGraph, expand
 
 BYTES = 8
@@ -85,6 +86,71 @@ def degree(graph: TemporalGraph) -> DataFrame:
     return e.groupBy("t").agg(F.count(F.lit(1)).alias("n_edges"), F.count_distinct("dst").alias("targets")).withColumn("mean_degree", F.col("n_edges") / F.col("targets"))
 
 
+@dataclass(frozen=True)
+class Profile:
+    """What the counts of a graph need: per snapshot its edges, delta edges and remote (machine, source) pairs; nodes per owner."""
+
+    machines: int
+    width: int
+    edges: list[int]
+    moved: list[int | None]
+    remote: list[int]
+    owners: list[int]
+
+    @property
+    def snapshots(self) -> int:
+        return len(self.edges)
+
+    def sequences(self, length: int, stride: int = 1, horizon: int = 0) -> int:
+        return count(self.snapshots, length, stride, horizon)
+
+
+def profile(graph: TemporalGraph, machines: int) -> Profile:
+    """Counted in the engine; one row per snapshot, and one per machine, come back."""
+    r = delta.ratio(graph).select("t", (F.col("n_minus") + F.col("n_plus")).alias("moved"))
+    pairs = expand(graph.edges).select("t", "src", F.pmod("dst", F.lit(machines)).alias("machine")).filter(F.pmod("src", F.lit(machines)) != F.col("machine"))
+    far = pairs.groupBy("t").agg(F.count_distinct("machine", "src").alias("remote"))
+    rows = {x["t"]: x for x in delta.snapshot_sizes(graph).join(r, "t", "left").join(far, "t", "left").fillna(0, ["remote"]).collect()}
+    own = {x["machine"]: x["count"] for x in placement.nodes(graph.nodes, machines).groupBy("machine").count().collect()}
+    every = range(graph.snapshots)
+    return Profile(machines, len(graph.lanes), [rows[t]["n_edges"] for t in every], [rows[t]["moved"] for t in every], [rows[t]["remote"] for t in every], [own.get(m, 0) for m in range(machines)])
+
+
+def messages(p: Profile, model: ModelShape, flags: Flags, length: int = 8, stride: int = 1) -> tuple[int, int]:
+    """Messages of layer 1's inputs, and of all graph passes of one epoch; the same counts as `work`."""
+    n = p.sequences(length, stride, stride if model.decoder else 0)
+    parts = (0, stride) if model.decoder else (0,)
+    cost = [min(m, e) if flags.incremental and m is not None else e for m, e in zip(p.moved, p.edges)]
+    seen: set[tuple] = set()
+    first = every = 0
+    for q in range(n):
+        for part in parts:
+            for i in range(length):
+                t = q * stride + i + part
+                every += p.edges[t]
+                key = (None if flags.sequences else (q, i if not flags.teacher else None), None if flags.teacher else part, t)
+                if key not in seen:
+                    seen.add(key)
+                    first += cost[t]
+    k = passes(model, flags.gates)
+    rest = (model.layers - 1) * k["input"] + model.layers * k["hidden"]
+    return first * k["input"], first * k["input"] + every * rest
+
+
+def scheme_bytes(p: Profile, model: ModelShape, scheme: str, length: int = 8, hidden: int = 64, width: int | None = None, layers: int = 2) -> int:
+    """Bytes between machines of one epoch; gradients of weights, equal everywhere, aside."""
+    n, machines = p.sequences(length), p.machines
+    if scheme == "block":  # with copies of the straddling snapshots
+        return 0
+    if scheme.startswith("node_part"):
+        visits = [sum(q <= t < q + length for q in range(max(0, t - length + 1), min(n, t + 1))) for t in range(p.snapshots)]
+        return sum(r * v for r, v in zip(p.remote, visits)) * ((p.width if width is None else width) + hidden) * BYTES
+    spread = [i * machines // length for i in range(length)]
+    moved = n * sum(nodes for m in spread for owner, nodes in enumerate(p.owners) if owner != m)
+    turns = n * sum(a != b for a, b in zip(spread, spread[1:])) * sum(p.owners) if model.decoder else 0
+    return (moved + turns) * hidden * layers * 2 * BYTES
+
+
 def epoch_time(run: Callable[[], object], repeats: int = 3) -> float:
     """Median seconds of warm runs."""
     run()
@@ -103,6 +169,3 @@ def throughput(samples: int, seconds: float) -> float:
 def speedup(base: float, ours: float) -> float:
     return base / ours
 
-
-def sweep(values: list, measure: Callable[[object], float]) -> list[tuple[object, float]]:
-    return [(v, measure(v)) for v in values]

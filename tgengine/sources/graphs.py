@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -13,6 +13,8 @@ from .tables import load
 MONTHS = 80
 DAYS = 30
 QUANTITY_STEP = 400
+#: Ids in one slice of the citation order.
+CITATION_SLICE = 100_000
 
 
 def _sales(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -38,16 +40,41 @@ def trade(spark: SparkSession, sf_dir: str, trailing: int = 12, lane_set: str =
     return TemporalGraph(from_activity(sales, trailing, MONTHS), runs_of_values(values, "node", ("f0", "f1")), supplier.select("node").union(customers), MONTHS)
 
 
+def day(col: str) -> Column:
+    return F.datediff(col, F.lit("2024-01-01").cast("date"))
+
+
+def before_in_order(df: DataFrame, keys: list[str], cut: Column, order: list[str], value: str, back: int = 1) -> DataFrame:
+    """Adds `earlier`: up to `back` values before each row, nearest first, within `keys` in `order`.
+
+    Groups may hold any share of the rows: each is cut into slices that follow the order (`cut`, a function of its first
+    column). Within a slice a window answers; the rows at a slice's start look into the ends of the slices before it, of which each gives `back` values."""
+    rows = df.withColumn("_cut", cut)
+    slice_ = Window.partitionBy(*keys, "_cut").orderBy(*order)
+    rows = rows.withColumn("_own", F.collect_list(value).over(slice_.rowsBetween(-back, -1)))
+    last = rows.withColumn("_place", F.row_number().over(Window.partitionBy(*keys, "_cut").orderBy(*[F.desc(c) for c in order]))).filter(F.col("_place") <= back)
+    ends = last.groupBy(*keys, "_cut").agg(F.sort_array(F.collect_list(F.struct((-F.col("_place")).alias("p"), F.col(value).alias("v")))).alias("_end"))
+    over = Window.partitionBy(*keys).orderBy("_cut").rowsBetween(-back, -1)
+    ends = ends.select(*keys, "_cut", F.flatten(F.collect_list(F.expr("transform(_end, x -> x.v)")).over(over)).alias("_before"))
+    joined = rows.join(ends, [*keys, "_cut"], "left")
+    whole = F.reverse(F.concat(F.coalesce("_before", F.array().cast(f"array<{df.schema[value].dataType.simpleString()}>")), F.col("_own")))
+    return joined.withColumn("earlier", F.slice(whole, 1, back)).drop("_cut", "_own", "_before")
+
+
+def handoff_pairs(events: DataFrame) -> DataFrame:
+    """Previous -> next user of one event type and day (t), cut into quarters of an hour."""
+    quarter = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 900_000_000)
+    e = before_in_order(events, ["event_type", "t"], quarter, ["ts", "event_id"], "user_id")
+    return e.select(F.expr("try_element_at(earlier, 1)").alias("src"), F.col("user_id").alias("dst"), "t").filter("src is not null and src <> dst")
+
+
 def handoff_activity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Previous -> next user of one event type and day."""
-    e = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", F.datediff("ts", F.lit("2024-01-01").cast("date")).alias("t"))
-    before = F.lag("user_id").over(Window.partitionBy("event_type", "t").orderBy("ts", "event_id"))
-    return e.select(before.alias("src"), F.col("user_id").alias("dst"), "t").filter("src is not null and src <> dst")
+    return handoff_pairs(load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", day("ts").alias("t")))
 
 
 def handoff(spark: SparkSession, sf_dir: str, trailing: int = 7) -> TemporalGraph:
     """Lanes: events and value (cents) of each user and day."""
-    e = load(spark, sf_dir, "events").select("user_id", "value", F.datediff("ts", F.lit("2024-01-01").cast("date")).alias("t"))
+    e = load(spark, sf_dir, "events").select("user_id", "value", day("ts").alias("t"))
     daily = e.groupBy(F.col("user_id").alias("node"), "t").agg(F.count(F.lit(1)).alias("f0"), F.sum(cents("value")).alias("f1"))
     users = e.select(F.col("user_id").alias("node")).distinct()
     grid = users.withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(DAYS - 1))))
@@ -85,11 +112,8 @@ def copurchase(spark: SparkSession, sf_dir: str, trailing: int = 3) -> TemporalG
 def citation_edges(spark: SparkSession, sf_dir: str, back: int = 3, per_snapshot: int = 50) -> DataFrame:
     """Document -> each of its `back` predecessors of one source; arrives at doc_id / per_snapshot."""
     docs = load(spark, sf_dir, "documents").select("doc_id", "source")
-    order = Window.partitionBy("source").orderBy("doc_id")
-    docs = docs.select("doc_id", *[F.lag("doc_id", i).over(order).alias(f"back{i}") for i in range(1, back + 1)])
-    earlier = F.array(*[F.col(f"back{i}") for i in range(1, back + 1)])
-    cites = docs.select(F.col("doc_id").alias("src"), F.explode(earlier).alias("dst"), F.floor(F.col("doc_id") / per_snapshot).cast("int").alias("valid_from"))
-    return cites.filter("dst is not null")
+    docs = before_in_order(docs, ["source"], F.floor(F.col("doc_id") / CITATION_SLICE), ["doc_id"], "doc_id", back)
+    return docs.select(F.col("doc_id").alias("src"), F.explode("earlier").alias("dst"), F.floor(F.col("doc_id") / per_snapshot).cast("int").alias("valid_from"))
 
 
 def churn(base: DataFrame, n_nodes: int, snapshots: int, rho: float | None, seed: int = 42) -> DataFrame:
@@ -101,10 +125,18 @@ def churn(base: DataFrame, n_nodes: int, snapshots: int, rho: float | None, seed
     new = steps.join(F.broadcast(size)).withColumn("i", F.explode(F.expr("sequence(0L, greatest(cast(floor(ratio / 2 * m) as bigint) - 1, 0L))"))).filter("i < floor(ratio / 2 * m)")
     born = new.select(F.pmod(arithmetic_hash(F.col("i"), F.col("t"), 1, seed), F.lit(n_nodes)).alias("src"), F.pmod(arithmetic_hash(F.col("t"), F.col("i"), 2, seed), F.lit(n_nodes)).alias("dst"), F.col("t").alias("valid_from")).filter("src <> dst")
     births = base.select(F.col("src").cast("long"), F.col("dst").cast("long"), F.lit(0).cast("long").alias("valid_from")).union(born).distinct()
-    fates = births.join(F.broadcast(steps)).filter(F.col("t") > F.col("valid_from")).withColumn("dies", arithmetic_hash(F.col("src"), F.col("dst"), F.col("t"), seed) < F.col("ratio") / 2 * PRIME)
-    ends = fates.groupBy("src", "dst", "valid_from").agg(F.min(F.when(F.col("dies"), F.col("t"))).alias("end"))
-    ended = births.join(ends, ["src", "dst", "valid_from"], "left").withColumn("valid_to", F.coalesce("end", F.lit(snapshots)))
-    merged = ended.groupBy("src", "dst", "valid_to").agg(F.min("valid_from").alias("valid_from"))
+    # one row per snapshot, so the ratios travel as one array; the first death is found within the row
+    ratios = steps.agg(F.transform(F.sort_array(F.collect_list(F.struct("t", "ratio"))), lambda x: x["ratio"]).alias("ratios"))
+    dies = lambda t: arithmetic_hash(F.col("src"), F.col("dst"), t, seed) < F.get("ratios", (t - 1).cast("int")) / 2 * PRIME
+    later = F.when(F.col("valid_from") < snapshots - 1, F.sequence(F.col("valid_from") + 1, F.lit(snapshots - 1).cast("long"))).otherwise(F.array().cast("array<bigint>"))
+    end = F.array_min(F.filter(later, dies))
+    ended = births.join(F.broadcast(ratios)).withColumn("valid_to", F.coalesce(end, F.lit(snapshots)))
+    lives = ended.groupBy("src", "dst", "valid_to").agg(F.min("valid_from").alias("valid_from"))
+    # an edge born in the snapshot in which it would die lives on
+    order = Window.partitionBy("src", "dst").orderBy("valid_from")
+    fresh = F.when(F.col("valid_from") <= F.lag("valid_to").over(order), 0).otherwise(1)
+    lives = lives.withColumn("fresh", fresh).withColumn("stay", F.sum("fresh").over(order))
+    merged = lives.groupBy("src", "dst", "stay").agg(F.min("valid_from").alias("valid_from"), F.max("valid_to").alias("valid_to"))
     return merged.select("src", "dst", edge_id().alias("edge_id"), F.lit(1).cast("long").alias("w"), F.col("valid_from").cast("int").alias("valid_from"), F.col("valid_to").cast("int").alias("valid_to"))
 
 
@@ -113,7 +145,8 @@ def churn_feats(nodes: DataFrame, snapshots: int, rho: float, lanes: int = 2, se
     versions = nodes.withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(snapshots - 1)))).filter((F.col("t") == 0) | (arithmetic_hash(F.col("node"), F.col("t"), 3, seed + 1) < rho * PRIME))
     order = Window.partitionBy("node").orderBy("t")
     made = [F.pmod(arithmetic_hash(F.col("node"), F.lit(k), F.col("t"), seed), F.lit(1000)).alias(f"f{k}") for k in range(lanes)]
-    return versions.select("node", *made, F.col("t").alias("valid_from"), F.coalesce(F.lead("t").over(order), F.lit(snapshots)).alias("valid_to"))
+    values = versions.select("node", *made, F.col("t").alias("valid_from"), F.coalesce(F.lead("t").over(order), F.lit(snapshots)).alias("valid_to"))
+    return runs_of_values(values, "node", tuple(f"f{k}" for k in range(lanes)))
 
 
 def replicate(edges: DataFrame, copies: int, n_nodes: int) -> DataFrame:

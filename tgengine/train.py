@@ -1,124 +1,558 @@
-"""Distributed training: samples stay whole in one task, only gradients leave it."""
+"""Distributed training of four schemes on the same samples.
+
+A sample is a block's mini-batch over one sequence: the targets of the batch and their (sampled) k-hop in-neighbours, over the
+snapshots of the sequence and those that it predicts. A global step takes one chunk of consecutive sequences of every block,
+of one batch. All schemes compute the same gradients; what differs is where the parts of a sample live and what moves:
+
+* block: a block's rows lie on one machine, placed once, with copies of the snapshots that straddle blocks. A task takes the whole
+  chunk, keeps its stores over the sequences, and only its summed gradient leaves.
+* node_part: features lie with their nodes' owners. Each sample pulls the features it needs, for every snapshot and again for
+  every sequence; every gate gathers anew.
+* node_part_gate: the same, with one aggregate for all gates of a cell.
+* seq_part: snapshots of one sequence lie on different machines. Stacked models shuffle the graph layers' output to the nodes'
+  owners and the states back; integrated ones hand the state on from machine to machine, forth and back.
+
+Gradients are summed within the task and then by (parameter, position) in the engine; one vector comes to the driver.
+Rows that cross machines are counted while they are moved (`moved`: bytes of node vectors, 8 a value).
+"""
 
 from __future__ import annotations
 
 import json
+import time
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from .nn.models import Adam, Sample, Weights, forward, init, loss_and_grads, targets
+from .nn import models
+from .nn.models import Adam, Sample, Weights
 from .nn.tape import Graph
+from .operators import batches as mini
+from .operators import placement
 from .operators.sequences import count
 from .operators.temporal import TemporalGraph, expand
 from .plans.reuse import ALL, MODELS, Flags
+from .storage import stored, temporary
+
+SCHEMES = {"block": ALL, "node_part": Flags(False, False, False, False), "node_part_gate": Flags(False, True, False, False), "seq_part": Flags(False, False, False, False)}
+PART = "name string, i int, g double"
+
+
+@dataclass(frozen=True)
+class Job:
+    """Settings of a run. `capacity`: entries of the global store, None without bound."""
+
+    model: str = "int_conv_gru"
+    scheme: str = "block"
+    epochs: int = 2
+    hidden: int = 8
+    length: int = 8
+    machines: int = 2
+    batches: int = 2
+    chunks: int = 2
+    fanouts: tuple[int, ...] | None = (25, 10)
+    rate: float = 1e-2
+    seed: int = 7
+    held_out: float = 0.2
+    order: str = "seq_first"
+    capacity: int | None = None
+    policy: str = "lookahead"
+    flags: Flags | None = None
+
+    @property
+    def reuse(self) -> Flags:
+        return self.flags or SCHEMES[self.scheme]
+
+    @property
+    def extra(self) -> int:
+        """Snapshots beyond a sequence's own that it reads or predicts."""
+        return 2 if MODELS[self.model].decoder else 1
+
 
-#: What each scheme reuses and how it deals out its samples; the mathematics is the same.
-SCHEMES = {"block": (ALL, "consecutive"), "node_part_gate": (Flags(False, True, False, False), "hashed"), "seq_part": (Flags(False, False, False, False), "hashed")}
+@dataclass
+class Samples:
+    """rows(block, batch_id, t, kind, a, b, n, lanes): edges 'e' (a -> b) and features 'f' (of a; b 1 for targets, n targets in the batch)."""
 
+    rows: DataFrame
+    plan: list[tuple[int, int, int]]  # (q, block, chunk); chunk -1: held out
+    lanes: tuple[str, ...]
+    scale: np.ndarray
+    moved: dict[str, int] = field(default_factory=dict)
 
-def block_rows(graph: TemporalGraph, machines: int, length: int, extra: int, layout: str) -> tuple[DataFrame, dict[int, list[int]]]:
-    """Edges and features of each machine's snapshots as one table (block, t, kind, a, b, lanes), and each machine's sequences."""
-    n = count(graph.snapshots, length, 1, extra)
-    owner = {q: (q * machines // n if layout == "consecutive" else q % machines) for q in range(n)}
-    need = sorted({(b, t) for q, b in owner.items() for t in range(q, q + length + extra)})
-    where = graph.edges.sparkSession.createDataFrame(need, "block int, t int")
-    e = expand(graph.edges).select("t", F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), *[F.lit(0.0).alias(x) for x in graph.lanes])
-    f = expand(graph.feats).select("t", F.lit("f").alias("kind"), F.col("node").alias("a"), F.lit(0).cast("long").alias("b"), *[F.col(x).cast("double").alias(x) for x in graph.lanes])
-    mine: dict[int, list[int]] = {b: [] for b in range(machines)}
-    for q, b in owner.items():
-        mine[b].append(q)
-    return e.union(f).join(F.broadcast(where), "t"), mine
+    def chunk(self, chunk: int) -> dict[int, list[int]]:
+        out: dict[int, list[int]] = {}
+        for q, b, c in self.plan:
+            if c == chunk:
+                out.setdefault(b, []).append(q)
+        return out
 
 
-def unpack(pdf: pd.DataFrame, nodes: list[int], lanes: tuple[str, ...], scale: np.ndarray) -> Sample:
-    at = {n: i for i, n in enumerate(nodes)}
+def schedule(snapshots: int, job: Job) -> list[tuple[int, int, int]]:
+    """(q, block, chunk) of every sequence; the last share of the sequences is held out (chunk -1). As long as the snapshots are many, not the data."""
+    n = count(snapshots, job.length, 1, job.extra)
+    train = max(1, int(n * (1 - job.held_out)))
+    out = []
+    for q in range(n):
+        block = q * job.machines // n
+        mine = [x for x in range(train) if x * job.machines // n == block]
+        out.append((q, block, (q - mine[0]) * job.chunks // len(mine) if q < train else -1))
+    return out
+
+
+def samples(graph: TemporalGraph, job: Job) -> Samples:
+    """Computation graphs and features of all batches, placed by block once."""
+    spark = graph.edges.sparkSession
+    plan = schedule(graph.snapshots, job)
+    need = spark.createDataFrame(sorted({(b, t) for q, b, _ in plan for t in range(q, q + job.length + job.extra)}), "block int, t int")
+    batch = stored(mini.sampler(graph.nodes, job.batches))
+    size = batch.groupBy("batch_id").agg(F.count(F.lit(1)).cast("int").alias("n"))
+    hops = stored(mini.khop(graph, batch, 2, job.fanouts).select("batch_id", "t", "src", "dst").distinct())
+    spans = batch.select("batch_id", F.explode(F.sequence(F.lit(0), F.lit(graph.snapshots - 1))).alias("t"), "node", F.lit(1).cast("long").alias("b"))
+    nodes = hops.select("batch_id", "t", F.col("src").alias("node"), F.lit(0).cast("long").alias("b")).union(spans)
+    nodes = nodes.groupBy("batch_id", "t", "node").agg(F.max("b").alias("b")).join(size, "batch_id")
+    lanes = [F.coalesce(F.col(x).cast("double"), F.lit(0.0)).alias(x) for x in graph.lanes]
+    f = nodes.join(expand(graph.feats), ["t", "node"], "left").select("batch_id", "t", F.lit("f").alias("kind"), F.col("node").alias("a"), "b", "n", *lanes)
+    e = hops.select("batch_id", "t", F.lit("e").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.lit(0).alias("n"), *[F.lit(0.0).alias(x) for x in graph.lanes])
+    rows = stored(e.unionByName(f).join(F.broadcast(need), "t").select("block", "batch_id", "t", "kind", "a", "b", "n", *graph.lanes))
+    top = graph.feats.agg(*[F.max(x) for x in graph.lanes]).first()
+    return Samples(rows, plan, graph.lanes, np.array([max(1.0, float(x or 0)) for x in top]))
+
+
+def unpack(pdf: pd.DataFrame, lanes: tuple[str, ...], scale: np.ndarray, job: Job, nodes: np.ndarray | None = None) -> tuple[Sample, np.ndarray, int]:
+    """A sample from its rows, its nodes in order, and the number of targets; nodes are numbered within the sample."""
+    edge = (pdf["kind"] == "e").to_numpy()
+    a, b, t = pdf["a"].to_numpy(), pdf["b"].to_numpy(), pdf["t"].to_numpy()
+    if nodes is None:
+        nodes = np.unique(np.r_[a, b[edge]])
+    values = pdf[list(lanes)].to_numpy()
     graphs, feats = {}, {}
-    for t, rows in pdf.groupby("t"):
-        e = rows[rows.kind == "e"].sort_values(["a", "b"])
-        src, dst = e["a"].map(at).to_numpy(dtype=np.int64), e["b"].map(at).to_numpy(dtype=np.int64)
-        degree = np.bincount(dst, minlength=len(nodes)) if len(dst) else np.zeros(len(nodes))
-        graphs[int(t)] = Graph(src, dst, 1 / np.maximum(1, degree[dst]) if len(dst) else np.zeros(0), len(nodes))
+    for at in np.unique(t):
+        e = np.flatnonzero(edge & (t == at))
+        src, dst = np.searchsorted(nodes, a[e]), np.searchsorted(nodes, b[e])
+        order = np.lexsort((src, dst))
+        src, dst = src[order], dst[order]
+        degree = np.bincount(dst, minlength=len(nodes))
+        graphs[int(at)] = Graph(src, dst, np.ones(len(src)), len(nodes), 1 / np.maximum(1, degree))
+        f = np.flatnonzero(~edge & (t == at))
         x = np.zeros((len(nodes), len(lanes)))
-        f = rows[rows.kind == "f"]
-        x[f["a"].map(at).to_numpy(dtype=np.int64)] = f[list(lanes)].to_numpy() / scale
-        feats[int(t)] = x
-    return Sample(graphs, feats)
+        x[np.searchsorted(nodes, a[f])] = values[f]
+        feats[int(at)] = x
+    wanted = np.searchsorted(nodes, np.unique(a[~edge & (b == 1)]))
+    n = int(pdf["n"].max()) if len(pdf) else 0
+    return Sample(graphs, feats, wanted, scale, job.capacity, job.policy), nodes, n
 
 
-def pack(g: Weights) -> bytes:
-    return b"".join(g[k].astype(np.float64).tobytes() for k in sorted(g))
+def _parts(grads: Weights, loss: float, stats: dict[str, float] | None = None) -> pd.DataFrame:
+    names, places, values = ["loss"], [np.zeros(1, dtype=np.int32)], [np.array([loss])]
+    for k, v in (stats or {}).items():
+        names.append(f"stat:{k}")
+        places.append(np.zeros(1, dtype=np.int32))
+        values.append(np.array([float(v)]))
+    for k in sorted(grads):
+        names += [k] * grads[k].size
+        places.append(np.arange(grads[k].size, dtype=np.int32))
+        values.append(grads[k].ravel())
+    return pd.DataFrame({"name": names, "i": np.concatenate(places), "g": np.concatenate(values)})
 
 
-def unpack_weights(flat: np.ndarray, like: Weights) -> Weights:
-    out, i = {}, 0
-    for k in sorted(like):
-        n = like[k].size
-        out[k] = flat[i : i + n].reshape(like[k].shape)
-        i += n
-    return out
+def sync_gradients(parts: DataFrame, like: Weights) -> tuple[Weights, float, dict[str, float]]:
+    """Sums (name, i, g) in the engine, partial sums first; one vector, the loss and the counters come back."""
+    out, loss, stats = {k: np.zeros(v.size) for k, v in like.items()}, 0.0, {}
+    for r in parts.groupBy("name", "i").agg(F.sum("g").alias("g")).collect():
+        if r["name"] == "loss":
+            loss = r["g"]
+        elif r["name"].startswith("stat:"):
+            stats[r["name"][5:]] = r["g"]
+        else:
+            out[r["name"]][r["i"]] = r["g"]
+    return {k: v.reshape(like[k].shape) for k, v in out.items()}, loss, stats
 
 
-def sync_gradients(rows: list) -> np.ndarray:
-    """Sum in the order of sequences, so that every scheme gives the same bits."""
-    return sum(np.frombuffer(bytes(r["g"]), dtype=np.float64) for r in sorted(rows, key=lambda r: r["q"])) / max(1, len(rows))
-
-
-def fit(graph: TemporalGraph, model: str = "int_conv_gru", scheme: str = "block", epochs: int = 3, hidden: int = 8, length: int = 8, machines: int = 2, steps_per_epoch: int = 4, rate: float = 1e-2, seed: int = 7, held_out: float = 0.2) -> tuple[Weights, list[dict]]:
-    """Synchronous data-parallel training. One job per global step: each task computes its sequences' gradients from its own snapshots; the driver sums vectors as long as the weights. Last `held_out` share of the sequences tests."""
-    flags, layout = SCHEMES[scheme]
-    extra = 2 if MODELS[model].decoder else 1
-    rows, mine = block_rows(graph, machines, length, extra, layout)
-    rows = rows.repartition(machines, "block").persist()
-    nodes = [r[0] for r in graph.nodes.select("node").distinct().orderBy("node").collect()]
-    lanes = graph.lanes
-    top = graph.feats.agg(*[F.max(x) for x in lanes]).first()
-    scale = np.array([max(1.0, float(x or 0)) for x in top])
-    n = count(graph.snapshots, length, 1, extra)
-    n_train = max(1, int(n * (1 - held_out)))
-    w = init(model, len(lanes), hidden, seed)
-    opt = Adam(w, rate)
-    curve = []
+class Scheme:
+    """One way to spread the samples; `step` gives the summed gradients and loss of one chunk of one batch, `test` the held-out error."""
+
+    def __init__(self, s: Samples, job: Job, graph: TemporalGraph):
+        self.s, self.job, self.graph, self.spark = s, job, graph, s.rows.sparkSession
+
+    def sequences(self, chunk: int) -> DataFrame:
+        """(block, q, t) of a chunk, t over all snapshots that a sequence reads or predicts."""
+        span = self.job.length + self.job.extra
+        return self.spark.createDataFrame([(b, q, q + i) for b, qs in self.s.chunk(chunk).items() for q in qs for i in range(span)], "block int, q int, t int")
+
+    def parts(self, w: Weights, batch: int, chunk: int, learn: bool) -> DataFrame:
+        raise NotImplementedError
+
+    def close(self) -> None:
+        """Frees what the scheme holds."""
+
+    def step(self, w: Weights, batch: int, chunk: int, learn: bool = True) -> tuple[Weights, float, dict[str, float]]:
+        return sync_gradients(self.parts(w, batch, chunk, learn), w)
+
+
+def _whole(sample: Sample, qs: list[int], w: Weights, job: Job, n: int, learn: bool) -> pd.DataFrame:
+    """Loss and gradients of whole sequences, in order, through one pair of stores."""
+    flags, cells = job.reuse, max(1, n * next(iter(sample.feats.values())).shape[1])
+    sequences = [list(range(q, q + job.length)) for q in qs]
+    sample.expect(job.model, sequences, flags)
+    loss, grads = 0.0, {}
+    for at, times in enumerate(sequences):
+        ys, p = models.forward(job.model, sample, times, w, job.hidden, flags, q=at)
+        ends = models.targets(job.model, times)
+        each = models.total([models.error(y, sample, t, cells * len(ends)) for y, t in zip(ys, ends)])
+        loss += float(each.value)
+        if learn:
+            models.backward(each)
+            for k, v in p.items():
+                if v.grad is not None:
+                    grads[k] = grads.get(k, 0) + v.grad
+    g, local = sample.global_store, sample.local_store
+    return _parts(grads, loss, {"passes": sample.passes(), "messages": sample.messages(), "hits": g.hits, "misses": g.misses, "local_hits": local.hits, "peak_bytes": g.peak_bytes + local.peak_bytes})
+
+
+class Block(Scheme):
+    def __init__(self, s: Samples, job: Job, graph: TemporalGraph):
+        super().__init__(s, job, graph)
+        self.placed = s.rows.repartition(job.machines, "block").persist()  # the one shuffle of the job; steps read in place
+        s.moved.update(features=0, states=0)
+
+    def close(self) -> None:
+        self.placed.unpersist()
+
+    def parts(self, w: Weights, batch: int, chunk: int, learn: bool) -> DataFrame:
+        job, lanes, scale, mine = self.job, self.s.lanes, self.s.scale, self.s.chunk(chunk)
+        span = job.length + job.extra
+        times = {b: (min(qs), max(qs) + span) for b, qs in mine.items()}
+        where = [(F.col("block") == b) & F.col("t").between(lo, hi - 1) for b, (lo, hi) in times.items()]
+        any_of: Column = where[0]
+        for x in where[1:]:
+            any_of = any_of | x
 
-    def job(wanted: set[int], weights: Weights, grads: bool) -> list:
         def run(pdf: pd.DataFrame) -> pd.DataFrame:
-            s = unpack(pdf, nodes, lanes, scale)
-            out = []
-            for q in mine[int(pdf["block"].iloc[0])]:
-                if q not in wanted:
-                    continue
-                if not (flags.sequences or flags.teacher):
-                    s.known.clear()
-                times = list(range(q, q + length))
-                if grads:
-                    loss, g = loss_and_grads(model, s, times, weights, hidden, flags)
-                    out.append((q, loss, pack(g)))
+            sample, _, n = unpack(pdf, lanes, scale, job)
+            return _whole(sample, mine[int(pdf["block"].iloc[0])], w, job, n, learn)
+
+        return self.placed.filter((F.col("batch_id") == batch) & any_of).groupBy("block").applyInPandas(run, PART)
+
+
+class NodePart(Scheme):
+    """Sample (batch, q) runs on machine (q * batches + batch) mod M; a feature row is pulled from machine node mod M."""
+
+    def __init__(self, s: Samples, job: Job, graph: TemporalGraph):
+        super().__init__(s, job, graph)
+        features = expand(graph.feats).select("t", F.col("node").alias("a"), *[F.col(x).cast("double").alias(x) for x in graph.lanes])
+        self.features = stored(features.withColumn("owner", F.pmod("a", F.lit(job.machines)).cast("int")))
+        s.moved.update(features=0, states=0)
+
+    def parts(self, w: Weights, batch: int, chunk: int, learn: bool) -> DataFrame:
+        job, lanes, scale = self.job, self.s.lanes, self.s.scale
+        here = self.s.rows.filter(F.col("batch_id") == batch).drop(*lanes).join(F.broadcast(self.sequences(chunk)), ["block", "t"])
+        here = here.withColumn("machine", F.pmod(F.col("q") * job.batches + batch, F.lit(job.machines)).cast("int"))
+        zero = [F.lit(0.0).alias(x) for x in lanes]
+        columns = ["machine", "q", "t", "kind", "a", "b", "n"]
+        pulled = here.filter("kind = 'f'").join(self.features, ["t", "a"], "left")
+        seen = Observation()
+        far = F.sum(F.when(F.col("owner") != F.col("machine"), 8 * len(lanes)).otherwise(0))
+        pulled = pulled.observe(seen, F.coalesce(far, F.lit(0)).alias("bytes"))
+        pulled = pulled.select(*columns, *[F.coalesce(F.col(x), F.lit(0.0)).alias(x) for x in lanes])
+        # written, so that what was pulled is counted once and survives a lost executor
+        rows = stored(pulled.unionByName(here.filter("kind = 'e'").select(*columns, *zero)))
+        self.s.moved["features"] += seen.get["bytes"]
+
+        def run(pdf: pd.DataFrame) -> pd.DataFrame:
+            sample, _, n = unpack(pdf, lanes, scale, job)
+            return _whole(sample, [int(pdf["q"].iloc[0])], w, job, n, learn)
+
+        return rows.groupBy("machine", "q").applyInPandas(run, PART)
+
+
+class SeqPart(Scheme):
+    """Snapshot i of a sequence lies on machine floor((i - 1) * M / L), node v's states on machine v mod M."""
+
+    ROWS = "what string, q int, idx int, node long, layer int, v array<double>"
+
+    def __init__(self, s: Samples, job: Job, graph: TemporalGraph):
+        super().__init__(s, job, graph)
+        s.moved.update(features=0, states=0)
+
+    def machine(self, idx: Column) -> Column:
+        return F.floor((idx - 1) * self.job.machines / self.job.length).cast("int")
+
+    def kept(self, df: DataFrame, apart: Column | None = None) -> DataFrame:
+        """The rows written down; those that cross machines (`apart`) are counted on the way."""
+        if apart is None:
+            return stored(df)
+        seen = Observation()
+        bytes_ = F.sum(F.when(apart & F.col("what").isin("u", "h", "du", "dh", "state", "dstate"), 8 * F.size("v")).otherwise(0))
+        out = stored(df.observe(seen, F.coalesce(bytes_, F.lit(0)).alias("bytes")))
+        self.s.moved["states"] += int(seen.get["bytes"])
+        return out
+
+    def parts(self, w: Weights, batch: int, chunk: int, learn: bool) -> DataFrame:
+        seqs = F.broadcast(self.sequences(chunk))
+        rows = self.s.rows.filter(F.col("batch_id") == batch).join(seqs, ["block", "t"]).drop("block", "batch_id")
+        return (self._integrated if MODELS[self.job.model].decoder else self._stacked)(w, rows, learn)
+
+    def _gradient_parts(self, tables: list[DataFrame]) -> DataFrame:
+        out = None
+        for t in tables:
+            one = t.filter("what like 'g:%' or what = 'loss'").select(F.regexp_replace("what", "^g:", "").alias("name"), F.posexplode("v").alias("i", "g"))
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    # stacked models
+
+    def _stacked(self, w: Weights, rows: DataFrame, learn: bool) -> DataFrame:
+        job, lanes, scale, name = self.job, self.s.lanes, self.s.scale, self.job.model
+        layers, length, machines = MODELS[name].layers, job.length, job.machines
+        rows = stored(rows.withColumn("idx", (F.col("t") - F.col("q") + 1).cast("int")))
+        own = rows.filter(F.col("idx") <= length)
+        # what the last snapshot's successors hold is predicted where the nodes' states lie
+        truth = rows.filter((F.col("idx") == length + 1) & (F.col("kind") == "f") & (F.col("b") == 1))
+        truth = truth.select(F.lit("y").alias("what"), "q", "idx", F.col("a").alias("node"), F.col("n").alias("layer"), F.array(*[F.col(x) / float(s) for x, s in zip(lanes, scale)]).alias("v"))
+        apart = self.machine(F.col("idx")) != F.pmod("node", F.lit(machines))
+
+        def tables(pdf: pd.DataFrame) -> tuple[Sample, np.ndarray]:
+            s, nodes, _ = unpack(pdf, lanes, scale, job)
+            return s, nodes
+
+        def vectors(pdf: pd.DataFrame, nodes: np.ndarray, width: int) -> np.ndarray:
+            x = np.zeros((len(nodes), width))
+            if len(pdf):
+                at = np.searchsorted(nodes, pdf["node"].to_numpy())
+                good = at < len(nodes)
+                good[good] = nodes[at[good]] == pdf["node"].to_numpy()[good]
+                x[at[good]] = np.array(pdf["v"].tolist())[good]
+            return x
+
+        def out_rows(what: str, q: int, idx: int, nodes: np.ndarray, layer: int, x: np.ndarray) -> pd.DataFrame:
+            return pd.DataFrame({"what": what, "q": q, "idx": idx, "node": nodes, "layer": layer, "v": list(x)})
+
+        def grad_rows(q: int, grads: Weights, loss: float | None = None) -> pd.DataFrame:
+            some = [(f"g:{k}", q, 0, 0, 0, v.ravel()) for k, v in grads.items()] + ([("loss", q, 0, 0, 0, np.array([loss]))] if loss is not None else [])
+            return pd.DataFrame(some, columns=["what", "q", "idx", "node", "layer", "v"])
+
+        def conv(layer: int, back: bool):
+            def run(key: tuple, snap: pd.DataFrame, given: pd.DataFrame) -> pd.DataFrame:
+                q, idx = int(key[0]), int(key[1])
+                if not len(snap):
+                    return out_rows("u", q, idx, np.zeros(0, dtype=np.int64), layer, np.zeros((0, 1)))
+                s, mine = tables(snap)
+                t = q + idx - 1
+                hs = given[given["what"] == "h"]
+                nodes = mine if layer == 0 else np.unique(np.r_[mine, hs["node"].to_numpy()])
+                if layer:
+                    s, _, _ = unpack(snap, lanes, scale, job, nodes)
+                x = s.x(t) if layer == 0 else vectors(hs, nodes, job.hidden)
+                if not back:
+                    u, _ = models.conv_piece(name, layer, s.graphs[t], x, w)
+                    return out_rows("u", q, idx, nodes, layer, u)
+                width = job.hidden + (x.shape[1] if name == "stk_skip_lstm" else 0)
+                dx, grads = models.conv_piece(name, layer, s.graphs[t], x, w, vectors(given[given["what"] == "du"], nodes, width))
+                parts = [grad_rows(q, grads)]
+                if layer:
+                    parts.append(out_rows("dh", q, idx, nodes, layer - 1, dx))
+                return pd.concat(parts)
+
+            return run
+
+        def cell(layer: int, back: bool):
+            last = layer == layers - 1
+
+            def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+                q = int(key[0])
+                us = pdf[pdf["what"] == "u"]
+                nodes = np.unique(us["node"].to_numpy())
+                width = job.hidden + ((len(lanes) if layer == 0 else job.hidden) if name == "stk_skip_lstm" else 0)
+                x = [vectors(us[us["idx"] == i], nodes, width) for i in range(1, length + 1)]
+                if not back and not last:
+                    hs, _, _ = models.cell_piece(layer, x, w, job.hidden)
+                    return pd.concat([out_rows("h", q, i + 1, nodes, layer, h) for i, h in enumerate(hs)])
+                up, y = None, None
+                if last:
+                    t = pdf[pdf["what"] == "y"]
+                    at = np.searchsorted(nodes, t["node"].to_numpy())
+                    y = (np.array(t["v"].tolist()).reshape(len(t), len(lanes)), at, max(1, int(t["layer"].max()) * len(lanes)) if len(t) else 1)
                 else:
-                    y, _ = forward(model, s, times, weights, hidden, flags)
-                    out.append((q, float(np.mean([np.abs(o.value - s.feats[t]).mean() for o, t in zip(y, targets(model, times))])), b""))
-            return pd.DataFrame(out, columns=["q", "loss", "g"])
-
-        return rows.groupBy("block").applyInPandas(run, "q int, loss double, g binary").collect()
-
-    for epoch in range(epochs):
-        losses = []
-        for k in range(steps_per_epoch):
-            got = job(set(range(k, n_train, steps_per_epoch)), w, True)
-            opt.step(w, unpack_weights(sync_gradients(got), w))
-            losses += [r["loss"] for r in got]
-        test = sorted((r["q"], r["loss"]) for r in job(set(range(n_train, n)), w, False))
-        curve.append({"scheme": scheme, "epoch": epoch, "train_mae": float(np.mean(sorted(losses))), "test_mae": float(np.mean([x for _, x in test])) if test else 0.0})
-    rows.unpersist()
+                    d = pdf[pdf["what"] == "dh"]
+                    up = [vectors(d[d["idx"] == i], nodes, job.hidden) for i in range(1, length + 1)]
+                dx, grads, loss = models.cell_piece(layer, x, w, job.hidden, up, y)
+                parts = [grad_rows(q, grads if learn else {}, loss if last else None)]
+                if learn:
+                    parts += [out_rows("du", q, i + 1, nodes, layer, d) for i, d in enumerate(dx)]
+                return pd.concat(parts)
+
+            return run
+
+        empty = self.spark.createDataFrame([], self.ROWS)
+        at_snapshot = lambda given, layer, back: own.groupBy("q", "idx").cogroup(given.groupBy("q", "idx")).applyInPandas(conv(layer, back), self.ROWS)
+        owner = F.pmod("node", F.lit(machines)).cast("int")
+        at_owner = lambda given, layer, back: given.withColumn("owner", owner).groupBy("q", "owner").applyInPandas(cell(layer, back), self.ROWS)
+        us, hs, grads = [], [], []
+        below = empty
+        for layer in range(layers):
+            us.append(self.kept(at_snapshot(below, layer, False), apart))
+            if layer < layers - 1:
+                below = self.kept(at_owner(us[-1], layer, False), apart)
+                hs.append(below)
+        up = truth
+        for layer in reversed(range(layers)):
+            down = self.kept(at_owner(us[layer].unionByName(up), layer, True), apart)
+            grads.append(down)
+            if not learn:
+                break
+            given = down.filter("what = 'du'")
+            up = self.kept(at_snapshot(given.unionByName(hs[layer - 1]) if layer else given, layer, True), apart)
+            grads.append(up)
+            up = up.filter("what = 'dh'")
+        return self._gradient_parts(grads)
+
+    # integrated models
+
+    def _integrated(self, w: Weights, rows: DataFrame, learn: bool) -> DataFrame:
+        job, lanes, scale, name = self.job, self.s.lanes, self.s.scale, self.job.model
+        length, hidden, layers = job.length, job.hidden, MODELS[name].layers
+        runs: list[list[int]] = []
+        for i in range(length):
+            m = i * job.machines // length
+            if not runs or runs[-1][0] * job.machines // length != m:
+                runs.append([])
+            runs[-1].append(i)
+        stages = [("enc", r) for r in runs] + [("dec", r) for r in runs]
+        rows = stored(rows)
+        lists = rows.filter("kind = 'f'").select("q", F.col("a").alias("node")).distinct()
+        both = 2 if MODELS[name].gates == 4 else 1  # a GRU hands on one vector a layer
+        cells = length * len(lanes)
+
+        def piece(part: str, idx: list[int], back: bool):
+            def run(key: tuple, snap: pd.DataFrame, given: pd.DataFrame) -> pd.DataFrame:
+                q = int(key[0])
+                states = given[given["what"] == "state"]
+                nodes = np.unique(states["node"].to_numpy())
+                s, _, n = unpack(snap, lanes, scale, job, nodes)
+                times = [q + i + (part == "dec") for i in idx]
+
+                def pairs(rows: pd.DataFrame) -> list[tuple[np.ndarray, np.ndarray]]:
+                    out = []
+                    for layer in range(layers):
+                        x = np.zeros((len(nodes), 2 * hidden))
+                        r = rows[rows["layer"] == layer]
+                        if len(r):
+                            v = np.array(r["v"].tolist())
+                            x[np.searchsorted(nodes, r["node"].to_numpy()), : v.shape[1]] = v
+                        out.append((x[:, :hidden], x[:, hidden:]))
+                    return out
+
+                up = pairs(given[given["what"] == "dstate"]) if back else None
+                came, grads, loss = models.run_piece(name, s, part, times, w, pairs(states), job.reuse, up, max(1, n * cells), learn)
+                what = "dstate" if back else "state"
+                out = [pd.DataFrame({"what": what, "q": q, "idx": 0, "node": nodes, "layer": layer, "v": list(np.hstack([h, c][:both]))}) for layer, (h, c) in enumerate(came)]
+                some = [(f"g:{k}", q, 0, 0, 0, v.ravel()) for k, v in grads.items()]
+                if part == "dec" and (back or not learn):
+                    some.append(("loss", q, 0, 0, 0, np.array([loss])))
+                out.append(pd.DataFrame(some, columns=["what", "q", "idx", "node", "layer", "v"]))
+                return pd.concat(out)
+
+            return run
+
+        def snapshots(part: str, idx: list[int]) -> DataFrame:
+            lo, hi = idx[0] + (part == "dec"), idx[-1] + (2 if part == "dec" else 0)
+            return rows.filter((F.col("t") >= F.col("q") + lo) & (F.col("t") <= F.col("q") + hi))
+
+        zero = lists.select(F.lit("state").alias("what"), "q", F.lit(0).alias("idx"), "node", F.explode(F.sequence(F.lit(0), F.lit(layers - 1))).alias("layer"), F.array_repeat(F.lit(0.0), hidden * both).alias("v"))
+        states, grads = [stored(zero)], []
+        home = [i % len(runs) for i in range(len(stages))]
+        for i, (part, idx) in enumerate(stages):
+            out = snapshots(part, idx).groupBy("q").cogroup(states[-1].groupBy("q")).applyInPandas(piece(part, idx, False), self.ROWS)
+            turn = i + 1 < len(stages) and home[i] != home[i + 1]
+            states.append(self.kept(out, F.lit(turn)))
+            if not learn and part == "dec":
+                grads.append(states[-1])
+            states[-1] = states[-1].filter("what = 'state'")
+        if learn:
+            up = self.spark.createDataFrame([], self.ROWS)
+            for i in reversed(range(len(stages))):
+                part, idx = stages[i]
+                out = snapshots(part, idx).groupBy("q").cogroup(states[i].unionByName(up).groupBy("q")).applyInPandas(piece(part, idx, True), self.ROWS)
+                kept = self.kept(out, F.lit(i > 0 and home[i] != home[i - 1]))
+                grads.append(kept)
+                up = kept.filter("what = 'dstate'")
+        return self._gradient_parts(grads)
+
+
+KINDS = {"block": Block, "node_part": NodePart, "node_part_gate": NodePart, "seq_part": SeqPart}
+
+
+def fit(graph: TemporalGraph, job: Job = Job(), keep: str | None = None) -> tuple[Weights, list[dict]]:
+    """Synchronous training; each global step sums the gradients of one chunk of one batch over all blocks. With `keep`, a checkpoint is written after each epoch and the last one found there is resumed.
+
+    The curve holds for each epoch: train_mae, test_mae, seconds and samples of the training steps, bytes moved so far, and the counters of the graph layers and stores."""
+    spark = graph.edges.sparkSession
+    with temporary(spark):
+        return _fit(spark, graph, job, keep)
+
+
+def _fit(spark: SparkSession, graph: TemporalGraph, job: Job, keep: str | None) -> tuple[Weights, list[dict]]:
+    s = samples(graph, job)
+    scheme = KINDS[job.scheme](s, job, graph)
+    w = models.init(job.model, len(s.lanes), job.hidden, job.seed)
+    opt, curve, first = Adam(w, job.rate), [], 0
+    if keep and (found := latest(spark, keep)) is not None:
+        first, w, opt, curve = resume(spark, keep, found, job.rate)
+    held = sum(c < 0 for _, _, c in s.plan)
+    steps = [(b, c) for b in range(job.batches) for c in range(job.chunks)]
+    if job.order == "node_first":
+        steps.sort(key=lambda x: (x[1], x[0]))
+    for epoch in range(first, job.epochs):
+        losses, stats, began = 0.0, {}, time.perf_counter()
+        for b, c in steps:
+            with temporary(spark):
+                n = sum(map(len, s.chunk(c).values()))
+                grads, loss, counted = scheme.step(w, b, c)
+            opt.step(w, {k: g / n for k, g in grads.items()})
+            losses += loss / n
+            stats = {k: stats.get(k, 0) + v for k, v in counted.items()}
+        seconds, moved = time.perf_counter() - began, dict(s.moved)  # the test's own pulls aren't part of an epoch
+        with temporary(spark):
+            test = sum(scheme.step(w, b, -1, learn=False)[1] for b in range(job.batches)) / (held * job.batches) if held else 0.0
+        s.moved.update(moved)
+        made = (len(s.plan) - held) * job.batches
+        curve.append({"scheme": job.scheme, "model": job.model, "epoch": epoch, "train_mae": losses / len(steps), "test_mae": test, "seconds": seconds, "samples": made, "moved": sum(moved.values()), **stats})
+        if keep:
+            checkpoint(spark, keep, w, epoch + 1, opt, curve)
+    scheme.close()
     return w, curve
 
 
-def checkpoint(spark: SparkSession, path: str, w: Weights, step: int) -> None:
-    """One row per parameter; a step is a folder of its own, so a half-written one is never read."""
-    rows = [(k, json.dumps(list(v.shape)), v.ravel().tolist(), step) for k, v in w.items()]
-    spark.createDataFrame(rows, "param string, shape string, value array<double>, step int").coalesce(1).write.mode("overwrite").parquet(f"{path}/step={step:08d}")
+def checkpoint(spark: SparkSession, path: str, w: Weights, step: int, opt: Adam | None = None, curve: list[dict] | None = None) -> None:
+    """One row per parameter, the optimizer's moments beside it; a step is a folder of its own, so a half-written one is never read."""
+    flat = lambda x, k: x[k].ravel().tolist() if opt else None
+    rows = [(k, json.dumps(list(v.shape)), v.ravel().tolist(), flat(opt.m, k) if opt else None, flat(opt.v, k) if opt else None, opt.t if opt else 0, json.dumps(curve or []), step) for k, v in w.items()]
+    schema = "param string, shape string, value array<double>, m array<double>, v array<double>, turns int, curve string, step int"
+    spark.createDataFrame(rows, schema).coalesce(1).write.mode("overwrite").parquet(f"{path}/step={step:08d}")
 
 
-def resume(spark: SparkSession, path: str, step: int) -> Weights:
-    return {r["param"]: np.array(r["value"]).reshape(json.loads(r["shape"])) for r in spark.read.parquet(f"{path}/step={step:08d}").collect()}
+def latest(spark: SparkSession, path: str) -> int | None:
+    """The last step whose folder was written to its end."""
+    hadoop = spark._jvm.org.apache.hadoop.fs
+    base = hadoop.Path(path)
+    fs = base.getFileSystem(spark._jsc.hadoopConfiguration())
+    if not fs.exists(base):
+        return None
+    done = [f.getPath() for f in fs.listStatus(base) if f.getPath().getName().startswith("step=") and fs.exists(hadoop.Path(f.getPath(), "_SUCCESS"))]
+    return max((int(p.getName()[5:]) for p in done), default=None)
+
+
+def resume(spark: SparkSession, path: str, step: int, rate: float = 1e-2) -> tuple[int, Weights, Adam, list[dict]]:
+    """Step, weights, optimizer and curve as they were."""
+    rows = spark.read.parquet(f"{path}/step={step:08d}").collect()
+    shaped = lambda r, c: np.array(r[c]).reshape(json.loads(r["shape"]))
+    w = {r["param"]: shaped(r, "value") for r in rows}
+    opt = Adam(w, rate)
+    for r in rows:
+        if r["m"] is not None:
+            opt.m[r["param"]], opt.v[r["param"]], opt.t = shaped(r, "m"), shaped(r, "v"), r["turns"]
+    return step, w, opt, json.loads(rows[0]["curve"]) if rows else []
+
