@@ -389,6 +389,28 @@ def cache_hits_by_policy(spark, d):
     return cache.simulate(cache.trace(spark, 38), [(p, c) for p in cache.POLICIES for c in (1, 2, 3, 5, 7, 9, 10, 13, 15, 17)])
 
 
+@query()
+def cache_hits_real_sizes(spark, d):
+    """Hits by policy where entries are as large as the aggregates of the hand-off graph; capacity as a share of the data of one sequence."""
+    rows = cache.with_sizes(cache.trace(spark, 30), graphs.handoff(spark, d), 2)
+    return cache.simulate(rows, [(p, 17 * share) for p in cache.POLICIES for share in (0.1, 0.2, 0.4, 0.6, 0.8, 1.0)])
+
+
+@query(f"""select layer::int as layer, gate::int as gate, (4 - gate)::int as future, 0::int as imminence from (select unnest([1, 2]) as layer), (select unnest(range(1, 5)) as gate)""")
+def cache_upper_counts(spark, d):
+    """Hidden aggregates, and inputs above the first layer, are read by the gates still to come; they never wait."""
+    grid = spark.range(1, 3).select(F.col("id").cast("int").alias("layer")).withColumn("gate", F.explode(F.sequence(F.lit(1), F.lit(K))))
+    return grid.select("layer", "gate", cache.future_count_upper(K, F.col("gate")).cast("int").alias("future"), F.lit(cache.imminence("local", L, 1)).alias("imminence"))
+
+
+@query(TRADE + "select dst, round(sum(exp(f1 * 0.1) * f0) / sum(exp(f1 * 0.1)), 4) as a0, round(sum(exp(f1 * 0.1) * f1) / sum(exp(f1 * 0.1)), 6) as a1, 3 as version from c where t = 31 group by dst")
+def agg_attention_step(spark, d):
+    """Attention at one snapshot from that before it: targets without a changed in-edge keep theirs while the weights stay."""
+    g, score = _trade(spark, d), F.col("f1") * 0.1
+    kept = aggregate.weighted(g, score, 3).filter("t = 30").drop("t")
+    return aggregate.weighted_step(g, kept, 31, score, 3).withColumns({"a0": F.round("a0", 4), "a1": F.round("a1", 6)})
+
+
 @query()
 def cache_order_compare(spark, d):
     run = lambda o: cache.simulate(cache.trace(spark, 20, order=o, batches=6), [("lookahead", c) for c in (1, 3, 9, 17, 34, 68)]).withColumn("visit_order", F.lit(o))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from heapq import heappop, heappush
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -11,7 +12,11 @@ from pyspark.sql.window import Window
 
 from ..storage import stored
 from . import delta
-from .temporal import TemporalGraph, coded, contributions, expand
+from .temporal import TemporalGraph, at, coded, contributions, expand
+
+
+#: So many rows of two numbers may be broadcast; beyond, they are joined by shuffle.
+MAX_BROADCAST = 1_000_000
 
 
 def _sums(lanes: tuple[str, ...], sign: Column | None = None) -> list[Column]:
@@ -88,49 +93,64 @@ def _extremes(rows: DataFrame, lanes: tuple[str, ...], fn: str, keys: list[str])
     return rows.groupBy(*keys).agg(*out)
 
 
-def extremal(graph: TemporalGraph, fn: str = "max") -> DataFrame:
-    """Extremes by deltas. While no contributor of a target leaves, the old extreme is combined with the insertions; else the target alone is gathered anew. A target's changes are scanned in order, targets in parallel.
+#: In-edges (stays) of one target that a single task scans; a target with more is cut by edge.
+HUB = 100_000
+
+
+def extremal(graph: TemporalGraph, fn: str = "max", hub: int = HUB) -> DataFrame:
+    """Extremes by deltas. While no contributor of a target leaves, the old extreme is combined with the insertions; else the target alone is gathered anew, from the contributions still held. A target's changes are scanned in order, targets in parallel.
 
-    Columns t, dst, m0, e0, .., recomputed (lanes gathered anew at t).
+    The contributions of a target with more than `hub` in-edges are dealt by edge into pieces that are scanned apart; the pieces' extremes are then combined per snapshot.
+    Columns t, dst, m0, e0, .., recomputed (lanes gathered anew at t, over the pieces).
     """
     lanes, last = graph.lanes, graph.snapshots
     c = contributions(graph).select("dst", "edge_id", "valid_from", "valid_to", *[(F.col("w") * F.col(x)).alias(x) for x in lanes])
     names = [f"{p}{i}" for i in range(len(lanes)) for p in "me"]
-    best = max if fn == "max" else min
-    key = (lambda r: (r[0], -r[1])) if fn == "max" else (lambda r: r)
+    side = -1 if fn == "max" else 1
+    sizes = graph.edges.groupBy("dst").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > hub)
+    pieces = stored(sizes.select("dst", F.ceil(F.col("n") / hub).cast("int").alias("pieces")))
+    few = pieces.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    c = c.join(F.broadcast(pieces) if few else pieces, "dst", "left")
+    c = c.withColumn("piece", F.pmod(F.xxhash64("edge_id"), F.coalesce("pieces", F.lit(1)))).drop("pieces")
 
     def scan(pdf: pd.DataFrame) -> pd.DataFrame:
-        arrive, leave = {}, {}
+        """Each lane keeps its held contributions in a heap; those that have left are taken off when they come to the top."""
         rows = list(pdf[["edge_id", "valid_from", "valid_to", *lanes]].itertuples(index=False, name=None))
-        for r in rows:
-            arrive.setdefault(r[1], []).append(r)
-            if r[2] < last:
-                leave.setdefault(r[2], []).append(r)
-        held: dict = {}
-        top: list = [None] * len(lanes)
-        points = sorted(arrive.keys() | leave.keys())
-        out = []
+        points = sorted({r[1] for r in rows} | {r[2] for r in rows if r[2] < last})
+        rows.sort(key=lambda r: r[1])
+        heaps: list[list] = [[] for _ in lanes]
+        out, at = [], 0
         for p, t in enumerate(points):
-            gone = {(r[0], r[1]) for r in leave.get(t, ())}
-            hit = [top[i] is not None and top[i][2:] in gone for i in range(len(lanes))]
-            for g in gone:
-                held.pop(g, None)
-            new = arrive.get(t, [])
-            held.update({(r[0], r[1]): r for r in new})
-            for i in range(len(lanes)):
-                pool = held.values() if hit[i] else new
-                options = [(r[3 + i], r[0], r[0], r[1]) for r in pool] + ([top[i]] if top[i] is not None and not hit[i] else [])
-                top[i] = best(options, key=lambda o: key(o[:2])) if options else None
-            if held:
-                values = [x for o in top for x in o[:2]]
+            hit = 0
+            for heap in heaps:
+                if heap and heap[0][2] <= t:  # the contributor leaves
+                    while heap and heap[0][2] <= t:
+                        heappop(heap)
+                    hit += 1
+            while at < len(rows) and rows[at][1] == t:
+                r = rows[at]
+                for i, heap in enumerate(heaps):
+                    heappush(heap, (side * r[3 + i], r[0], r[2]))
+                at += 1
+            if all(heaps):
+                values = [x for heap in heaps for x in (side * heap[0][0], heap[0][1])]
                 until = points[p + 1] if p + 1 < len(points) else last
-                out += [(int(u), *values, sum(hit) if u == t else 0) for u in range(t, until)]
-        done = pd.DataFrame(out, columns=["t", *names, "recomputed"])
-        done.insert(1, "dst", pdf["dst"].iloc[0])
+                out.append((t, until, *values, hit))
+        done = pd.DataFrame(out, columns=["t", "until", *names, "recomputed"])
+        done.insert(2, "dst", pdf["dst"].iloc[0])
         return done
 
-    schema = "t int, dst long, " + ", ".join(f"{n} long" for n in names) + ", recomputed int"
-    return c.groupBy("dst").applyInPandas(scan, schema)
+    schema = "t int, until int, dst long, " + ", ".join(f"{n} long" for n in names) + ", recomputed int"
+    runs = c.groupBy("dst", "piece").applyInPandas(scan, schema)
+    # one row per run leaves the task; snapshots are spread after it, and only a run's first is marked
+    each = runs.withColumn("u", F.explode(F.sequence(F.col("t"), F.col("until") - 1)))
+    each = each.select(F.col("u").alias("t"), "dst", *names, F.when(F.col("u") == F.col("t"), F.col("recomputed")).otherwise(0).alias("recomputed"))
+    best = []
+    for i in range(len(lanes)):
+        pick = F.min(F.struct((side * F.col(f"m{i}")).alias("v"), F.col(f"e{i}").alias("e")))
+        best += [(side * pick["v"]).alias(f"m{i}"), pick["e"].alias(f"e{i}")]
+    whole = each.join(F.broadcast(pieces) if few else pieces, "dst", "left_semi").groupBy("t", "dst").agg(*best, F.sum("recomputed").cast("int").alias("recomputed"))
+    return each.join(F.broadcast(pieces) if few else pieces, "dst", "left_anti").unionByName(whole)
 
 
 def recompute_targets(graph: TemporalGraph, fn: str = "max") -> DataFrame:
@@ -143,19 +163,40 @@ def recompute_targets(graph: TemporalGraph, fn: str = "max") -> DataFrame:
 
 
 def retain_all(graph: TemporalGraph, fn: str = "max", lane: int = 0) -> DataFrame:
-    """Extremes from each target's contributions kept whole, best first: a deletion never gathers anew. t, dst, kept, best."""
-    v = (F.col("w") * F.col(graph.lanes[lane])).alias("v")
-    kept = expand(contributions(graph)).groupBy("t", "dst").agg(F.sort_array(F.collect_list(F.struct(v, "edge_id")), asc=fn == "min").alias("all"))
-    return kept.select("t", "dst", F.size("all").cast("long").alias("kept"), F.col("all")[0]["v"].alias("best"))
+    """Extremes with every contribution retained over time, so that a deletion never gathers anew: t, dst, kept (contributions held), best.
+
+    The retained table holds one row per value and stay; what is held in a snapshot is counted by running sums of arrivals and
+    departures, and its extreme is read off the retained rows, partial extremes first, so no target's rows meet in one list."""
+    c = contributions(graph)
+    held = _by_deltas(c.withColumn("_one", F.lit(0).cast("long")), ("_one",), F.lit(graph.snapshots), ["dst"]).select("t", "dst", F.col("cnt").alias("kept"))
+    v = F.col("w") * F.col(graph.lanes[lane])
+    # contributions of one target with one value and one stay differ in nothing that the extreme needs
+    runs = c.select("dst", v.alias("v"), "valid_from", "valid_to").groupBy("dst", "v", "valid_from").agg(F.max("valid_to").alias("valid_to"))
+    best = expand(runs).groupBy("t", "dst").agg((F.max("v") if fn == "max" else F.min("v")).alias("best"))
+    return held.join(best, ["t", "dst"]).select("t", "dst", "kept", "best")
 
 
 def weighted(graph: TemporalGraph, score: Column, version: int = 0) -> DataFrame:
-    """Attention with fixed weights: softmax of `score` over a target's in-edges. The weight version is part of the result's identity; after each update the sums start anew."""
-    rows = expand(contributions(graph)).withColumn("s", score)
-    top = Window.partitionBy("t", "dst")
-    e = rows.withColumn("p", F.exp(F.col("s") - F.max("s").over(top)))
+    """Attention with fixed weights: softmax of `score` over a target's in-edges. The weight version is part of the result's identity; after each update the sums start anew.
+
+    Partial aggregates only: each target's top score first, then the sums relative to it."""
+    c = contributions(graph).withColumn("s", score)
+    # the top over all snapshots keeps every exponent at or below zero, and one row per target is enough
+    c = c.join(c.groupBy("dst").agg(F.max("s").alias("top")), "dst").withColumn("p", F.exp(F.col("s") - F.col("top")))
     sums = [(F.sum(F.col("p") * F.col(x)) / F.sum("p")).alias(f"a{i}") for i, x in enumerate(graph.lanes)]
-    return e.groupBy("t", "dst").agg(*sums).withColumn("version", F.lit(version))
+    return expand(c).groupBy("t", "dst").agg(*sums).withColumn("version", F.lit(version))
+
+
+def weighted_step(graph: TemporalGraph, kept: DataFrame, t: int, score: Column, version: int = 0) -> DataFrame:
+    """Attention at snapshot t with the weights of version `version`, from `kept` (that of t - 1 and the same version): only targets with a changed in-edge are gathered anew. dst, a0.., version."""
+    names = [f"a{i}" for i in range(len(graph.lanes))]
+    hit = delta.build(graph).filter(F.col("t") == t).select("dst").distinct()
+    now = at(graph, t).select("dst").distinct()
+    c = contributions(graph).filter((F.col("valid_from") <= t) & (F.col("valid_to") > t)).join(hit, "dst", "left_semi").withColumn("s", score)
+    c = c.join(c.groupBy("dst").agg(F.max("s").alias("top")), "dst").withColumn("p", F.exp(F.col("s") - F.col("top")))
+    anew = c.groupBy("dst").agg(*[(F.sum(F.col("p") * F.col(x)) / F.sum("p")).alias(n) for n, x in zip(names, graph.lanes)])
+    same = kept.filter(F.col("version") == version).join(hit, "dst", "left_anti").join(now, "dst", "left_semi").select("dst", *names)
+    return anew.unionByName(same).withColumn("version", F.lit(version))
 
 
 def propagate(graph: TemporalGraph, message: Callable[[dict[str, Column]], Column], reduce: Callable[[Column], Column], invertible: bool = False, target: DataFrame | None = None) -> DataFrame:

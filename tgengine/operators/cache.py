@@ -9,9 +9,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .sequences import seq2seq
+from .sequences import count, seq2seq
+from .temporal import TemporalGraph, expand
 
 SIZE = 16
+#: Positions of a trace in one range of a running sum.
+RANGE = 1 << 20
 
 
 def trace(spark: SparkSession, snapshots: int, length: int = 8, stride: int = 1, gates: int = 4, order: str = "seq_first", batches: int = 1, layers: int = 1) -> DataFrame:
@@ -21,10 +24,13 @@ def trace(spark: SparkSession, snapshots: int, length: int = 8, stride: int = 1,
     s = s.withColumn("gate", F.explode(F.sequence(F.lit(1), F.lit(gates)))).withColumn("kind", F.explode(F.array(F.lit("input"), F.lit("hidden"))))
     cell = F.concat_ws(":", "kind", "batch_id", "q", "part", "layer", "idx")
     key = F.when((F.col("kind") == "input") & (F.col("layer") == 1), F.concat_ws(":", F.lit("x"), "batch_id", "t")).otherwise(cell)
-    outer = ["batch_id", "q"] if order == "seq_first" else ["q", "batch_id"]
-    place = [F.desc("part"), "layer", "idx"]  # 'enc' before 'dec', a layer after the one below
-    pos = F.row_number().over(Window.orderBy(*outer, *place, "gate", F.desc("kind")))
-    return s.withColumn("key", key).select((pos - 1).cast("long").alias("pos"), "batch_id", "q", "part", "layer", "idx", "gate", "kind", "t", "key")
+    n = count(snapshots, length, stride, stride)
+    outer = F.col("batch_id") * n + F.col("q") if order == "seq_first" else F.col("q") * batches + F.col("batch_id")
+    # 'enc' before 'dec', a layer after the one below, the input before the hidden state: places follow without a sort
+    pos = outer.cast("long") * 2 + F.when(F.col("part") == "dec", 1).otherwise(0)
+    pos = ((pos * layers + F.col("layer") - 1) * length + F.col("idx") - 1) * gates + F.col("gate") - 1
+    pos = pos * 2 + F.when(F.col("kind") == "hidden", 1).otherwise(0)
+    return s.withColumn("key", key).select(pos.cast("long").alias("pos"), "batch_id", "q", "part", "layer", "idx", "gate", "kind", "t", "key")
 
 
 def future_count(part: str, idx: Column, stride: int, gates: int, gate: Column) -> Column:
@@ -33,6 +39,11 @@ def future_count(part: str, idx: Column, stride: int, gates: int, gate: Column)
     return F.greatest(F.lit(low), 2 * idx - 2 * stride + shift) * gates - gate
 
 
+def trace_batches(accesses: DataFrame) -> DataFrame:
+    """Accesses by batch, for traces too long for one simulator: batches share no key."""
+    return accesses.groupBy("batch_id").agg(F.count(F.lit(1)).alias("accesses"), F.count_distinct("key").alias("entries"))
+
+
 def future_count_upper(gates: int, gate: Column) -> Column:
     """Of layers above the first, and of hidden aggregates: the gates still to come."""
     return F.lit(gates) - gate
@@ -62,27 +73,29 @@ def scores(spark: SparkSession, length: int = 8, stride: int = 1, gates: int = 4
 
 
 class Store:
-    """In-task cache. Expired entries leave at once; else the lowest score leaves first."""
+    """In-task cache. Expired entries leave at once; else the lowest score leaves first. Sizes are relative to the mean entry's; `capacity` is their sum."""
 
-    def __init__(self, capacity: int, policy: str = "lookahead"):
+    def __init__(self, capacity: float, policy: str = "lookahead"):
         self.capacity, self.policy, self.held = capacity, policy, OrderedDict()
+        self.sizes: dict = {}
         self.uses: dict = defaultdict(int)
         self.clock, self.age = 0, {}
 
-    def access(self, key, future: int = 0, imminent: float = 0.0, next_use: float = float("inf")) -> bool:
+    def access(self, key, future: int = 0, imminent: float = 0.0, next_use: float = float("inf"), size: float = 1.0) -> bool:
         hit = key in self.held
         self.uses[key] += 1
         if self.policy in ("lookahead", "optimum") and future <= 0:  # no read to come
             self.held.pop(key, None)
+            self.sizes.pop(key, None)
             return hit
         if self.policy == "lookahead":
-            score = future / SIZE - imminent
+            score = future / (SIZE * size) - imminent
         elif self.policy == "optimum":
             score = -next_use
         elif self.policy == "lfu":
             score = self.uses[key]
         elif self.policy == "freq_size_age":
-            score = self.clock + self.uses[key] / SIZE
+            score = self.clock + self.uses[key] / (SIZE * size)
         else:
             score = 0
         if hit:
@@ -90,11 +103,12 @@ class Store:
             self.held[key] = score
             return True
         self.held[key] = score
-        if len(self.held) > self.capacity:
+        self.sizes[key] = size
+        while sum(self.sizes.values()) > self.capacity:
             victim = next(iter(self.held)) if self.policy == "lru" else min(self.held, key=self.held.get)
             if self.policy == "freq_size_age":
                 self.clock = self.held[victim]
-            del self.held[victim]
+            del self.held[victim], self.sizes[victim]
             if self.policy == "lfu":
                 self.uses[victim] = 0
         return False
@@ -158,20 +172,20 @@ class LocalStore:
 POLICIES = ("lookahead", "lru", "lfu", "freq_size_age", "optimum")
 
 
-def replay(rows: list[tuple], policy: str, capacity: int, length: int, stride: int, gates: int) -> dict:
-    """Hits of one policy over (key, kind, part, gate) rows, over all, repeated and input accesses."""
+def replay(rows: list[tuple], policy: str, capacity: float, length: int, stride: int, gates: int) -> dict:
+    """Hits of one policy over (key, kind, part, gate[, size]) rows, over all, repeated and input accesses."""
     store, left, seen, places = Store(capacity, policy), defaultdict(int), set(), defaultdict(list)
     for i, r in enumerate(rows):
         left[r[0]] += 1
         places[r[0]].append(i)
     turn: dict = defaultdict(int)
     hits = repeat = hit_repeat = inputs = hit_inputs = 0
-    for key, kind, part, gate in rows:
+    for key, kind, part, gate, *size in rows:
         left[key] -= 1
         turn[key] += 1
         nxt = places[key][turn[key]] if turn[key] < len(places[key]) else float("inf")
         wait = 0 if gate < gates or kind == "hidden" else imminence(part, length, stride)
-        hit = store.access(key, left[key], wait, nxt)
+        hit = store.access(key, left[key], wait, nxt, *size)
         hits += hit
         if key in seen:
             repeat += 1
@@ -183,24 +197,39 @@ def replay(rows: list[tuple], policy: str, capacity: int, length: int, stride: i
     return {"accesses": len(rows), "hits_all": hits / max(1, len(rows)), "hits_repeated": hit_repeat / max(1, repeat), "hits_input": hit_inputs / max(1, inputs)}
 
 
-def simulate(accesses: DataFrame, cases: list[tuple[str, int]], length: int = 8, stride: int = 1, gates: int = 4) -> DataFrame:
+def with_sizes(accesses: DataFrame, graph: TemporalGraph, hidden: int = 64) -> DataFrame:
+    """The trace with the size of each aggregate: rows (targets at t) by lanes, or by the hidden size, relative to the mean."""
+    rows = expand(graph.edges).groupBy("t").agg(F.count_distinct("dst").alias("rows"))
+    width = F.when(F.col("kind") == "hidden", hidden).otherwise(len(graph.lanes))
+    sized = accesses.join(F.broadcast(rows), "t", "left").withColumn("cells", F.coalesce("rows", F.lit(1)) * width)
+    mean = sized.select("key", "cells").distinct().agg(F.avg("cells").alias("mean"))
+    return sized.join(F.broadcast(mean)).withColumn("size", F.col("cells") / F.col("mean")).drop("rows", "cells", "mean")
+
+
+def simulate(accesses: DataFrame, cases: list[tuple[str, float]], length: int = 8, stride: int = 1, gates: int = 4) -> DataFrame:
     """policy, capacity and hit rates: one group per case, sequential inside, parallel across."""
     spark = accesses.sparkSession
-    todo = spark.createDataFrame(cases, "policy string, capacity int")
-    rows = accesses.select("pos", "key", "kind", "part", "gate").join(F.broadcast(todo))
+    todo = spark.createDataFrame([(p, float(c)) for p, c in cases], "policy string, capacity double")
+    columns = ["key", "kind", "part", "gate", *(["size"] if "size" in accesses.columns else [])]
+    rows = accesses.select("pos", *columns).join(F.broadcast(todo))
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        p, c = pdf["policy"].iloc[0], int(pdf["capacity"].iloc[0])
-        ordered = pdf.sort_values("pos")[["key", "kind", "part", "gate"]].itertuples(index=False, name=None)
+        p, c = pdf["policy"].iloc[0], float(pdf["capacity"].iloc[0])
+        ordered = pdf.sort_values("pos")[columns].itertuples(index=False, name=None)
         return pd.DataFrame([{"policy": p, "capacity": c} | replay(list(ordered), p, c, length, stride, gates)])
 
-    return rows.groupBy("policy", "capacity").applyInPandas(run, "policy string, capacity int, accesses long, hits_all double, hits_repeated double, hits_input double")
+    return rows.groupBy("policy", "capacity").applyInPandas(run, "policy string, capacity double, accesses long, hits_all double, hits_repeated double, hits_input double")
 
 
 def memory(accesses: DataFrame) -> DataFrame:
     """Peak number of live aggregates: kept to the end of the run, and dropped after their last read."""
     life = accesses.groupBy("key").agg(F.min("pos").alias("born"), F.max("pos").alias("last"))
     steps = life.select(F.col("born").alias("pos"), F.lit(1).alias("d")).union(life.select(F.col("last") + 1, F.lit(-1))).groupBy("pos").agg(F.sum("d").alias("d"))
-    live = steps.select(F.sum("d").over(Window.orderBy("pos")).alias("live"))
+    # running sums by ranges of positions: each range within a task, then the ranges before it
+    steps = steps.withColumn("range", F.floor(F.col("pos") / RANGE))
+    whole = steps.groupBy("range").agg(F.sum("d").alias("whole"))
+    earlier = whole.select("range", F.coalesce(F.sum("whole").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("earlier"))
+    own = F.sum("d").over(Window.partitionBy("range").orderBy("pos"))
+    live = steps.withColumn("own", own).join(F.broadcast(earlier), "range").select((F.col("own") + F.col("earlier")).alias("live"))
     kept = life.agg(F.count(F.lit(1)).alias("kept_all"))
     return live.agg(F.max("live").alias("peak_with_expiry")).join(kept).select("kept_all", "peak_with_expiry", (1 - F.col("peak_with_expiry") / F.col("kept_all")).alias("saving"))

@@ -171,6 +171,10 @@ def sync_gradients(parts: DataFrame, like: Weights) -> tuple[Weights, float, dic
     return {k: v.reshape(like[k].shape) for k, v in out.items()}, loss, stats
 
 
+def _counters(s: Sample) -> Weights:
+    return {"stat:passes": np.array([s.passes()], dtype=float), "stat:messages": np.array([s.messages()], dtype=float)}
+
+
 class Scheme:
     """One way to spread the samples; `step` gives the summed gradients and loss of one chunk of one batch, `test` the held-out error."""
 
@@ -216,6 +220,7 @@ class Block(Scheme):
     def __init__(self, s: Samples, job: Job, graph: TemporalGraph):
         super().__init__(s, job, graph)
         self.placed = s.rows.repartition(job.machines, "block").persist()  # the one shuffle of the job; steps read in place
+        self.placed.count()  # once filled, its partitioning is known to the planner
         s.moved.update(features=0, states=0)
 
     def close(self) -> None:
@@ -348,7 +353,7 @@ class SeqPart(Scheme):
                 x = s.x(t) if layer == 0 else vectors(hs, nodes, job.hidden)
                 if not back:
                     u, _ = models.conv_piece(name, layer, s.graphs[t], x, w)
-                    return out_rows("u", q, idx, nodes, layer, u)
+                    return pd.concat([out_rows("u", q, idx, nodes, layer, u), grad_rows(q, _counters(s))])
                 width = job.hidden + (x.shape[1] if name == "stk_skip_lstm" else 0)
                 dx, grads = models.conv_piece(name, layer, s.graphs[t], x, w, vectors(given[given["what"] == "du"], nodes, width))
                 parts = [grad_rows(q, grads)]
@@ -393,7 +398,9 @@ class SeqPart(Scheme):
         us, hs, grads = [], [], []
         below = empty
         for layer in range(layers):
-            us.append(self.kept(at_snapshot(below, layer, False), apart))
+            made = self.kept(at_snapshot(below, layer, False), apart)
+            grads.append(made)
+            us.append(made.filter("what = 'u'"))
             if layer < layers - 1:
                 below = self.kept(at_owner(us[-1], layer, False), apart)
                 hs.append(below)
@@ -449,7 +456,7 @@ class SeqPart(Scheme):
                 came, grads, loss = models.run_piece(name, s, part, times, w, pairs(states), job.reuse, up, max(1, n * cells), learn)
                 what = "dstate" if back else "state"
                 out = [pd.DataFrame({"what": what, "q": q, "idx": 0, "node": nodes, "layer": layer, "v": list(np.hstack([h, c][:both]))}) for layer, (h, c) in enumerate(came)]
-                some = [(f"g:{k}", q, 0, 0, 0, v.ravel()) for k, v in grads.items()]
+                some = [(f"g:{k}", q, 0, 0, 0, v.ravel()) for k, v in (grads if back else _counters(s)).items()]
                 if part == "dec" and (back or not learn):
                     some.append(("loss", q, 0, 0, 0, np.array([loss])))
                 out.append(pd.DataFrame(some, columns=["what", "q", "idx", "node", "layer", "v"]))
@@ -467,10 +474,9 @@ class SeqPart(Scheme):
         for i, (part, idx) in enumerate(stages):
             out = snapshots(part, idx).groupBy("q").cogroup(states[-1].groupBy("q")).applyInPandas(piece(part, idx, False), self.ROWS)
             turn = i + 1 < len(stages) and home[i] != home[i + 1]
-            states.append(self.kept(out, F.lit(turn)))
-            if not learn and part == "dec":
-                grads.append(states[-1])
-            states[-1] = states[-1].filter("what = 'state'")
+            made = self.kept(out, F.lit(turn))
+            grads.append(made)
+            states.append(made.filter("what = 'state'"))
         if learn:
             up = self.spark.createDataFrame([], self.ROWS)
             for i in reversed(range(len(stages))):
