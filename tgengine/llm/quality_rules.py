@@ -1,11 +1,12 @@
 """Quality rules whose cutoffs are certified on labelled holdouts.
 
-Each rule rejects a text whose measure exceeds a cutoff. For every stratum (language) and rule, cutoffs are tried from
-the loosest to the tightest. A cutoff is certified while the exact binomial test of "this cutoff rejects at least a share
-`alpha / rules` of good texts" is significant at level `delta / (strata * rules)`: Bonferroni over strata and rules, and
-fixed-sequence testing along the cutoffs, which needs no further correction. The tightest certified cutoff is used; a
-stratum with too few labelled good texts gets none. Hence with probability 1 - delta no stratum loses more than a share
-`alpha` of its good texts to the rules.
+A rule rejects a text whose measure exceeds its cutoff. The cutoffs of all rules are tightened together, level by level, along
+the fixed grid `LEVELS`. For every stratum (language) the levels are tested from the loosest on: a level is certified while the
+exact binomial test of "the rules together reject at least a share `alpha` of this stratum's good texts" is significant at
+level `delta / strata`. Testing in a fixed order needs no further correction along the levels, and since all rules are judged
+as one rejection none over the rules; Bonferroni covers the strata. The tightest certified level is used; a stratum with too
+few labelled good texts for even a level that rejects none (86 for four strata) gets no cutoffs and keeps the base rule. Hence
+with probability 1 - delta no stratum loses more than a share `alpha` of its good texts to the rules.
 
 Everything runs in built-in DataFrame functions. Null or empty texts have no words and fail the base rule; a null language
 is the stratum 'und'; labels of unknown documents and repeated labels (any good one counts once) are harmless; repeated
@@ -34,8 +35,16 @@ MEASURES = {
     "repeats": "n_repeat_words / n_words",
     "long_words": "word_chars / (40.0 * n_words)",
 }
-#: Cutoffs in percent, loosest first.
-CUTOFFS = (100, 90, 80, 70, 60, 50, 45, 40, 35, 30, 25, 20, 15, 12, 10)
+#: Cutoffs in percent by level, loosest first.
+LEVELS = {
+    "symbols": (200, 150, 100, 70, 50, 40, 30, 25, 20, 15),
+    "capitals": (90, 80, 70, 60, 55, 50, 45, 40, 35, 30),
+    "shouts": (100, 80, 60, 50, 40, 30, 25, 20, 15, 10),
+    "same_lines": (90, 80, 70, 60, 55, 50, 45, 40, 35, 30),
+    "repeats": (50, 48, 46, 44, 42, 40, 38, 35, 32, 30),
+    "long_words": (100, 80, 70, 60, 50, 45, 40, 35, 30, 25),
+}
+N_LEVELS = 10
 #: Beyond so many strata the cutoffs are joined by shuffle instead of broadcast.
 MAX_BROADCAST_STRATA = 10_000
 STEP = "_q_"
@@ -109,23 +118,26 @@ def binomial_below(k: str, n: str, p: float) -> Column:
     return F.expr(step)
 
 
+def _broken(cutoffs: dict[str, Column]) -> Column:
+    """Whether any rule's measure exceeds its cutoff; null cutoffs and measures reject nothing."""
+    out = F.lit(False)
+    for rule, c in cutoffs.items():
+        out = out | F.coalesce(_measure(rule) * 100 > c, F.lit(False))
+    return out
+
+
 def certified_cutoffs(counts: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
-    """stratum and, for each rule, the tightest certified cutoff (null: none). `counts`: doc_id, stratum, base counts."""
-    rules = list(MEASURES)
+    """stratum and, for each rule, the cutoff of the tightest certified level (null: none). `counts`: doc_id, stratum, base counts."""
     good = labels.groupBy("doc_id").agg(F.max("quality").alias(f"{STEP}good")).filter(f"{STEP}good = 1").select("doc_id")
     held = counts.filter(~base_failed()).join(good, "doc_id", "left_semi")
-    sums = [F.count(F.lit(1)).alias("n")] + [
-        F.sum(F.when(_measure(r) * 100 > c, 1).otherwise(0)).alias(f"{r}_{c}") for r in rules for c in CUTOFFS
-    ]
-    tested = held.groupBy("stratum").agg(*sums)
+    rejected = [F.sum(_broken({r: F.lit(c[g]) for r, c in LEVELS.items()}).cast("long")).alias(f"k{g}") for g in range(N_LEVELS)]
+    tested = held.groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), *rejected)
     strata = tested.agg(F.count(F.lit(1)).alias(f"{STEP}strata"))
-    pairs = ", ".join(f"'{r}', {g}, {c}, {r}_{c}" for r in rules for g, c in enumerate(CUTOFFS))
-    long = tested.join(F.broadcast(strata)).selectExpr("stratum", "n", f"{STEP}strata", f"stack({len(rules) * len(CUTOFFS)}, {pairs}) as (rule, g, cutoff, k)")
-    tail = long.withColumn("p_value", binomial_below("k", "n", alpha / len(rules)))
-    failed = F.when(F.col("p_value") <= delta / (F.col(f"{STEP}strata") * len(rules)), None).otherwise(F.col("g"))
-    first = tail.groupBy("stratum", "rule").agg(F.min(failed).alias("stop"), F.collect_list(F.struct("g", "cutoff")).alias("all"))
-    kept = first.withColumn("cutoff", F.expr("array_min(transform(filter(all, x -> stop is null or x.g < stop), x -> x.cutoff))"))
-    return kept.groupBy("stratum").pivot("rule", rules).agg(F.first("cutoff"))
+    pairs = ", ".join(f"{g}, k{g}" for g in range(N_LEVELS))
+    long = tested.join(F.broadcast(strata)).selectExpr("stratum", "n", f"{STEP}strata", f"stack({N_LEVELS}, {pairs}) as (g, k)")
+    failed = F.when(binomial_below("k", "n", alpha) > delta / F.col(f"{STEP}strata"), F.col("g"))
+    level = long.groupBy("stratum").agg((F.coalesce(F.min(failed), F.lit(N_LEVELS)) - 1).alias("level"))
+    return level.select("stratum", *[F.get(F.array(*map(F.lit, c)), F.col("level")).alias(r) for r, c in LEVELS.items()])
 
 
 def stratum() -> Column:
@@ -138,10 +150,7 @@ def verdicts(counted: DataFrame, cutoffs: DataFrame) -> DataFrame:
     small = cutoffs.select(F.col("stratum").alias(f"{STEP}stratum"), *[F.col(r).alias(c) for r, c in names.items()])
     side = F.broadcast(small) if small.limit(MAX_BROADCAST_STRATA + 1).count() <= MAX_BROADCAST_STRATA else small
     df = counted.join(side, F.col("stratum") == F.col(f"{STEP}stratum"), "left")
-    broken = None
-    for r, c in names.items():
-        one = F.coalesce(_measure(r) * 100 > F.col(c), F.lit(False))
-        broken = one if broken is None else broken | one
+    broken = _broken({r: F.col(c) for r, c in names.items()})
     df = df.withColumn("base_failed", base_failed()).withColumn("kept", ~F.col("base_failed") & ~broken)
     return df.drop(f"{STEP}stratum", *names.values())
 

@@ -9,7 +9,7 @@ from .license_scan import op9_license_scan
 from .lm_scoring import op4_lm_scoring
 from .near_dup import op5_near_duplicates
 from .quality_classifier import op3_quality_classifier
-from .quality_rules import ALPHA, CUTOFFS, DELTA, MEASURES, op2_quality_rules
+from .quality_rules import ALPHA, DELTA, LEVELS, MEASURES, N_LEVELS, op2_quality_rules
 from .sentencepiece_codec import op6_sentencepiece
 from .sharding import op8_sharding
 
@@ -34,12 +34,12 @@ def queries() -> dict:
 
 def rules_sql() -> str:
     part = lambda m: f"({m.split(' / ')[0]}) * 1.0 / nullif({m.split(' / ')[1]}, 0)"
-    sums = ", ".join(f"count(*) filter ({part(m)} * 100 > {c}) as {r}_{c}" for r, m in MEASURES.items() for c in CUTOFFS)
-    cells = " union all ".join(f"select stratum, n, strata, '{r}' as rule, {g} as g, {c} as cutoff, {r}_{c} as k from tested, (select count(*) as strata from tested)" for r in MEASURES for g, c in enumerate(CUTOFFS))
-    p = ALPHA / len(MEASURES)
-    tail = f"list_sum(list_transform(range(0, least(k, n) + 1), lambda j: exp(lgamma(n + 1) - lgamma(j + 1) - lgamma(n - j + 1) + j * ln({p}) + (n - j) * ln(1 - {p}))))"
-    cuts = ", ".join(f"max(cutoff) filter (rule = '{r}') as cut_{r}" for r in MEASURES)
-    broken = " or ".join(f"coalesce({part(m)} * 100 > cut_{r}, false)" for r, m in MEASURES.items())
+    broken_at = lambda cut: " or ".join(f"coalesce({part(m)} * 100 > {cut(r)}, false)" for r, m in MEASURES.items())
+    sums = ", ".join(f"count(*) filter ({broken_at(lambda r, g=g: LEVELS[r][g])}) as k{g}" for g in range(N_LEVELS))
+    cells = " union all ".join(f"select stratum, n, strata, {g} as g, k{g} as k from tested, (select count(*) as strata from tested)" for g in range(N_LEVELS))
+    tail = f"list_sum(list_transform(range(0, least(k, n) + 1), lambda j: exp(lgamma(n + 1) - lgamma(j + 1) - lgamma(n - j + 1) + j * ln({ALPHA}) + (n - j) * ln(1 - {ALPHA}))))"
+    cuts = ", ".join(f"{list(c)}[level + 1] as cut_{r}" for r, c in LEVELS.items())
+    broken = broken_at(lambda r: f"cut_{r}")
     ws = r"[\x20\x09-\x0D]+"
     return rf"""
 with texts as (select doc_id, coalesce(lang, 'und') as stratum, coalesce(text, '') as text, row_number() over () as row from documents),
@@ -57,9 +57,8 @@ good as (select doc_id from labels group by doc_id having max(quality) = 1),
 tested as (select stratum, count(*) as n, {sums} from judged where not base_failed and doc_id in (select doc_id from good) group by stratum),
 cells as ({cells}),
 tails as (select *, {tail} as p from cells),
-stops as (select stratum, rule, min(g) filter (p > {DELTA} / (strata * {len(MEASURES)})) as stop from tails group by stratum, rule),
-certified as (select stratum, rule, min(cutoff) as cutoff from tails join stops using (stratum, rule) where stop is null or g < stop group by stratum, rule),
-cuts as (select stratum, {cuts} from certified group by stratum)
+levels as (select stratum, coalesce(min(g) filter (p > {DELTA} / strata), {N_LEVELS}) - 1 as level from tails group by stratum),
+cuts as (select stratum, {cuts} from levels where level >= 0)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and not ({broken}) as kept
 from judged left join cuts using (stratum)"""
 
