@@ -131,29 +131,67 @@ def test_language_model_is_normalised():
     assert abs(p.sum() - 1) < 1e-5
 
 
+def as_text(w):
+    return near_dup.Text(near_dup.Hasher()([x.encode() for x in w]))
+
+
+def common_in_order(a, b):
+    """Longest common subsequence, by the whole table."""
+    row = [0] * (len(b) + 1)
+    for x in a:
+        before, row = row, [0]
+        for j, y in enumerate(b):
+            row.append(before[j] + 1 if x == y else max(before[j + 1], row[j]))
+    return row[-1]
+
+
+def link_by_force(a, b):
+    """Whether two word lists are a link: exact word runs, and the exact longest common subsequence."""
+    runs = [set(zip(*(w[i:] for i in range(5)))) if len(w) >= 5 else {tuple(w)} for w in (a, b)]
+    jaccard = len(runs[0] & runs[1]) / len(runs[0] | runs[1])
+    return jaccard >= 0.8 or jaccard >= near_dup.FLOOR and common_in_order(a, b) >= 0.8 * max(len(a), len(b))
+
+
 def test_short_hash_filter_keeps_every_link(spark):
     base = [f"u{i}" for i in range(120)]
-    texts = [base[:60] + [f"x{k}y{i}" for i in range(k)] + base[60 + k :] for k in range(0, 30)] + [base + base[:9], base * 3]
+    texts = [base[:60] + [f"x{k}y{i}" for i in range(k)] + base[60 + k :] for k in range(0, 70, 2)] + [base + base[:9], base * 3]
     rows = []
     for k, w in enumerate(texts):
-        x = near_dup.kmers(near_dup.Hasher()(w))
+        x = as_text(w).kmers
         rows.append((k, near_dup.short_hashes(x).tolist() if len(set(x.tolist())) <= near_dup.FEW else None))
     few = spark.createDataFrame([*rows, (len(rows), None)], "k int, few array<int>")
     kept = {tuple(r) for r in few.alias("x").crossJoin(few.alias("y")).filter(near_dup._alike("x", "y")).select("x.k", "y.k").collect()}
-    runs = [near_dup.runs_of(w) for w in texts]
-    exact = {(i, j): len(a & b) / len(a | b) for i, a in enumerate(runs) for j, b in enumerate(runs)}
-    assert {p for p, s in exact.items() if s >= near_dup.LEAST} <= kept
-    assert not any(p in kept for p, s in exact.items() if s < 0.78)
+    runs = [as_text(w).distinct for w in texts]
+    exact = {(i, j): len(set(a) & set(b)) / len(set(a) | set(b)) for i, a in enumerate(runs) for j, b in enumerate(runs)}
+    assert {p for p, s in exact.items() if s >= near_dup.FLOOR} <= kept
+    assert not any(p in kept for p, s in exact.items() if s < near_dup.FLOOR - 0.03)
     assert {(len(rows), k) for k in range(len(rows) + 1)} <= kept  # without hashes nothing is ruled out
 
 
+def test_matched_words_against_the_whole_table():
+    import random
+
+    r = random.Random(9)
+    for n in (3, 30, 200, 400):
+        for edits in (0, 1, n // 20, n // 8):
+            a = [f"w{r.randrange(n)}" for _ in range(n)] if n % 3 else [f"w{i}" for i in range(n)]
+            b = list(a)
+            for _ in range(edits):
+                at = r.randrange(len(b))
+                b[at : at + r.randrange(2)] = [f"v{r.randrange(9)}"] * r.randrange(1, 3)
+            got, want = near_dup.matched(as_text(a), as_text(b)), common_in_order(a, b)
+            assert want * 0.97 - 1 <= got <= want
+
+
 def test_near_duplicates_against_all_pairs(spark, sf_dir):
     docs = read(spark, sf_dir, "documents").select("doc_id", "text").collect()
     base = " ".join(f"u{i}" for i in range(200))
     near = [(5000 + k, base.replace(f"u{40 + 9 * k} ", f"changed{k} ")) for k in range(15)]  # one large bucket
     far = [(6000 + k, " ".join(f"u{i}" for i in range(60)) + " " + " ".join(f"v{k}x{i}" for i in range(140))) for k in range(15)]
-    all_docs = [(r.doc_id, r.text) for r in docs] + near + far + [(None, base), (7000, None), (7001, ""), (7002, " "), (7003, "a b"), (7003, "a b")]
-    runs = [near_dup.runs_of(near_dup.words(t)) if near_dup.words(t) else None for _, t in all_docs]
+    edited = [(6500 + k, " ".join(f"e{k}z{i}" if i % (14 + k) or j < 1 else f"new{k}q{i}" for i in range(260))) for k in range(10) for j in range(2)]
+    edited = [(i + 100 * (n % 2), t) for n, (i, t) in enumerate(edited)]
+    all_docs = [(r.doc_id, r.text) for r in docs] + near + far + edited + [(None, base), (7000, None), (7001, ""), (7002, " "), (7003, "a b"), (7003, "a b"), (7004, "\u00a0"), (7005, "\u3000\u00a0"), (7006, "\x1c"), (7007, "\u00a0")]
+    split = [[w.decode() for w in near_dup.words(t)] for _, t in all_docs]
     label = list(range(len(all_docs)))
 
     def find(x):
@@ -161,23 +199,35 @@ def test_near_duplicates_against_all_pairs(spark, sf_dir):
             x = label[x]
         return x
 
-    for i, a in enumerate(runs):
+    few = [Counter(w) for w in split]
+    for i, a in enumerate(split):
         for j in range(i):
-            b = runs[j]
-            if a and b and min(len(a), len(b)) >= 0.8 * max(len(a), len(b)) and len(a & b) >= 0.8 * len(a | b):
+            b = split[j]
+            if a and b and (a == b or (min(len(a), len(b)) >= 0.5 * max(len(a), len(b)) and (few[i] & few[j]).total() > 0.5 * min(len(a), len(b)) and link_by_force(a, b))):
                 label[find(i)] = find(j)
     groups = {}
     for i, (d, _) in enumerate(all_docs):
         groups.setdefault(find(i), []).append(d)
     want = Counter((d, min((x for x in g if x is not None), default=None), len(g)) for g in groups.values() for d in g)
     table = spark.createDataFrame(all_docs, "doc_id long, text string")
-    assert Counter(map(tuple, near_dup.classes(table).collect())) == want
-    one = near_dup.keep_one(table.withColumn("key", table.doc_id))
-    assert one.columns == ["doc_id", "text", "key"]
-    assert one.count() == len({k for k in groups})
+    rows = near_dup.classes(table).collect()
+    got = Counter((r.doc_id, r.class_id, r.class_size) for r in rows)
+    assert got.total() == want.total() and (want - got).total() <= 0.02 * want.total()
+    assert all(r.class_size == 2 and r.n_links == 1 and 0.9 < r.similarity < 1 for r in rows if r.doc_id is not None and 6500 <= r.doc_id < 6700)
+    assert all(r.n_links == 0 and r.similarity is None for r in rows if r.doc_id in (7000, 7001, 7002, 7006))
+    one = near_dup.keep_one(table.withColumn("key", table.doc_id).withColumn("`x", table.doc_id))
+    assert one.columns == ["doc_id", "text", "key", "`x"]
+    kept = Counter(r.doc_id for r in one.collect())
+    assert kept.total() == len({(r.class_id, r.class_size, r.doc_id if r.class_size == 1 else 0) for r in rows})
+    assert kept[7004] == kept[7005] == kept[7006] == 1 and not kept[7007]
     assert near_dup.classes(table.limit(0)).count() == 0
 
 
+def test_near_duplicate_recall(spark):
+    got, links = near_dup.recall(read(spark, "/root/testdata/sf0.01", "documents"), 1)
+    assert links > 100 and got >= 0.97 * links
+
+
 def test_repeated_and_reordered_copies_are_near_duplicates(spark):
     import random
 
@@ -187,14 +237,13 @@ def test_repeated_and_reordered_copies_are_near_duplicates(spark):
         base = [f"t{k}w{r.randrange(10**6)}" for _ in range(300)]
         blocks = [base[i : i + 60] for i in range(0, 300, 60)][::-1]
         group = [base, base * 2, base * 3, [w for b in blocks for w in b]]
-        runs = [near_dup.runs_of(w) for w in group]
-        assert all(len(runs[0] & x) >= near_dup.LEAST * len(runs[0] | x) for x in runs)
+        assert all(near_dup.similarity(as_text(group[0]), as_text(x)) >= near_dup.LEAST for x in group)
         rows += [(4 * k + i, " ".join(w)) for i, w in enumerate(group)]
         want.update((4 * k + i, 4 * k, 4) for i in range(4))
     rows += [(900, "a a a a a"), (901, "a " * 40)]
     want.update([(900, 900, 2), (901, 900, 2)])
     table = spark.createDataFrame(rows, "doc_id long, text string")
-    assert Counter(map(tuple, near_dup.classes(table).collect())) == want
+    assert Counter((r.doc_id, r.class_id, r.class_size) for r in near_dup.classes(table).collect()) == want
     assert sorted(r.doc_id for r in near_dup.keep_one(table).collect()) == [*range(0, 320, 4), 900]
 
 

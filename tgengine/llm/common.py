@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -12,6 +10,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ..storage import shared_dir, stored
+
+__all__ = ["BLANKS", "map_rows", "quoted", "read", "remainder", "shared_dir", "stored", "text_or_empty"]
 #: The six characters that separate words.
 BLANKS = "\x20\x09\x0a\x0b\x0c\x0d"
 
@@ -20,24 +21,9 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; a local one only where the session names none (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = base.get() if base.isDefined() else None
-    if not base:
-        base = "file://" + tempfile.mkdtemp(prefix="tgengine-")
-        spark.sparkContext.setCheckpointDir(base)
-    return base.rstrip("/")
-
-
-def stored(df: DataFrame) -> DataFrame:
-    """`df` written to the shared folder and read again: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/stored-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def quoted(name: str) -> str:
+    """A column's name as a path of one part, whatever characters it holds."""
+    return "`" + name.replace("`", "``") + "`"
 
 
 def text_or_empty(col: str = "text"):

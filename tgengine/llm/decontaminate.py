@@ -22,7 +22,7 @@ from collections import Counter
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_rows, read, stored
+from .common import map_rows, quoted, read, stored
 
 WINDOW = 13
 MAX_WINDOWS = 400_000
@@ -164,7 +164,7 @@ def _judged(docs: DataFrame, carry: list[str], schema: str, items: DataFrame, si
 
 def clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = MAX_WINDOWS) -> DataFrame:
     """The rows that aren't contaminated, with their own columns only."""
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
+    kinds = ", ".join(f"{quoted(f.name)} {f.dataType.simpleString()}" for f in docs.schema)
     added = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
     clash = {c for c in docs.columns if c in ("n_words", "n_hit", "n_items", "items_sha256", "contaminated")}
     if clash:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import map_rows, read, remainder
+from .common import map_rows, quoted, read, remainder
 
 DIMS = 1 << 14
 PER_LANG = 300
@@ -129,7 +129,7 @@ def keep_known(docs: DataFrame, per_lang: int = PER_LANG) -> DataFrame:
     """The rows whose language is recognised, with their own columns only."""
     own = {c: f"_l{i}" for i, c in enumerate(docs.columns) if c != "text"}
     renamed = docs.withColumnsRenamed(own)
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in renamed.schema)
+    kinds = ", ".join(f"{quoted(f.name)} {f.dataType.simpleString()}" for f in renamed.schema)
     judged = predict(renamed, renamed.columns, f"{kinds}, lang_pred string, score double", learn(docs, per_lang))
     return judged.filter("lang_pred <> 'und'").drop("lang_pred", "score").withColumnsRenamed({v: k for k, v in own.items()})
 

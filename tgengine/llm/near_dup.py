@@ -6,18 +6,22 @@ texts agree in a sketch the likelier the more k-mers they share in the same orde
 k-mers, a text written twice or with its parts moved can be a link and yet share few of these sketches: for `SETS` of the hash
 functions, the two distinct k-mers with the smallest hashes, in order of the hashes, are a sketch too, by sets alone.
 
-Equal texts are one node. Nodes that agree in a sketch share a bucket and are candidates if they agree in `AGREE` sketches
-or more, or in one by sets, are of similar size and differ in few one-bit minimum hashes. In buckets of up to `SMALL` nodes all pairs are
-candidates. The members of a larger bucket are compared, by joins on the bucket, so that no task holds it whole, with
-`PIVOTS` members drawn by hash of the text in each of `ROUNDS` rounds (so the buckets of a group draw much the same ones, and
-its links stay few); then every pair with a member outside the bucket's largest
-component, and not connected yet, is a candidate too. So no link that joins two classes is left out, while links within a
-class need not all be found. In larger buckets, where two texts have up to `FEW` distinct k-mers, the hashes of these tell
-their similarity before their texts are fetched; alignment still decides.
-Candidates whose distinct five-word runs have a Jaccard similarity of `LEAST` or more are aligned within a band of edits;
-the similarity of the runs matched in order is reported where it reaches `LEAST` itself.
+Equal texts are one node. Nodes that agree in a sketch share a bucket and are candidates if they are of similar size and their
+one-bit minimum hashes don't rule out a Jaccard similarity of `FLOOR` of their five-word runs. In buckets of up to `SMALL` nodes
+all pairs are candidates. The members of a larger bucket are compared, by joins on the bucket and a salt, so that no task holds it
+whole, with `PIVOTS` members drawn by hash of the text in each of `ROUNDS` rounds (so the buckets of a group draw much the same
+ones, and its links stay few); then every pair with a member outside the bucket's largest component, and not connected yet, is a
+candidate too. So no link that joins two classes is left out, while links within a class need not all be found. In larger
+buckets, where two texts have up to `FEW` distinct k-mers, the hashes of these tell their similarity before their texts are fetched.
+
+Candidates are verified by alignment: k-mers that each text holds once, in the same order in both, are anchors; the words between
+two anchors are aligned within a band of edits. Two texts are linked if the words matched in order are `LEAST` or more of the
+longer text, or, for parts moved or repeated, if the Jaccard similarity of the distinct five-word runs is `LEAST` or more. Links
+of a Jaccard similarity below `FLOOR` are not looked for. At `FLOOR` two nodes agree in none of the sketches with probability
+0.03, at 0.5 with 0.01, at 0.6 with 0.001 (`recall` measures it against all pairs).
 Links are closed to classes by label propagation with pointer jumping; each round is a written table.
 
+Words are what stands between ASCII blanks, in lower case.
 Texts without a word, and null texts, are classes of their own row (class_id: their doc_id). A class is named by its
 smallest doc_id; null ids sort first only where no other exists. Repeated rows share a class; other columns are ignored.
 """
@@ -27,25 +31,28 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from .common import map_rows, read, stored
+from .common import map_rows, quoted, read, stored
 
 K = 5
 SKETCHES = 16
-AGREE = 3
-#: At a similarity of `LEAST`, nodes agree in a sketch by sets with probability 0.64, in none of eight with 0.0003.
 SETS = 8
 LEAST = 0.8
+FLOOR = 0.45
 SMALL = 12
 BAND = 48
 PIVOTS = 4
 #: Rounds of pivots before the rest of a large bucket is compared pair by pair.
 ROUNDS = 2
-#: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `LEAST` a
-#: tenth of the 256 bits differ, 45 with four standard deviations; texts of few k-mers leave bins empty and get more room.
+#: Blocks that a large bucket's members are dealt to.
+SALTS = 8
+#: Members of a block where a bucket's pairs are compared one by one.
+BLOCK = 2048
+#: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `FLOOR` 70 of
+#: the 256 bits differ, 106 with five standard deviations (3 pairs in ten million are lost); texts of fewer than `SHORT`
+#: k-mers leave bins empty and aren't filtered.
 ROWS = 8
-UNLIKE, UNLIKE_SHORT, SHORT = 45, 64, 64
+UNLIKE, SHORT = 106, 64
 #: Distinct k-mers up to which a node carries the 32-bit hashes of all.
 FEW = 256
 #: Hash values computed at a time.
@@ -61,8 +68,8 @@ _NUMBER = np.arange(SKETCHES, dtype=np.uint64)
 _EDGES = np.arange(32, dtype=np.uint64) << np.uint64(59)
 
 
-def words(text: str | None) -> list[str]:
-    return (text or "").lower().split()
+def words(text: str | None) -> list[bytes]:
+    return (text or "").lower().encode("utf-8", "surrogatepass").split()
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -76,7 +83,7 @@ class Hasher:
     def __init__(self, size: int = 200_000):
         self.known, self.size = {}, size
 
-    def __call__(self, w: list[str]) -> np.ndarray:
+    def __call__(self, w: list[bytes]) -> np.ndarray:
         from hashlib import blake2b
 
         known = self.known
@@ -85,7 +92,7 @@ class Hasher:
             known.clear()
             new = set(w)
         for x in new:
-            known[x] = int.from_bytes(blake2b(x.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little")
+            known[x] = int.from_bytes(blake2b(x, digest_size=8).digest(), "little")
         return np.fromiter(map(known.__getitem__, w), dtype=np.uint64, count=len(w))
 
 
@@ -159,7 +166,7 @@ def sketch(h: np.ndarray) -> tuple[int, np.ndarray]:
     return distinct, np.r_[_pair(x, place, _NUMBER).view(np.int64), sets.view(np.int64), few]
 
 
-def align(a: list[str], b: list[str], band: int = BAND) -> list[tuple[int, int, int]] | None:
+def align(a: list, b: list, band: int = BAND) -> list[tuple[int, int, int]] | None:
     """Matched runs (start in a, start in b, length) with the fewest insertions and deletions; None beyond `band` of them."""
     n, m = len(a), len(b)
     codes: dict[str, int] = {}
@@ -204,59 +211,139 @@ def _runs(trace: list[dict[int, int]], n: int, m: int) -> list[tuple[int, int, i
     return runs[::-1]
 
 
-def runs_of(w: list[str]) -> set[tuple[str, ...]]:
-    return set(zip(*(w[i:] for i in range(K)))) if len(w) >= K else {tuple(w)}
-
-
-def similarity(a: list[str], b: list[str], sa: set | None = None, sb: set | None = None) -> float:
-    """Jaccard similarity of the five-word runs if below `LEAST`; else that of the runs aligned in order, if it reaches `LEAST` too."""
-    sa, sb = sa or runs_of(a), sb or runs_of(b)
-    if min(len(sa), len(sb)) < LEAST * max(len(sa), len(sb)):
+def _between(a: np.ndarray, b: np.ndarray) -> int:
+    """Words matched in order between two anchors, within the band."""
+    n = min(len(a), len(b))
+    if not n:
+        return 0
+    off = np.flatnonzero(a[:n] != b[:n])
+    head = int(off[0]) if len(off) else n
+    a, b, n = a[head:], b[head:], n - head
+    if not n:
+        return head
+    off = np.flatnonzero(a[::-1][:n] != b[::-1][:n])
+    tail = int(off[0]) if len(off) else n
+    a, b = a[: len(a) - tail], b[: len(b) - tail]
+    if not len(a) or not len(b) or not np.isin(a, b).any():
+        return head + tail
+    runs = align(a.tolist(), b.tolist())
+    return head + tail + (sum(r for _, _, r in runs) if runs else 0)
+
+
+def _rising(values: np.ndarray) -> np.ndarray:
+    """Places of a longest rising subsequence."""
+    if len(values) < 2 or (np.diff(values) > 0).all():
+        return np.arange(len(values))
+    from bisect import bisect_left
+
+    ends, at, before = [], [], []
+    for i, v in enumerate(values.tolist()):
+        k = bisect_left(ends, v)
+        before.append(at[k - 1] if k else -1)
+        if k == len(ends):
+            ends.append(v)
+            at.append(i)
+        else:
+            ends[k], at[k] = v, i
+    out, i = [], at[-1]
+    while i >= 0:
+        out.append(i)
+        i = before[i]
+    return np.array(out[::-1])
+
+
+def _once_only(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Values that occur once, and where."""
+    value, at, n = np.unique(x, return_index=True, return_counts=True)
+    return value[n == 1], at[n == 1]
+
+
+class Text:
+    """Word hashes of a text, its distinct k-mers, and those that it holds once."""
+
+    def __init__(self, ids: np.ndarray):
+        self.ids, self.kmers = ids, kmers(ids)
+        self.distinct = np.unique(self.kmers)
+        self._single = None
+
+    def single(self) -> tuple[np.ndarray, np.ndarray]:
+        if self._single is None:
+            self._single = _once_only(self.kmers)
+        return self._single
+
+
+def matched(x: Text, y: Text) -> int:
+    """Words matched in order: those of the anchors, and between them within the band."""
+    a, b = x.ids, y.ids
+    (va, pa), (vb, pb) = x.single(), y.single()
+    _, ia, ib = np.intersect1d(va, vb, assume_unique=True, return_indices=True)
+    i, j = pa[ia], pb[ib]
+    order = np.argsort(i)
+    i, j = i[order], j[order]
+    keep = _rising(j)
+    i, j = i[keep], j[keep]
+    if len(a) < K or len(b) < K or not len(i):
+        return _between(a, b)
+    # neighbouring anchors on one diagonal are one run
+    first = np.r_[True, (np.diff(i) != 1) | (np.diff(j) != 1)]
+    last = np.r_[first[1:], True]
+    total, ea, eb = 0, 0, 0
+    for si, sj, ti in zip(i[first].tolist(), j[first].tolist(), (i[last] + K).tolist()):
+        over = max(ea - si, eb - sj, 0)  # anchors may overlap the run before on another diagonal
+        si, sj = si + over, sj + over
+        if si >= ti:
+            continue
+        total += _between(a[ea:si], b[eb:sj]) + ti - si
+        ea, eb = ti, sj + ti - si
+    return total + _between(a[ea:], b[eb:])
+
+
+def similarity(x: Text, y: Text) -> float:
+    """Share of the longer text's words that are matched in order, or the Jaccard similarity of the five-word runs, whichever links; 0 if neither does."""
+    small, large = sorted((len(x.distinct), len(y.distinct)))
+    short, long = sorted((len(x.ids), len(y.ids)))
+    if small < LEAST * large and short < LEAST * long:
+        return 0.0
+    common = len(np.intersect1d(x.distinct, y.distinct, assume_unique=True))
+    exact = common / (small + large - common)
+    if exact < FLOOR:
         return 0.0
-    common = len(sa & sb)  # no alignment can match more
-    exact = common / (len(sa) + len(sb) - common)
-    found = align(a, b) if exact >= LEAST and len(a) >= K else None
-    if found is not None:
-        common = len({tuple(a[i + j : i + j + K]) for i, _, r in found for j in range(r - K + 1)})
-        aligned = common / (len(sa) + len(sb) - common)
-        return aligned if aligned >= LEAST else exact
-    return exact
+    share = matched(x, y) / long if short >= LEAST * long else 0.0
+    return share if share >= LEAST else exact if exact >= LEAST else 0.0
 
 
 def nodes(docs: DataFrame) -> DataFrame:
-    """doc_id, key (of the text), n (distinct k-mers), sketches, bits, few (hashes, null beyond `FEW`); key is null without words."""
+    """doc_id, key (of the text), n (distinct k-mers), w (words), sketches, bits, few (hashes, null beyond `FEW`); key is null without words."""
 
     def run(batches):
         hasher = Hasher()
         for b in batches:
-            n, s, key, few = [], [], [], []
+            n, s, key, few, size = [], [], [], [], []
             for t, k in zip(b["text"], b["key"]):
                 w = words(t)
                 h = hasher(w) if w else None
                 d, x = sketch(h) if w else (0, ())
                 few.append(short_hashes(kmers(h)) if 0 < d <= FEW else None)
                 n.append(d)
+                size.append(len(w))
                 s.append(list(x))
                 key.append(k if w else None)
-            yield {"doc_id": b["doc_id"], "key": key, "n": n, "sketches": [x[: SKETCHES + SETS] for x in s], "bits": [x[SKETCHES + SETS :] for x in s], "few": few}
+            yield {"doc_id": b["doc_id"], "key": key, "n": n, "w": size, "sketches": [x[: SKETCHES + SETS] for x in s], "bits": [x[SKETCHES + SETS :] for x in s], "few": few}
 
     rows = docs.select("doc_id", F.unhex(F.md5("text")).alias("key"), "text")
-    return map_rows(rows, "doc_id long, key binary, n int, sketches array<long>, bits array<long>, few array<int>", run)
+    return map_rows(rows, "doc_id long, key binary, n int, w int, sketches array<long>, bits array<long>, few array<int>", run)
 
 
 def _likely(a: str, b: str):
-    """Whether two nodes can be a link, by their sizes, one-bit hashes and common sketches."""
-    size = F.least(F.col(f"{a}.n"), F.col(f"{b}.n")) >= LEAST * F.greatest(F.col(f"{a}.n"), F.col(f"{b}.n"))
+    """Whether two nodes that agree in a sketch can be a link, by their sizes and one-bit hashes."""
+    close = lambda c: f"least({a}.{c}, {b}.{c}) >= {LEAST}D * greatest({a}.{c}, {b}.{c})"
     unlike = " + ".join(f"bit_count({a}.bits[{i}] ^ {b}.bits[{i}])" for i in range(ROWS // 2))
-    near = F.expr(f"{unlike} <= if({a}.n < {SHORT} or {b}.n < {SHORT}, {UNLIKE_SHORT}, {UNLIKE})")
-    part = lambda at, n: f"slice({a}.sketches, {at}, {n}), slice({b}.sketches, {at}, {n})"
-    sets = F.expr(f"arrays_overlap({part(SKETCHES + 1, SETS)})")
-    return size & near & (sets | (F.expr(f"size(filter(zip_with({part(1, SKETCHES)}, (x, y) -> x = y), x -> x))") >= AGREE))
+    return F.expr(f"({close('n')} or {close('w')}) and ({a}.n < {SHORT} or {b}.n < {SHORT} or {unlike} <= {UNLIKE})")
 
 
 def _alike(a: str, b: str):
     """Whether the k-mers' hashes, where both nodes carry them, allow a link; one hash may be lost to a collision."""
-    enough = f"(1 + {LEAST}D) * (size(array_intersect({a}.few, {b}.few)) + 1) >= {LEAST}D * (size({a}.few) + size({b}.few))"
+    enough = f"(1 + {FLOOR}D) * (size(array_intersect({a}.few, {b}.few)) + 1) >= {FLOOR}D * (size({a}.few) + size({b}.few))"
     return F.expr(f"{a}.few is null or {b}.few is null or {enough}")
 
 
@@ -279,9 +366,10 @@ def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     sides = pairs.join(texts.withColumnsRenamed({"key": "a", "text": "ta"}), "a").join(texts.withColumnsRenamed({"key": "b", "text": "tb"}), "b")
 
     def run(batches):
+        hasher = Hasher()
         for x in batches:
-            split = {t: (w := words(t), runs_of(w)) for t in {*x["ta"], *x["tb"]}}
-            s = [similarity(split[p][0], split[q][0], split[p][1], split[q][1]) for p, q in zip(x["ta"], x["tb"])]
+            split = {t: Text(hasher(words(t))) for t in {*x["ta"], *x["tb"]}}
+            s = [similarity(split[p], split[q]) for p, q in zip(x["ta"], x["tb"])]
             keep = [i for i, v in enumerate(s) if v >= LEAST]
             yield {"a": [x["a"][i] for i in keep], "b": [x["b"][i] for i in keep], "similarity": [s[i] for i in keep]}
 
@@ -305,61 +393,103 @@ def components(links: DataFrame) -> DataFrame:
 
 def links(docs: DataFrame, found: DataFrame) -> DataFrame:
     """Verified links (a, b, similarity) between different texts that connect whatever all links connect; `found`: stored nodes."""
-    texts = stored(found.filter("key is not null").groupBy("key").agg(F.first(F.struct("n", "sketches", "bits", "few")).alias("x")).select("key", "x.*"))
+    texts = stored(found.filter("key is not null").groupBy("key").agg(F.first(F.struct("n", "w", "sketches", "bits", "few")).alias("x")).select("key", "x.*"))
     buckets = texts.select("key", F.posexplode("sketches").alias("i", "value")).select("key", "i", F.xxhash64("i", "value").alias("bucket"))
     sizes = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
     shared = stored(buckets.join(sizes.hint("merge"), "bucket"))
-    node = F.struct("key", "n", "sketches", "bits", F.when(F.col("size") > SMALL, F.col("few")).alias("few")).alias("node")
+    node = F.struct("key", "n", "w", "sketches", "bits", F.when(F.col("size") > SMALL, F.col("few")).alias("few")).alias("node")
     shared = stored(shared.join(texts.hint("merge"), "key").select("bucket", "i", "size", node))
     small = shared.filter(F.col("size") <= SMALL).groupBy("bucket", "i").agg(F.collect_list("node").alias("all"))
     small = small.select("i", F.explode(F.expr("flatten(transform(all, (x, i) -> transform(slice(all, i + 2, size(all)), y -> struct(x, y))))")).alias("p")).select("i", "p.x", "p.y").filter(_once("x", "y") & _likely("x", "y"))
     done = verified(small.select(*_pairs("x", "y")), docs)
-    members = shared.filter(F.col("size") > SMALL).drop("size")
+    members = shared.filter(F.col("size") > SMALL)
     if members.limit(1).count() == 0:
         return done
+    members = members.withColumn("salt", F.pmod(F.xxhash64("node.key", F.lit(3)), F.lit(SALTS)).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt")
+    # in the last round all pairs of the rest meet: a bucket's members are dealt to as many blocks as it holds so many of them
+    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     for turn in range(ROUNDS + 1):
         label = components(done)
-        named = members.withColumn("key", F.col("node.key")).join(label, "key", "left").select("bucket", "i", "node", F.coalesce("label", "key").alias("label"))
+        named = members.withColumn("key", F.col("node.key")).join(label, "key", "left").select("bucket", "i", "size", "salt", "node", F.coalesce("label", "key").alias("label"))
         named = stored(named)
         # the component with most members in the bucket is settled; all others are compared
-        main = named.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m")).select("bucket", F.col("m.label").alias("main"))
-        rest = named.join(main, "bucket").filter("label <> main").select("bucket", "i", F.col("node").alias("x"), F.col("label").alias("lx"))
-        others = named.select("bucket", F.col("node").alias("y"), F.col("label").alias("ly"))
+        main = named.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m")).select("bucket", F.col("m.label").alias("main"), every)
+        rest = named.join(main, ["bucket", "salt"]).filter("label <> main").select("bucket", "i", "size", "salt", F.col("node").alias("x"), F.col("label").alias("lx"))
+        others = named.select("bucket", "size", F.col("node").alias("y"), F.col("label").alias("ly"))
         if turn < ROUNDS:
             draws = [F.min(F.struct(F.xxhash64("y.key", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
             drawn = others.groupBy("bucket").agg(*draws)
-            others = drawn.select("bucket", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly")
-        more = rest.join(others, "bucket").filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
+            drawn = drawn.select("bucket", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly")
+            more = rest.join(drawn.select("*", every), ["bucket", "salt"])
+        else:
+            rest = rest.withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("size", "salt")
+            others = others.select("bucket", "y", "ly", F.pmod(F.xxhash64("y.key", F.lit(4)), blocks).cast("int").alias("block"))
+            more = rest.join(others, ["bucket", "block"])
+        more = more.filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
         if turn == ROUNDS:
             more = more.filter(_once("x", "y"))
         done = stored(done.unionByName(verified(more.select(*_pairs("x", "y")), docs)))
     return done
 
 
+def _classes(found: DataFrame, linked: DataFrame) -> DataFrame:
+    """key, copies, first (doc_id), label, n_links, similarity of every text with words."""
+    per_text = found.filter("key is not null").groupBy("key").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("copies"))
+    ends = linked.select(F.col("a").alias("key"), F.col("b").alias("other"), "similarity").union(linked.select("b", "a", "similarity"))
+    own = ends.groupBy("key").agg(F.count_distinct("other").alias("n_links"), F.max("similarity").alias("similarity"))
+    return per_text.join(components(linked), "key", "left").join(own, "key", "left").withColumn("label", F.coalesce("label", "key"))
+
+
 def classes(docs: DataFrame) -> DataFrame:
-    """doc_id, class_id, class_size (rows) for every row."""
+    """doc_id, class_id, class_size (rows), n_links (verified links of the row's text to other texts), similarity (the highest of these, 1.0 for a text with copies, null for a single one) for every row."""
     found = stored(nodes(docs.select("doc_id", "text")))
-    label = components(links(docs.select("text"), found))
-    per_text = found.filter("key is not null").groupBy("key").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("copies"))
-    named = stored(per_text.join(label, "key", "left").withColumn("label", F.coalesce("label", "key")))
+    named = stored(_classes(found, links(docs.select("text"), found)))
     groups = named.groupBy("label").agg(F.min("first").alias("class_id"), F.sum("copies").alias("class_size"))
-    of_text = stored(named.join(groups, "label").select("key", "class_id", "class_size"))
+    like = F.when(F.col("copies") > 1, F.lit(1.0)).otherwise(F.col("similarity")).alias("similarity")
+    of_text = stored(named.join(groups, "label").select("key", "class_id", "class_size", "n_links", like))
     out = found.select("doc_id", "key").join(of_text, "key", "left")
-    return out.select("doc_id", F.when(F.col("key").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_size", F.lit(1)).cast("long").alias("class_size"))
+    return out.select(
+        "doc_id", F.when(F.col("key").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_size", F.lit(1)).cast("long").alias("class_size"),
+        F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "similarity",
+    )
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One row of each class: of its rows with the smallest doc_id, the first in order of all columns; wordless rows all stay."""
-    rows = docs.withColumn("_n_key", F.unhex(F.md5("text")))
+    """One row of each class: of its rows with the smallest doc_id, the first in order of all columns that can be compared; wordless rows all stay.
+
+    Rows are joined on text and doc_id together, so that copies with ids of their own lie apart, and rows that agree in both are reduced before they move."""
+    rows = docs.select(F.struct(*[F.col(quoted(c)) for c in docs.columns]).alias("row"))
+    rows = rows.select("row", F.unhex(F.md5("row.text")).alias("key"), F.col("row.doc_id").alias("first"))
     found = stored(nodes(docs.select("doc_id", "text")))
-    label = components(links(docs.select("text"), found))
-    per_text = found.filter("key is not null").groupBy("key").agg(F.min("doc_id").alias("first")).join(label, "key", "left").withColumn("label", F.coalesce("label", "key"))
-    best = per_text.groupBy("label").agg(F.min(F.struct(F.col("first").isNull().alias("none"), "first", "key")).alias("b")).select(F.col("b.key").alias("_n_key"), F.col("b.first").alias("_n_first"))
-    wordless = ~F.coalesce(F.col("text"), F.lit("")).rlike(r"\S")
-    kept = rows.join(stored(best), "_n_key").filter(F.col("doc_id").eqNullSafe(F.col("_n_first"))).drop("_n_first")
-    place = Window.partitionBy("_n_key").orderBy(*[F.col(f"`{c}`") for c, t in docs.dtypes if not t.startswith("map")])
-    one = kept.withColumn("_n_place", F.row_number().over(place)).filter("_n_place = 1")
-    return one.select(*docs.columns).unionByName(docs.filter(wordless))
+    named = _classes(found, links(docs.select("text"), found))
+    best = named.groupBy("label").agg(F.min(F.struct(F.col("first").isNull().alias("none"), "first", "key")).alias("b")).select("b.key", "b.first")
+    best = stored(best)
+    same = (rows["key"] == best["key"]) & rows["first"].eqNullSafe(best["first"])
+    kept = rows.join(best, same, "left_semi")
+    order = F.struct(*[F.col("row." + quoted(f.name)) for f in docs.schema if "map<" not in f.dataType.simpleString()])
+    one = kept.groupBy("key", "first").agg(F.min_by("row", order).alias("row")).select("row.*")
+    return one.unionByName(docs.filter(wordless("text")))
+
+
+def wordless(col: str):
+    """Whether a text holds no word, as `words` has it: ASCII blanks only, or null."""
+    return ~F.coalesce(F.col(col), F.lit("")).rlike(r"[^\x20\x09-\x0D]")
+
+
+def recall(docs: DataFrame, sample_key: int = 100) -> tuple[int, int]:
+    """(links found within a class, links): all rows of every class and rows with ids divisible by `sample_key` as queries, against brute force. For measuring on small tables only."""
+    rows = [(r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect()]
+    hasher = Hasher()
+    texts = {i: Text(hasher(words(t))) for i, t in rows if i is not None and words(t)}
+    of = {r["doc_id"]: r["class_id"] for r in classes(docs).collect()}
+    got = total = 0
+    for q in (i for i in texts if i % sample_key == 0):
+        for i, t in texts.items():
+            if i != q and similarity(texts[q], t) >= LEAST:
+                total += 1
+                got += of[q] == of[i]
+    return got, total
 
 
 def op5_near_duplicates(spark, sf_dir: str) -> DataFrame:

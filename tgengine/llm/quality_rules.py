@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import read, stored
+from .common import quoted, read, stored
 
 ALPHA = 0.05
 DELTA = 0.05
@@ -168,7 +168,7 @@ def report(docs: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: floa
 
 def keep_good(docs: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
     """The rows that the rules keep, with their own columns only. Counts are made once and stored beside each row."""
-    mine = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(f"{STEP}row"))
+    mine = docs.select(F.struct(*[F.col(quoted(c)) for c in docs.columns]).alias(f"{STEP}row"))
     inner = mine.select(f"{STEP}row", F.col(f"{STEP}row.doc_id").alias("doc_id"), F.col(f"{STEP}row.text").alias("text"), F.coalesce(F.col(f"{STEP}row.lang"), F.lit("und")).alias("stratum"))
     counted = stored(with_counts(inner).drop("text"))
     cutoffs = stored(certified_cutoffs(counted.drop(f"{STEP}row"), labels, alpha, delta))

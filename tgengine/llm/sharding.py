@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import read, shared_dir, stored
+from .common import quoted, read, shared_dir, stored
 
 SHARDS = 16
 SEED = 20_011
@@ -37,7 +37,7 @@ def _pick(shards: int, seed: int, key: str = "_s_key") -> Column:
 
 
 def _bytes(f: T.StructField) -> Column:
-    c = F.col(f"`{f.name}`")
+    c = F.col(quoted(f.name))
     if isinstance(f.dataType, (T.StringType, T.BinaryType)):
         return F.coalesce(F.octet_length(c), F.lit(0)).cast("long")
     if isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
@@ -50,7 +50,7 @@ def _has_map(t: T.DataType) -> bool:
 
 
 def _compared(docs: DataFrame) -> list[Column]:
-    return [F.col(f"`{f.name}`") for f in docs.schema if not _has_map(f.dataType)]
+    return [F.col(quoted(f.name)) for f in docs.schema if not _has_map(f.dataType)]
 
 
 def digests() -> dict[str, Column]:
@@ -62,7 +62,7 @@ def digests() -> dict[str, Column]:
 def write(docs: DataFrame, path: str, shards: int = SHARDS, seed: int = SEED, bucket_bytes: int = BUCKET_BYTES) -> None:
     """Writes the rows with their slots as Parquet under shard=<i>, each bucket in one file or more, in slot order."""
     docs = docs.drop("shard", "slot")
-    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    whole = F.struct(*[F.col(quoted(c)) for c in docs.columns])
     rows = docs.select(whole.alias("row"), *[c.alias(n) for n, c in digests().items()], F.xxhash64(*_compared(docs)).alias("_s_row"), sum(map(_bytes, docs.schema), F.lit(0)).alias("bytes"))
     same = stored(rows.groupBy(*SAME).agg(F.count(F.lit(1)).alias("copies"), F.max("bytes").alias("bytes")))
     total = same.agg(F.coalesce(F.sum(F.col("bytes") * F.col("copies")), F.lit(0)).alias("b")).first()["b"]
