@@ -47,7 +47,7 @@ ROUNDS = 2
 #: Blocks that a large bucket's members are dealt to.
 SALTS = 8
 #: Members of a block where a bucket's pairs are compared one by one.
-BLOCK = 2048
+BLOCK = 1 << 16
 #: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `FLOOR` 70 of
 #: the 256 bits differ, 106 with five standard deviations (3 pairs in ten million are lost); texts of fewer than `SHORT`
 #: k-mers leave bins empty and aren't filtered.
