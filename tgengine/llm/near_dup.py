@@ -44,8 +44,8 @@ BAND = 48
 PIVOTS = 4
 #: Rounds of pivots before the rest of a large bucket is compared pair by pair.
 ROUNDS = 2
-#: Blocks that a large bucket's members are dealt to.
-SALTS = 8
+#: Members of a large bucket that share a salt where they meet its pivots.
+SALTED = 4096
 #: Members of a block where a bucket's pairs are compared one by one.
 BLOCK = 1 << 16
 #: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `FLOOR` 70 of
@@ -405,8 +405,9 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
     members = shared.filter(F.col("size") > SMALL)
     if members.limit(1).count() == 0:
         return done
-    members = members.withColumn("salt", F.pmod(F.xxhash64("node.key", F.lit(3)), F.lit(SALTS)).cast("int"))
-    every = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt")
+    salts = F.ceil(F.col("size") / SALTED).cast("int")
+    members = members.withColumn("salt", F.pmod(F.xxhash64("node.key", F.lit(3)), salts).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt")
     # in the last round all pairs of the rest meet: a bucket's members are dealt to as many blocks as it holds so many of them
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     for turn in range(ROUNDS + 1):
@@ -414,14 +415,14 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
         named = members.withColumn("key", F.col("node.key")).join(label, "key", "left").select("bucket", "i", "size", "salt", "node", F.coalesce("label", "key").alias("label"))
         named = stored(named)
         # the component with most members in the bucket is settled; all others are compared
-        main = named.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("m")).select("bucket", F.col("m.label").alias("main"), every)
+        main = named.groupBy("bucket", "size", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket", "size").agg(F.max(F.struct("n", "label")).alias("m")).select("bucket", F.col("m.label").alias("main"), every)
         rest = named.join(main, ["bucket", "salt"]).filter("label <> main").select("bucket", "i", "size", "salt", F.col("node").alias("x"), F.col("label").alias("lx"))
         others = named.select("bucket", "size", F.col("node").alias("y"), F.col("label").alias("ly"))
         if turn < ROUNDS:
             draws = [F.min(F.struct(F.xxhash64("y.key", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
-            drawn = others.groupBy("bucket").agg(*draws)
-            drawn = drawn.select("bucket", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly")
-            more = rest.join(drawn.select("*", every), ["bucket", "salt"])
+            drawn = others.groupBy("bucket", "size").agg(*draws)
+            drawn = drawn.select("bucket", "size", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly", every)
+            more = rest.join(drawn, ["bucket", "salt"])
         else:
             rest = rest.withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("size", "salt")
             others = others.select("bucket", "y", "ly", F.pmod(F.xxhash64("y.key", F.lit(4)), blocks).cast("int").alias("block"))
