@@ -204,19 +204,28 @@ def test_codec_equals_the_library(spark, sf_dir, library):
     for r in docs.collect():
         ids = library.encode(r.text or "")
         want[r.doc_id, len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(library.decode(ids).encode()).hexdigest()] += 1
-    assert Counter(map(tuple, sentencepiece_codec.digests(docs).collect())) == want
+    clash = docs.withColumn("key", docs.doc_id).withColumn("chunk", docs.text).withColumn("ids", docs.doc_id)
+    for head in (200_000, 300, 0):
+        assert Counter(map(tuple, sentencepiece_codec.digests(clash, head=head).collect())) == want
     small = sentencepiece_codec.encode(edges(spark))
     assert Counter((r.doc_id, r.text) for r in sentencepiece_codec.decode(small).collect()) == Counter((r.doc_id, r.decoded) for r in small.collect())
     assert sentencepiece_codec.digests(docs.limit(0)).count() == 0
 
 
-def test_codec_with_a_tiny_table(library):
-    table = sentencepiece_codec.ChunkTable(sentencepiece_codec.default_model(), size=3)
-    for text in ("a b c d e f", " a  b ", "x", "", "   ", "▁▁a b▁", "b c\n\n  d"):
-        c = sentencepiece_codec.chunks(text)
-        table.learn([c])
-        ids = library.encode(text)
-        assert table.encode(c) == (",".join(map(str, ids)), len(ids), library.decode(ids))
+def test_chunks_are_segmented_once_each(spark, library, monkeypatch):
+    texts = spark.createDataFrame([("a b a",), ("b  c\n\n d",), (" ▁▁a b▁",), ("",), ("   ",), ("a b a",)], "text string")
+    table = {r.chunk: r for r in sentencepiece_codec.chunk_table(texts, sentencepiece_codec.default_model()).collect()}
+    assert len(table) == sentencepiece_codec.chunk_table(texts, sentencepiece_codec.default_model()).count()
+    for t in ("a b a", "b  c\n\n d", " ▁▁a b▁", "", "   "):
+        ids, n, decoded = sentencepiece_codec.put_together(sentencepiece_codec.chunks(t), {c: (r.ids, r.odd) for c, r in table.items()}, {})
+        want = library.encode(t)
+        assert (ids, n, decoded) == (",".join(map(str, want)), len(want), library.decode(want))
+    assert table["a"].c == 4
+    # rows of a text with many copies take another way to the same result
+    docs = spark.createDataFrame([(i, "hot text") for i in range(30)] + [(99, "other"), (98, None)], "doc_id long, text string")
+    want = sorted(map(str, sentencepiece_codec.digests(docs).collect()))
+    monkeypatch.setattr(sentencepiece_codec, "COPIES", 10)
+    assert sorted(map(str, sentencepiece_codec.digests(docs).collect())) == want and len(want) == 32
 
 
 DOC_WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")

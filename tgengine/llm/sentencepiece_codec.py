@@ -1,27 +1,41 @@
 """SentencePiece encoding and decoding through a table of distinct chunks.
 
 No piece of the vocabulary joins a letter to a following word marker, so no merge crosses the start of a marked word: a
-text's ids are those of its marked words, one after another. Each task keeps a table of the distinct chunks it has met
-(emptied when it holds `TABLE` entries, so memory stays bounded), lets the library segment each new chunk once, and joins
-the results back by position. A vocabulary that breaks the condition is refused.
+text's ids are those of its marked words, one after another. The corpus's distinct marked words are counted and written as
+one table; the library segments each of them once. The most frequent ones (`HEAD` at most, none longer than `LONGEST`
+characters, so that their size is bounded) travel to the tasks; the others are joined to the texts that hold them by shuffle,
+once per text. Each distinct text is then put together from its chunks by position, and its rows take the result.
 
-Null and empty texts have no ids and decode to the empty text. Row order, repeats and other columns do not matter.
+A vocabulary that breaks the condition is refused, and so is a normaliser that changes what it should leave alone: besides the
+word marks, the library must read a probe of awkward characters as they stand.
+
+Null and empty texts have no ids and decode to the empty text. Row order, repeats and other columns do not matter; equal
+texts are coded once.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_rows, read
-
-TABLE = 400_000
+from .common import map_rows, read, stored
+
+HEAD = 200_000
+LONGEST = 64
+#: Distinct chunks that a task collects before it hands on their counts.
+FLUSH = 250_000
+#: Texts with more rows than this are joined by broadcast: at most one of so many rows can be such a text.
+COPIES = 10_000
+MAX_BROADCAST = 1_000_000
+#: What a normaliser might change: full-width and composed letters, ligatures, blanks of other kinds, controls.
+PROBE = "Ａ é e\u0301 ﬁ ² Ⅳ … \u00a0 \u3000 \u200b \t \n x"
 MARK = "▁"
 CHUNK = re.compile(" [ ]*[^ ]*")
-DIGEST = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
+DIGEST = "n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
 def default_model() -> str:
@@ -40,52 +54,109 @@ def chunks(text: str) -> list[str]:
     return [c[1:] for c in CHUNK.findall(" " + text)]
 
 
-class ChunkTable:
-    """chunk -> ids as text; `odd` holds the chunks that decode to something else than themselves."""
+def library(model: str):
+    """The library with this model, if texts may be segmented by marked words."""
+    import sentencepiece
 
-    def __init__(self, model: str, size: int = TABLE):
-        import sentencepiece
+    m = sentencepiece.SentencePieceProcessor(model_file=model)
+    if any(re.search(f"[^{MARK}]{MARK}", m.id_to_piece(i)) for i in range(m.vocab_size())):
+        raise ValueError("a piece crosses a word marker: the texts can't be segmented by marked words")
+    if m.decode(m.encode(PROBE)) != PROBE:
+        raise ValueError("the model's normaliser changes texts: they can't be segmented as they stand")
+    return m
 
-        self.model, self.size = sentencepiece.SentencePieceProcessor(model_file=model), size
-        m = self.model
-        if any(re.search(f"[^{MARK}]{MARK}", m.id_to_piece(i)) for i in range(m.vocab_size())):
-            raise ValueError("a piece crosses a word marker: the texts can't be segmented by marked words")
-        self.known: dict[str, str] = {}
-        self.odd: dict[str, str] = {}
-
-    def learn(self, texts: list[list[str]]) -> None:
-        met = set().union(*texts)
-        new = met.difference(self.known)
-        if len(self.known) + len(new) > self.size:
-            self.known, self.odd, new = {}, {}, met
-        new.discard("")
-        self.known[""] = str(self.model.piece_to_id(MARK))
-        new = list(new)
-        if not new:
-            return
-        ids = self.model.encode(new, num_threads=1)
-        self.known.update(zip(new, [",".join(map(str, i)) for i in ids]))
-        self.odd.update((c, d) for c, d in zip(new, self.model.decode(ids, num_threads=1)) if c != d)
-
-    def encode(self, text_chunks: list[str]) -> tuple[str, int, str]:
-        ids = ",".join(map(self.known.__getitem__, text_chunks))
-        odd = self.odd
-        decoded = " ".join([odd.get(c, c) for c in text_chunks] if odd else text_chunks)
-        return ids, ids.count(",") + 1 if ids else 0, decoded
-
-
-def coded(docs: DataFrame, model: str, schema: str, row, carry: list[str]) -> DataFrame:
-    """Maps each row to `row(ids as text, number, decoded)` columns beside the carried ones."""
 
-    def run(batches):
-        table = ChunkTable(model)
+def segment(m, new: list[str]) -> list[tuple[str, str | None]]:
+    """Ids as text, and what the chunk decodes to where that differs from it."""
+    if not new:
+        return []
+    ids = m.encode(new, num_threads=1)
+    decoded = m.decode(ids, num_threads=1)
+    out = [(",".join(map(str, i)), d if d != c else None) for c, i, d in zip(new, ids, decoded)]
+    return [(str(m.piece_to_id(MARK)), None) if c == "" else o for c, o in zip(new, out)]
+
+
+def chunk_table(texts: DataFrame, model: str) -> DataFrame:
+    """chunk, c (occurrences), ids (as text), odd (its decoding, where it differs): every distinct chunk, segmented once."""
+
+    def count(batches):
+        seen: Counter = Counter()
+        for b in batches:
+            for t in b["text"]:
+                seen.update(chunks(t or ""))
+            if len(seen) > FLUSH:
+                yield {"chunk": list(seen), "c": list(seen.values())}
+                seen = Counter()
+        yield {"chunk": list(seen), "c": list(seen.values())}
+
+    def code(batches):
+        m = library(model)
         for b in batches:
-            split = [chunks(t or "") for t in b["text"]]
-            table.learn(split)
-            made = [row(*table.encode(c)) for c in split]
-            yield {c: b[c] for c in carry} | {k: [m[k] for m in made] for k in (made[0] if made else {})}
+            made = segment(m, b["chunk"])
+            yield b | {"ids": [x[0] for x in made], "odd": [x[1] for x in made]}
+
+    counted = map_rows(texts.select("text"), "chunk string, c long", count).groupBy("chunk").agg(F.sum("c").alias("c"))
+    return stored(map_rows(counted, "chunk string, c long, ids string, odd string", code, 4096))
+
+
+def most_frequent(table: DataFrame, head: int) -> dict[str, tuple[str, str | None]]:
+    """The chunks whose count reaches the least bound that at most `head` short chunks reach; bounds are powers of two, so few."""
+    short = table.filter(F.length("chunk") <= LONGEST)
+    low = F.expr("shiftleft(1L, cast(floor(log2(c)) as int))")
+    held, least = 0, None
+    for r in sorted(short.groupBy(low.alias("low")).count().collect(), reverse=True):
+        held += r["count"]
+        if held > head:
+            break
+        least = r["low"]
+    if least is None:
+        return {}
+    return {r["chunk"]: (r["ids"], r["odd"]) for r in short.filter(F.col("c") >= least).select("chunk", "ids", "odd").collect()}
+
+
+def put_together(text_chunks: list[str], known: dict, others: dict) -> tuple[str, int, str]:
+    """(ids as text, their number, decoded text) of a text's chunks in order."""
+    parts = [known[c] if c in known else others[c] for c in text_chunks]
+    ids = ",".join([p[0] for p in parts])
+    decoded = " ".join([c if p[1] is None else p[1] for c, p in zip(text_chunks, parts)])
+    return ids, ids.count(",") + 1 if ids else 0, decoded
+
+
+def coded(docs: DataFrame, model: str, schema: str, row, head: int = HEAD) -> DataFrame:
+    """doc_id and the columns that `row(ids as text, number, decoded)` gives, for every row."""
+    spark = docs.sparkSession
+    rows = docs.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("key"), F.coalesce("text", F.lit("")).alias("text"))
+    texts = stored(rows.groupBy("key").agg(F.first("text").alias("text"), F.count(F.lit(1)).alias("copies")))
+    table = chunk_table(texts, model)
+    sent = spark.sparkContext.broadcast(most_frequent(table, head))
+
+    def rare(batches):
+        known = sent.value
+        for b in batches:
+            pairs = [(k, c) for k, t in zip(b["key"], b["text"]) for c in set(chunks(t)).difference(known)]
+            yield {"key": [p[0] for p in pairs], "chunk": [p[1] for p in pairs]}
+
+    others = map_rows(texts.select("key", "text"), "key string, chunk string", rare).join(table.drop("c"), "chunk")
+    others = others.groupBy("key").agg(F.collect_list(F.struct("chunk", "ids", "odd")).alias("others"))
 
-    return map_rows(docs, schema, run)
+    def last(batches):
+        known = sent.value
+        for b in batches:
+            made = []
+            for t, o in zip(b["text"], b["others"]):
+                made.append(row(*put_together(chunks(t), known, {x["chunk"]: (x["ids"], x["odd"]) for x in o or ()})))
+            yield {"key": b["key"]} | {k: [m[k] for m in made] for k in (made[0] if made else {})}
+
+    whole = texts.join(others, "key", "left")
+    done = stored(map_rows(whole.select("key", "text", "others"), f"key string, {schema}", last))
+    often = stored(texts.filter(F.col("copies") > COPIES).select("key"))
+    if often.limit(1).count() and often.count() <= MAX_BROADCAST:
+        # the rows of a text with very many copies stay where they are
+        hot = F.broadcast(often)
+        few = rows.join(hot, "key", "left_anti").select("doc_id", "key").join(done.join(hot, "key", "left_anti"), "key")
+        many = rows.select("doc_id", "key").join(F.broadcast(done.join(hot, "key", "left_semi")), "key")
+        return few.unionByName(many).drop("key")
+    return rows.select("doc_id", "key").join(done, "key").drop("key")
 
 
 def _sha(x: str) -> str:
@@ -100,13 +171,13 @@ def _ids(ids: str, n: int, decoded: str) -> dict:
     return {"ids": [int(x) for x in ids.split(",")] if ids else [], "decoded": decoded}
 
 
-def digests(docs: DataFrame, model: str | None = None) -> DataFrame:
-    return coded(docs.select("doc_id", "text"), model or default_model(), DIGEST, _digest, ["doc_id"])
+def digests(docs: DataFrame, model: str | None = None, head: int = HEAD) -> DataFrame:
+    return coded(docs.select("doc_id", "text"), model or default_model(), DIGEST, _digest, head)
 
 
-def encode(docs: DataFrame, model: str | None = None) -> DataFrame:
+def encode(docs: DataFrame, model: str | None = None, head: int = HEAD) -> DataFrame:
     """doc_id, ids array<int>, decoded string."""
-    return coded(docs.select("doc_id", "text"), model or default_model(), "doc_id long, ids array<int>, decoded string", _ids, ["doc_id"])
+    return coded(docs.select("doc_id", "text"), model or default_model(), "ids array<int>, decoded string", _ids, head)
 
 
 def decode(ids: DataFrame, model: str | None = None) -> DataFrame:
