@@ -7,8 +7,8 @@ document holds can't occur. The prefix index maps a word to the windows it stand
 prefix word in a document, the place gives where the window would begin (positional bound) and its length whether it fits
 (length bound); then the words are compared, exactly.
 
-The index travels to the tasks only while the benchmark has at most `MAX_WINDOWS` windows. A larger one is cut into parts
-of that size; each part is one pass over the documents, and hits are united by row.
+The index travels to the tasks only while the benchmark has at most `MAX_WINDOWS` pairs of a window and an item. A larger one
+is cut into parts of that size; each part is one pass over the documents, and hits are united by row.
 
 Null and empty texts have no words and no hits. Null item ids count as the id ''. Empty benchmarks hit nothing; repeated
 items and rows are judged alike; other columns are ignored.
@@ -19,8 +19,10 @@ from __future__ import annotations
 import hashlib
 from collections import Counter
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import map_rows, quoted, read, stored
 
@@ -106,12 +108,13 @@ REPORT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 stri
 def _parts(docs: DataFrame, items: DataFrame, size: int, limit: int):
     """Broadcast prefix indexes, each of at most `limit` windows."""
     spark = docs.sparkSession
-    held = stored(item_windows(items, size).withColumn("part", F.lit(0)))
-    n = held.select("window").distinct().count()
+    held = stored(item_windows(items, size))
+    # (window, item) pairs are what travels: a passage that very many items share fills parts of its own
+    n = held.count()
     parts = max(1, -(-n // limit))
     if parts > 1:
         parts *= 2  # hashing isn't even
-        held = held.withColumn("part", F.pmod(F.xxhash64("window"), F.lit(parts)))
+    held = held.withColumn("part", F.pmod(F.xxhash64("window", "item"), F.lit(parts)))
     for p in range(parts):
         mine: dict[tuple[bytes, ...], list[str]] = {}
         for r in held.filter(F.col("part") == p).toLocalIterator():
@@ -140,37 +143,56 @@ def _judged(docs: DataFrame, carry: list[str], schema: str, items: DataFrame, si
                 yield {c: b[c] for c in carry} | {k: [o[k] for o in out] for k in out[0]}
 
         return map_rows(docs, schema, run)
-    rows = stored(docs.withColumn("_d_row", F.monotonically_increasing_id()))
+    rows = stored(docs.withColumn("_d_at", F.monotonically_increasing_id()))
     found = None
     for index in [index, *(i for _, i in parts)]:
 
         def some(batches, index=index):
             for b in batches:
-                got = [(r, *hits(words(t), index.value)) for r, t in zip(b["_d_row"], b["text"])]
+                got = [(r, *hits(words(t), index.value)) for r, t in zip(b["_d_at"], b["text"])]
                 got = [g for g in got if g[1]]
-                yield {"_d_row": [g[0] for g in got], "where": [list(g[1]) for g in got], "its": [list(g[2]) for g in got]}
+                yield {"_d_at": [g[0] for g in got], "where": [list(g[1]) for g in got], "its": [list(g[2]) for g in got]}
 
-        one = stored(map_rows(rows.select("_d_row", "text"), "_d_row long, where array<int>, its array<string>", some))
+        one = stored(map_rows(rows.select("_d_at", "text"), "_d_at long, where array<int>, its array<string>", some))
         found = one if found is None else found.unionByName(one)
-    united = found.groupBy("_d_row").agg(F.array_distinct(F.flatten(F.collect_list("where"))).alias("where"), F.array_distinct(F.flatten(F.collect_list("its"))).alias("its"))
+    united = found.groupBy("_d_at").agg(F.array_distinct(F.flatten(F.collect_list("where"))).alias("where"), F.array_distinct(F.flatten(F.collect_list("its"))).alias("its"))
 
     def last(batches):
         for b in batches:
             out = [_verdict(len(words(t)), len(w or ()), set(i or ())) for t, w, i in zip(b["text"], b["where"], b["its"])]
             yield {c: b[c] for c in carry} | {k: [o[k] for o in out] for k in out[0]}
 
-    return map_rows(rows.join(united, "_d_row", "left"), schema, last)
+    return map_rows(rows.join(united, "_d_at", "left"), schema, last)
 
 
 def clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = MAX_WINDOWS) -> DataFrame:
     """The rows that aren't contaminated, with their own columns only."""
-    kinds = ", ".join(f"{quoted(f.name)} {f.dataType.simpleString()}" for f in docs.schema)
-    added = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
-    clash = {c for c in docs.columns if c in ("n_words", "n_hit", "n_items", "items_sha256", "contaminated")}
-    if clash:
-        back = {f"_own_{c}": c for c in clash}
-        return clean(docs.withColumnsRenamed({c: f"_own_{c}" for c in clash}), items, size, limit).withColumnsRenamed(back)
-    return _judged(docs, docs.columns, f"{kinds}, {added}", items, size, limit).filter("not contaminated").select(*docs.columns)
+    whole = F.struct(*[F.col(quoted(c)) for c in docs.columns])
+    rows = docs.select(whole.alias("row"), "text")
+    parts = _parts(docs, items, size, limit)
+    many, index = next(parts)
+    if many == 1:
+
+        def run(batches):
+            # the rows themselves pass through as they are; only their texts are read
+            for b in batches:
+                for at in range(0, b.num_rows, 256):
+                    part = b.slice(at, 256)
+                    keep = []
+                    for t in part.column(1).to_pylist():
+                        w = words(t)
+                        keep.append(not _verdict(len(w), *hits_of(w, index.value))["contaminated"])
+                    yield pa.RecordBatch.from_arrays([part.column(0).filter(pa.array(keep))], names=["row"])
+
+        return rows.mapInArrow(run, T.StructType([rows.schema["row"]])).select("row.*")
+    marked = stored(rows.withColumn("_d_row", F.monotonically_increasing_id()))
+    judged = _judged(marked.select("_d_row", "text"), ["_d_row"], "_d_row long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean", items, size, limit)
+    return marked.join(judged.filter("not contaminated").select("_d_row"), "_d_row", "left_semi").select("row.*")
+
+
+def hits_of(w: list[bytes], index: dict) -> tuple[int, set[str]]:
+    where, its = hits(w, index)
+    return len(where), its
 
 
 def op7_decontaminate(spark, sf_dir: str) -> DataFrame:

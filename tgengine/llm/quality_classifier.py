@@ -3,12 +3,16 @@
 A logistic model over text statistics is fitted by minimising the non-negative unbiased risk: with class prior `pi`, the
 risk is pi * R(positives as 1) + max(0, R(unlabelled as 0) - pi * R(positives as 0)); while the second part is below zero
 its gradient is followed backwards, so that it can't be driven negative. Trusted positives are labelled 1; the unlabelled
-texts are training rows taken whatever their label. The prior is the share of 1 among all training labels.
+texts are training rows taken whatever their label. No label 0 is used.
+
+The prior is estimated from the two samples alone: a first model tells positives from unlabelled texts on one half, and on the
+other half every score gives a bound of it, the share of unlabelled texts above the score over the share of positives above
+it. The bound is tight where only positives lie above, so the least one is taken, with an allowance for chance at few texts.
 
 Statistics: how often each pair of character classes follows one another, immediate word repetition, distinct words,
 repeated lines and lengths. At most `SAMPLE` positives and as many unlabelled texts are taken, those with the smallest
-hashes of doc_id. Null and empty texts are scored as the empty text; null ids teach nothing; several labels of one id
-count by their highest; without positives every score is the prior (1/2 without labels). Other columns are ignored.
+hashes of doc_id; of rows with one id the longest text counts (of equally long ones the first in order). Null and empty texts are scored as the empty text; null ids teach nothing; several labels of one id
+count by their highest; without positives or unlabelled texts every score is 1/2. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -73,45 +77,79 @@ def features(text: str | None) -> np.ndarray:
     return out
 
 
-def fit(pos: np.ndarray, unl: np.ndarray, prior: float, steps: int = STEPS) -> np.ndarray:
-    """Weights, the scale of each statistic folded in."""
-    if not len(pos) or not len(unl):
-        w = np.zeros(N_FEATURES)
-        w[KINDS * KINDS] = np.log(prior / (1 - prior))
-        return w
-    scale = 1 / np.maximum(1e-3, np.sqrt((unl.astype(np.float64) ** 2).mean(axis=0)))
-    p, u = pos * scale, unl * scale
-    w, m, v = np.zeros(N_FEATURES), np.zeros(N_FEATURES), np.zeros(N_FEATURES)
-    sig = lambda x: 1 / (1 + np.exp(-np.clip(x, -50, 50)))
+def _sigmoid(x: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(x, -50, 50)))
+
+
+def risk(w: np.ndarray, p: np.ndarray, u: np.ndarray, prior: float) -> tuple[float, float]:
+    """The two parts: positives as 1, and unlabelled texts as 0 less the positives' share of them."""
+    fp, fu = p @ w, u @ w
+    return prior * float(np.logaddexp(0, -fp).mean()), float(np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean())
+
+
+def gradient(w: np.ndarray, p: np.ndarray, u: np.ndarray, prior: float) -> np.ndarray:
+    """Of the risk; while its second part is below zero, that part's gradient backwards."""
+    sp, su = _sigmoid(p @ w), _sigmoid(u @ w)
+    second = u.T @ su / len(u) - prior * (p.T @ sp) / len(p)
+    if risk(w, p, u, prior)[1] < 0:
+        return -second
+    return second - prior * (p.T @ (1 - sp)) / len(p)
+
+
+def _descend(slope, size: int, steps: int) -> np.ndarray:
+    w, m, v = np.zeros(size), np.zeros(size), np.zeros(size)
     for t in range(1, steps + 1):
-        fp, fu = p @ w, u @ w
-        negative = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
-        g_neg = u.T @ sig(fu) / len(u) - prior * (p.T @ sig(fp)) / len(p)
-        g = -g_neg if negative < 0 else g_neg - prior * (p.T @ sig(-fp)) / len(p)
-        g = g + DECAY * w
+        g = slope(w) + DECAY * w
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         w -= RATE * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
-    return w * scale
+    return w
+
+
+def estimate_prior(p: np.ndarray, u: np.ndarray, steps: int = 200) -> float:
+    """Share of positives among the unlabelled texts, from scaled statistics of both."""
+    half = lambda x: (x[0::2], x[1::2])
+    (p1, p2), (u1, u2) = half(p), half(u)
+    if not len(p2) or not len(u2):
+        return 0.5
+    w = _descend(lambda w: u1.T @ _sigmoid(u1 @ w) / len(u1) - p1.T @ (1 - _sigmoid(p1 @ w)) / len(p1), p.shape[1], steps)
+    sp, su = np.sort(p2 @ w), np.sort(u2 @ w)
+    above_p = 1 - np.arange(len(sp)) / len(sp)
+    above_u = 1 - np.searchsorted(su, sp) / len(su)
+    chance = np.sqrt(np.log(4 / 0.1) / 2) * (1 / np.sqrt(len(sp)) + 1 / np.sqrt(len(su)))
+    at = np.argmin((above_u + chance) / above_p)
+    return float(min(0.99, max(0.01, above_u[at] / above_p[at])))
+
+
+def fit(pos: np.ndarray, unl: np.ndarray, prior: float | None = None, steps: int = STEPS) -> np.ndarray:
+    """Weights, the scale of each statistic folded in. `prior` None: estimated."""
+    if not len(pos) or not len(unl):
+        return np.zeros(N_FEATURES)
+    scale = 1 / np.maximum(1e-3, np.sqrt((unl.astype(np.float64) ** 2).mean(axis=0)))
+    p, u = pos * scale, unl * scale
+    prior = estimate_prior(p, u) if prior is None else prior
+    return _descend(lambda w: gradient(w, p, u, prior), N_FEATURES, steps) * scale
 
 
 def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> np.ndarray:
-    taught = labels.filter(F.col("doc_id").isNotNull() & F.col("quality").isNotNull() & (remainder(5) != 0)).groupBy("doc_id").agg(F.max("quality").alias("q"))
-    n, ones = taught.agg(F.count(F.lit(1)), F.coalesce(F.sum((F.col("q") == 1).cast("int")), F.lit(0))).first()
-    prior = min(0.99, max(0.01, ones / n)) if n else 0.5
+    taught = labels.filter(F.col("doc_id").isNotNull() & (F.col("quality") == 1) & (remainder(5) != 0)).select("doc_id").distinct()
     h = F.xxhash64(F.lit(7), F.col("doc_id"))
-    positives = taught.filter("q = 1").select("doc_id", F.lit(1).alias("taught")).orderBy(h, "doc_id").limit(sample)
+    positives = taught.select("doc_id", F.lit(1).alias("taught")).orderBy(h, "doc_id").limit(sample)
     h = F.xxhash64(F.lit(8), F.col("doc_id"))
-    others = docs.filter(F.col("doc_id").isNotNull() & (remainder(5) != 0)).select("doc_id", F.lit(0).alias("taught")).orderBy(h, "doc_id").limit(sample)
-    rows = docs.select("doc_id", "text").join(F.broadcast(positives.unionByName(others.distinct())), "doc_id")
+    others = docs.filter(F.col("doc_id").isNotNull() & (remainder(5) != 0)).select("doc_id").distinct().select("doc_id", F.lit(0).alias("taught")).orderBy(h, "doc_id").limit(sample)
+    chosen = F.broadcast(positives.unionByName(others))
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(chosen, "doc_id")
+    # one row of each id, however often it stands in the table
+    longest = F.max(F.struct(F.length("text").alias("n"), "text")).alias("x")
+    rows = rows.groupBy("doc_id", "taught").agg(longest).select("doc_id", "taught", "x.text")
 
     def run(batches):
         for b in batches:
-            yield {"taught": b["taught"], "x": [features(t).tobytes() for t in b["text"]]}
+            yield {"doc_id": b["doc_id"], "taught": b["taught"], "x": [features(t).tobytes() for t in b["text"]]}
 
-    got = map_rows(rows.select("taught", "text"), "taught int, x binary", run).collect()
-    sides = [sorted(bytes(r["x"]) for r in got if r["taught"] == k)[: 4 * sample] for k in (1, 0)]
+    got = sorted(map_rows(rows, "doc_id long, taught int, x binary", run).collect(), key=lambda r: r["doc_id"] * 2654435761 % 4294967296)
+    sides = [[bytes(r["x"]) for r in got if r["taught"] == k] for k in (1, 0)]
     pos, unl = (np.frombuffer(b"".join(s), dtype=np.float32).reshape(-1, N_FEATURES) for s in sides)
-    return fit(pos, unl, prior)
+    return fit(pos, unl)
 
 
 def scores(texts: list[str | None], w: np.ndarray) -> list[float]:

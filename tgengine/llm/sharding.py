@@ -27,6 +27,8 @@ SHARDS = 16
 SEED = 20_011
 BUCKET_BYTES = 32 << 20
 PARTS = 8
+#: Copy numbers made from one row at a time.
+SPAN = 1 << 16
 SAME = ["_s_key", "_s_size", "_s_crc", "_s_row"]
 
 
@@ -75,7 +77,12 @@ def write(docs: DataFrame, path: str, shards: int = SHARDS, seed: int = SEED, bu
 
     often = (F.col("copies") > 1) & (F.col("copies") * F.col("bytes") * PARTS > bucket_bytes)
     hot = stored(same.filter(often).select(*SAME, "copies"))  # at most PARTS for each bucket
-    first = dealt(same.withColumn("copy", F.explode(F.when(often, F.sequence(F.lit(1), F.col("copies"))).otherwise(F.array(F.lit(1).cast("long"))))).withColumn("n", F.when(often, 1).otherwise(F.col("copies"))))
+    # copy numbers in two steps, so that no row holds an array as long as a count
+    span = F.sequence(F.lit(0).cast("long"), F.when(often, F.floor((F.col("copies") - 1) / SPAN)).otherwise(F.lit(0)).cast("long"))
+    spread = same.withColumn("span", F.explode(span))
+    ends = F.when(often, F.least(F.col("copies"), (F.col("span") + 1) * SPAN)).otherwise(F.lit(1)).cast("long")
+    first = spread.withColumn("copy", F.explode(F.sequence(F.col("span") * SPAN + 1, ends)))
+    first = dealt(first.withColumn("n", F.when(often, 1).otherwise(F.col("copies"))))
     first = first.groupBy("bucket").agg(F.sum("n").alias("n")).withColumn("shard", F.floor(F.col("bucket") / buckets).cast("int"))
     before = Window.partitionBy("shard").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     first = stored(first.select("bucket", "shard", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first_slot")))
