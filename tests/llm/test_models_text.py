@@ -51,6 +51,35 @@ def test_extraction_reads_what_holds_the_article(outer):
     assert html_extract.main_text("<form>" * 3000 + LONG) in ("", t)
 
 
+def test_extraction_keeps_text_whose_class_only_sounds_like_furniture():
+    page = f"<body><article><h1>Head</h1><p class='entry-header'>{LONG}</p><p class=share-price>{LONG}2</p><div class='share-buttons'>Tweet</div><div class='related-posts'>More</div></article></body>"
+    assert html_extract.main_text(page) == f"Head\n{LONG.strip()}\n{LONG}2"
+    two = f"<body><article><h1>Head</h1><p>{LONG * 4}</p></article><article><p>Teaser</p></article><article><p>Other teaser</p></article></body>"
+    assert html_extract.main_text(two) == f"Head\n{(LONG * 4).strip()}"
+
+
+def test_extraction_by_regions_alone(spark):
+    """With the marks renamed and all names taken away, regions and the elements that hold them still find the article."""
+    import html
+
+    equal = n = 0
+    for r in read(spark, "/root/testdata/sf0.01", "pages").collect():
+        body = r.html[r.html.index("<article>") + 9 :].partition("</article>")[0]
+        blocks = (re.sub(r"\s+", " ", html.unescape(re.sub("<[^>]*>", "", b))).strip() for b in re.split(r"</?(?:p|h1|br)>", body))
+        bare = re.sub(r"\s(?:class|id|role)=(\"[^\"]*\"|'[^']*')", "", r.html.replace("<article>", "<div>").replace("</article>", "</div>"))
+        equal += html_extract.main_text(bare) == "\n".join(b for b in blocks if b)
+        n += 1
+    assert equal >= 0.9 * n
+
+
+def test_extraction_is_linear_in_nesting():
+    import time
+
+    t = time.perf_counter()
+    html_extract.main_text("<div>" * 60_000 + "</p>" * 20_000 + LONG)
+    assert time.perf_counter() - t < 5
+
+
 def test_extraction_of_all_pages(spark, sf_dir):
     import html
 
