@@ -345,17 +345,65 @@ def test_license_spans(spark):
     mit = license_scan.TEMPLATES["MIT"]
     text = "Some words first. " + mit.replace("free of charge", "free of any charge").replace("sublicense, ", "") + " Tail. Released under the MIT License."
     found = license_scan.scan(text, license_scan.Index(license_scan.TEMPLATES))
-    assert [f["license"] for f in found] == ["MIT", "MIT-notice"]
+    assert [f["license"] for f in found] == ["MIT", "MIT-line"]
     w = license_scan.words(text)
     assert w[found[0]["first_word"]] == "permission" and found[0]["first_word"] == 3 and w[found[0]["end_word"]] == "tail" and found[0]["coverage"] > 0.97
-    out = {r.doc_id: r for r in license_scan.report(edges(spark)).collect()}
+    out = {r.doc_id: r for r in license_scan.report(edges(spark, "license spans n_spans")).collect()}
     assert len(out) == len({e[0] for e in EDGES}) and all(r.n_spans == 0 for r in out.values())
     assert license_scan.report(edges(spark).limit(0)).count() == 0
 
 
-@pytest.mark.parametrize("extra", ["", "n_words score"])
+def test_families_and_versions_are_told_apart():
+    index = license_scan.Index(license_scan.TEMPLATES)
+    for name, text in license_scan.TEMPLATES.items():
+        assert [f["license"] for f in license_scan.scan(f"Code by us. {text} End of it.", index)] == [name]
+    old = license_scan.TEMPLATES["LGPL-notice"].replace("version 3", "version 2.1")
+    assert [(f["license"], f["version"]) for f in license_scan.scan(old, index)] == [("LGPL-notice", "2.1")]
+    assert [(f["license"], f["version"]) for f in license_scan.scan("Licensed under the Apache License, Version 2.0.", index)] == [("Apache-line", "2.0")]
+
+
+def test_license_alignment_by_force():
+    import random
+
+    r = random.Random(5)
+    index = license_scan.Index(license_scan.TEMPLATES)
+    found = asked = 0
+    for name in ("MIT", "BSD-2-Clause", "Zlib", "Apache-notice", "GPL-notice", "ISC"):
+        t = license_scan.words(license_scan.TEMPLATES[name])
+        for _ in range(10):
+            w = list(t)
+            for _ in range(len(t) // 12):
+                at = r.randrange(len(w))
+                w[at : at + r.randrange(2)] = [f"zz{r.randrange(99)}"] * r.randrange(2)
+            doc = [f"f{r.randrange(500)}" for _ in range(200)] + w + [f"f{r.randrange(500)}" for _ in range(50)]
+            best = common_in_order(t, doc)
+            if best < license_scan.COVERAGE * len(t):
+                continue
+            asked += 1
+            hit = [f for f in license_scan.scan(" ".join(doc), index) if f["license"] == name]
+            found += bool(hit)
+            assert not hit or (hit[0]["matched"] == best and 200 <= hit[0]["first_word"] and hit[0]["end_word"] <= 200 + len(w))
+    assert asked > 40 and found >= 0.95 * asked
+
+
+def test_whole_licenses_from_a_table(spark):
+    import glob
+    import os
+
+    files = [f for f in glob.glob("/usr/share/common-licenses/*") if os.path.isfile(f) and not os.path.islink(f)]
+    whole = {os.path.basename(f): open(f, encoding="utf-8", errors="replace").read() for f in files} or license_scan.TEMPLATES
+    table = spark.createDataFrame(list(whole.items()), "name string, text string")
+    docs = spark.createDataFrame([(i, f"Preface of mine. {t} And an end.") for i, t in enumerate(whole.values())], "doc_id long, text string")
+    out = {r.doc_id: r for r in license_scan.report(docs, table).collect()}
+    for i, name in enumerate(whole):
+        assert name in out[i].licenses.split(",") and out[i].best_coverage > 0.99
+    with pytest.raises(ValueError):
+        license_scan.read_templates(spark.createDataFrame([("x", "y" * 1000)] * 40_000, "name string, text string"))
+
+
+@pytest.mark.parametrize("extra", ["", "n_words score row key"])
 def test_pipeline_bears_edges(spark, sf_dir, extra):
-    docs = edges(spark, extra)
+    docs = edges(spark, extra).selectExpr("*", "doc_id as `a``b`")
     names = docs.columns
     for name, stage in corpus_pipeline.STAGES[:-1]:
         docs = stage(spark, docs, sf_dir)
