@@ -45,10 +45,32 @@ STAGES = [
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _done(spark: SparkSession, path: str) -> bool:
+    """Whether a stage was written to its end."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)
+
+
+def stages(spark: SparkSession, sf_dir: str, folder: str | None = None) -> list[tuple[str, DataFrame]]:
+    """Name and rows of the documents and of each stage but the last, as written. With `folder`, a run that was stopped goes on after the last stage written there."""
+    base = folder or f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = read(spark, sf_dir, "documents")
-    for _, stage in STAGES[:-1]:
-        path = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
-    return STAGES[-1][1](spark, docs, sf_dir)
+    out = [("documents", docs)]
+    for i, (name, stage) in enumerate(STAGES[:-1]):
+        path = f"{base}/stage-{i}"
+        if not (folder and _done(spark, path)):
+            stage(spark, docs, sf_dir).write.mode("overwrite").parquet(path)
+        docs = spark.read.schema(docs.schema).parquet(path)
+        out.append((name, docs))
+    return out
+
+
+def run(spark: SparkSession, sf_dir: str, folder: str | None = None) -> DataFrame:
+    return STAGES[-1][1](spark, stages(spark, sf_dir, folder)[-1][1], sf_dir)
+
+
+def dropped(spark: SparkSession, sf_dir: str, folder: str | None = None) -> DataFrame:
+    """stage, rows_in, rows_out of each stage that drops rows."""
+    made = stages(spark, sf_dir, folder)
+    counts = [d.count() for _, d in made]
+    return spark.createDataFrame([(n, a, b) for (n, _), a, b in zip(made[1:], counts, counts[1:])], "stage string, rows_in long, rows_out long")
