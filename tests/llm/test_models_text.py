@@ -411,10 +411,17 @@ def test_pipeline_bears_edges(spark, sf_dir, extra):
     assert corpus_pipeline.STAGES[-1][1](spark, docs, sf_dir).count() == docs.count() > 0
 
 
-def test_pipeline_on_documents(spark, sf_dir):
+def test_pipeline_on_documents(spark, sf_dir, tmp_path, monkeypatch):
     docs = read(spark, sf_dir, "documents")
-    rows = corpus_pipeline.run(spark, sf_dir).collect()
+    folder = str(tmp_path / "run")
+    rows = corpus_pipeline.run(spark, sf_dir, folder).collect()
     text = {r.doc_id: r.text for r in docs.collect()}
     assert len({r.doc_id for r in rows}) == len(rows) and 0 < len(rows) < len(text)
     assert all(r.decoded == text[r.doc_id].replace("▁", " ") for r in rows)
     assert len({text[r.doc_id] for r in rows}) == len(rows)
+    # a second run takes what the first has written
+    monkeypatch.setattr(corpus_pipeline, "STAGES", [(n, None) for n, _ in corpus_pipeline.STAGES[:-1]] + corpus_pipeline.STAGES[-1:])
+    counts = corpus_pipeline.dropped(spark, sf_dir, folder).collect()
+    assert [r.stage for r in counts] == [n for n, _ in corpus_pipeline.STAGES[:-1]]
+    assert counts[0].rows_in == docs.count() and counts[-1].rows_out == len(rows)
+    assert all(a.rows_out == b.rows_in for a, b in zip(counts, counts[1:]))
