@@ -212,20 +212,21 @@ def test_codec_equals_the_library(spark, sf_dir, library):
     assert sentencepiece_codec.digests(docs.limit(0)).count() == 0
 
 
-def test_chunks_are_segmented_once_each(spark, library, monkeypatch):
-    texts = spark.createDataFrame([("a b a",), ("b  c\n\n d",), (" ▁▁a b▁",), ("",), ("   ",), ("a b a",)], "text string")
-    table = {r.chunk: r for r in sentencepiece_codec.chunk_table(texts, sentencepiece_codec.default_model()).collect()}
-    assert len(table) == sentencepiece_codec.chunk_table(texts, sentencepiece_codec.default_model()).count()
-    for t in ("a b a", "b  c\n\n d", " ▁▁a b▁", "", "   "):
-        ids, n, decoded = sentencepiece_codec.put_together(sentencepiece_codec.chunks(t), {c: (r.ids, r.odd) for c, r in table.items()}, {})
-        want = library.encode(t)
-        assert (ids, n, decoded) == (",".join(map(str, want)), len(want), library.decode(want))
-    assert table["a"].c == 4
-    # rows of a text with many copies take another way to the same result
-    docs = spark.createDataFrame([(i, "hot text") for i in range(30)] + [(99, "other"), (98, None)], "doc_id long, text string")
-    want = sorted(map(str, sentencepiece_codec.digests(docs).collect()))
-    monkeypatch.setattr(sentencepiece_codec, "COPIES", 10)
-    assert sorted(map(str, sentencepiece_codec.digests(docs).collect())) == want and len(want) == 32
+def test_chunks_are_segmented_once_each(spark, library):
+    texts = [("a b a",), ("b  c\n\n d",), (" ▁▁a b▁",), ("",), ("   ",), ("a b a",), ("c c",)]
+    model = sentencepiece_codec.default_model()
+    counted = Counter(x for (t,) in texts for x in sentencepiece_codec.chunks(t))
+    df = spark.createDataFrame(texts, "text string")
+    assert {r.chunk: r.c for r in sentencepiece_codec.chunk_counts(df).collect()} == counted
+    table = sentencepiece_codec.chunk_table(df, model)
+    assert set(table) == {c for c, n in counted.items() if n > 1}
+    assert set(sentencepiece_codec.chunk_table(df, model, 2)) < set(table)
+    for size in (1000, 2):  # a table that is emptied all the time gives the same
+        own = sentencepiece_codec.OwnTable(model, table, size)
+        for (t,) in texts:
+            c = sentencepiece_codec.chunks(t)
+            want = library.encode(t)
+            assert sentencepiece_codec.put_together(c, table, own.learn([c])) == (",".join(map(str, want)), len(want), library.decode(want))
 
 
 DOC_WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")

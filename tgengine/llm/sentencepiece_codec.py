@@ -1,16 +1,16 @@
 """SentencePiece encoding and decoding through a table of distinct chunks.
 
 No piece of the vocabulary joins a letter to a following word marker, so no merge crosses the start of a marked word: a
-text's ids are those of its marked words, one after another. The corpus's distinct marked words are counted and written as
-one table; the library segments each of them once. The most frequent ones (`HEAD` at most, none longer than `LONGEST`
-characters, so that their size is bounded) travel to the tasks; the others are joined to the texts that hold them by shuffle,
-once per text. Each distinct text is then put together from its chunks by position, and its rows take the result.
+text's ids are those of its marked words, one after another. The corpus's distinct marked words are counted; the most frequent
+ones (`HEAD` at most, none longer than `LONGEST` characters, so that their size is bounded) are one table for all tasks, in which
+the library has segmented each once. The rare others stay with the task that meets them: it keeps a table of its own for them
+(`OWN` entries at most, emptied when full) and segments each new one. Results are put together by position. Joining the rare
+ones by shuffle instead moves more than the texts themselves (figures in the README).
 
 A vocabulary that breaks the condition is refused, and so is a normaliser that changes what it should leave alone: besides the
 word marks, the library must read a probe of awkward characters as they stand.
 
-Null and empty texts have no ids and decode to the empty text. Row order, repeats and other columns do not matter; equal
-texts are coded once.
+Null and empty texts have no ids and decode to the empty text. Row order, repeats and other columns do not matter.
 """
 
 from __future__ import annotations
@@ -28,9 +28,8 @@ HEAD = 200_000
 LONGEST = 64
 #: Distinct chunks that a task collects before it hands on their counts.
 FLUSH = 250_000
-#: Texts with more rows than this are joined by broadcast: at most one of so many rows can be such a text.
-COPIES = 10_000
-MAX_BROADCAST = 1_000_000
+#: Rare chunks that a task keeps.
+OWN = 200_000
 #: What a normaliser might change: full-width and composed letters, ligatures, blanks of other kinds, controls.
 PROBE = "Ａ é e\u0301 ﬁ ² Ⅳ … \u00a0 \u3000 \u200b \t \n x"
 MARK = "▁"
@@ -76,8 +75,8 @@ def segment(m, new: list[str]) -> list[tuple[str, str | None]]:
     return [(str(m.piece_to_id(MARK)), None) if c == "" else o for c, o in zip(new, out)]
 
 
-def chunk_table(texts: DataFrame, model: str) -> DataFrame:
-    """chunk, c (occurrences), ids (as text), odd (its decoding, where it differs): every distinct chunk, segmented once."""
+def chunk_counts(texts: DataFrame) -> DataFrame:
+    """chunk, c (occurrences) of every distinct chunk."""
 
     def count(batches):
         seen: Counter = Counter()
@@ -89,19 +88,19 @@ def chunk_table(texts: DataFrame, model: str) -> DataFrame:
                 seen = Counter()
         yield {"chunk": list(seen), "c": list(seen.values())}
 
+    return map_rows(texts.select("text"), "chunk string, c long", count).groupBy("chunk").agg(F.sum("c").alias("c"))
+
+
+def chunk_table(texts: DataFrame, model: str, head: int = HEAD) -> dict[str, tuple[str, str | None]]:
+    """chunk -> (ids as text, its decoding where that differs) of the chunks whose count reaches the least bound that at most `head` short chunks reach; bounds are powers of two, so few."""
+
     def code(batches):
         m = library(model)
         for b in batches:
             made = segment(m, b["chunk"])
             yield b | {"ids": [x[0] for x in made], "odd": [x[1] for x in made]}
 
-    counted = map_rows(texts.select("text"), "chunk string, c long", count).groupBy("chunk").agg(F.sum("c").alias("c"))
-    return stored(map_rows(counted, "chunk string, c long, ids string, odd string", code, 4096))
-
-
-def most_frequent(table: DataFrame, head: int) -> dict[str, tuple[str, str | None]]:
-    """The chunks whose count reaches the least bound that at most `head` short chunks reach; bounds are powers of two, so few."""
-    short = table.filter(F.length("chunk") <= LONGEST)
+    short = stored(chunk_counts(texts).filter((F.length("chunk") <= LONGEST) & (F.col("c") > 1)))
     low = F.expr("shiftleft(1L, cast(floor(log2(c)) as int))")
     held, least = 0, None
     for r in sorted(short.groupBy(low.alias("low")).count().collect(), reverse=True):
@@ -111,7 +110,25 @@ def most_frequent(table: DataFrame, head: int) -> dict[str, tuple[str, str | Non
         least = r["low"]
     if least is None:
         return {}
-    return {r["chunk"]: (r["ids"], r["odd"]) for r in short.filter(F.col("c") >= least).select("chunk", "ids", "odd").collect()}
+    chosen = short.filter(F.col("c") >= least).select("chunk")
+    return {r["chunk"]: (r["ids"], r["odd"]) for r in map_rows(chosen, "chunk string, ids string, odd string", code, 4096).collect()}
+
+
+class OwnTable:
+    """The rare chunks that one task has met."""
+
+    def __init__(self, model: str, known: dict, size: int | None = None):
+        self.model, self.known, self.size = library(model), known, OWN if size is None else size
+        self.held: dict[str, tuple[str, str | None]] = {}
+
+    def learn(self, texts: list[list[str]]) -> dict:
+        met = set().union(*texts).difference(self.known)
+        new = met.difference(self.held)
+        if len(self.held) + len(new) > self.size:
+            self.held, new = {}, met
+        new = list(new)
+        self.held.update(zip(new, segment(self.model, new)))
+        return self.held
 
 
 def put_together(text_chunks: list[str], known: dict, others: dict) -> tuple[str, int, str]:
@@ -124,39 +141,17 @@ def put_together(text_chunks: list[str], known: dict, others: dict) -> tuple[str
 
 def coded(docs: DataFrame, model: str, schema: str, row, head: int = HEAD) -> DataFrame:
     """doc_id and the columns that `row(ids as text, number, decoded)` gives, for every row."""
-    spark = docs.sparkSession
-    rows = docs.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("key"), F.coalesce("text", F.lit("")).alias("text"))
-    texts = stored(rows.groupBy("key").agg(F.first("text").alias("text"), F.count(F.lit(1)).alias("copies")))
-    table = chunk_table(texts, model)
-    sent = spark.sparkContext.broadcast(most_frequent(table, head))
-
-    def rare(batches):
-        known = sent.value
-        for b in batches:
-            pairs = [(k, c) for k, t in zip(b["key"], b["text"]) for c in set(chunks(t)).difference(known)]
-            yield {"key": [p[0] for p in pairs], "chunk": [p[1] for p in pairs]}
+    sent = docs.sparkSession.sparkContext.broadcast(chunk_table(docs, model, head))
 
-    others = map_rows(texts.select("key", "text"), "key string, chunk string", rare).join(table.drop("c"), "chunk")
-    others = others.groupBy("key").agg(F.collect_list(F.struct("chunk", "ids", "odd")).alias("others"))
-
-    def last(batches):
-        known = sent.value
+    def run(batches):
+        table = OwnTable(model, sent.value)
         for b in batches:
-            made = []
-            for t, o in zip(b["text"], b["others"]):
-                made.append(row(*put_together(chunks(t), known, {x["chunk"]: (x["ids"], x["odd"]) for x in o or ()})))
-            yield {"key": b["key"]} | {k: [m[k] for m in made] for k in (made[0] if made else {})}
-
-    whole = texts.join(others, "key", "left")
-    done = stored(map_rows(whole.select("key", "text", "others"), f"key string, {schema}", last))
-    often = stored(texts.filter(F.col("copies") > COPIES).select("key"))
-    if often.limit(1).count() and often.count() <= MAX_BROADCAST:
-        # the rows of a text with very many copies stay where they are
-        hot = F.broadcast(often)
-        few = rows.join(hot, "key", "left_anti").select("doc_id", "key").join(done.join(hot, "key", "left_anti"), "key")
-        many = rows.select("doc_id", "key").join(F.broadcast(done.join(hot, "key", "left_semi")), "key")
-        return few.unionByName(many).drop("key")
-    return rows.select("doc_id", "key").join(done, "key").drop("key")
+            split = [chunks(t or "") for t in b["text"]]
+            others = table.learn(split)
+            made = [row(*put_together(c, sent.value, others)) for c in split]
+            yield {"doc_id": b["doc_id"]} | {k: [m[k] for m in made] for k in (made[0] if made else {})}
+
+    return map_rows(docs.select("doc_id", "text"), f"doc_id long, {schema}", run)
 
 
 def _sha(x: str) -> str:
