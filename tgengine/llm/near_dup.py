@@ -32,6 +32,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import remove
 from .common import map_rows, quoted, read, stored
 
 K = 5
@@ -41,9 +42,9 @@ LEAST = 0.8
 FLOOR = 0.45
 SMALL = 12
 BAND = 48
-PIVOTS = 4
+PIVOTS = 8
 #: Rounds of pivots before the rest of a large bucket is compared pair by pair.
-ROUNDS = 2
+ROUNDS = 1
 #: Members of a large bucket that share a salt where they meet its pivots.
 SALTED = 4096
 #: Members of a block where a bucket's pairs are compared one by one.
@@ -373,7 +374,16 @@ def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
             keep = [i for i, v in enumerate(s) if v >= LEAST]
             yield {"a": [x["a"][i] for i in keep], "b": [x["b"][i] for i in keep], "similarity": [s[i] for i in keep]}
 
-    return stored(map_rows(sides, "a binary, b binary, similarity double", run, 64))
+    found = stored(map_rows(sides, "a binary, b binary, similarity double", run, 64))
+    _drop(pairs, texts)
+    return found
+
+
+def _drop(*tables: DataFrame) -> None:
+    """Removes stored tables that nothing reads any more."""
+    for t in tables:
+        for path in {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
+            remove(t.sparkSession, path)
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -386,8 +396,10 @@ def components(links: DataFrame) -> DataFrame:
         jump = label.select(F.col("key").alias("next"), F.col("label").alias("over"))
         new = stored(step.join(jump, "next", "left").select("key", F.least("next", F.coalesce("over", "next")).alias("label"), "was"))
         moved = new.filter("label <> was").limit(1).count()
+        _drop(label)
         label = new.drop("was")
         if not moved:
+            _drop(edges)
             return label
 
 
@@ -430,7 +442,9 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
         more = more.filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
         if turn == ROUNDS:
             more = more.filter(_once("x", "y"))
-        done = stored(done.unionByName(verified(more.select(*_pairs("x", "y")), docs)))
+        more = verified(more.select(*_pairs("x", "y")), docs)
+        before, done = done, stored(done.unionByName(more))
+        _drop(before, more, named, label)
     return done
 
 
