@@ -333,3 +333,16 @@ def test_training_resumes(spark, sf_dir, tmp_path):
     w, again = train.fit(g, job(2), str(tmp_path / "run"))
     assert all(np.allclose(w[k], whole[k], atol=1e-12) for k in w) and [c["epoch"] for c in again] == [0, 1]
     assert abs(again[-1]["test_mae"] - curve[-1]["test_mae"]) < 1e-10
+
+
+def test_stored_tables_leave_no_shuffles(spark):
+    from tgengine.storage import CLEANUP, stored
+
+    before = spark.conf.get(CLEANUP, None)
+    blocks = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses()
+    held = set(spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(blocks).keySet())
+    rows = spark.range(1000).selectExpr("id % 7 as k").groupBy("k").count()
+    assert stored(rows).count() == 7
+    new = set(spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(blocks).keySet()) - held
+    assert len(new) <= 1  # count() of the table has a shuffle of its own
+    assert spark.conf.get(CLEANUP, None) == before

@@ -47,11 +47,27 @@ def fresh(spark: SparkSession, kind: str = "stored") -> str:
     return f"{shared_dir(spark)}/{kind}-{uuid.uuid4().hex}"
 
 
+#: Drops a query's shuffle files once it has ended; a setting of the running session.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Queries that end inside leave no shuffle files behind, instead of keeping them until the driver collects its garbage."""
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
+
+
 def stored(df: DataFrame) -> DataFrame:
-    """`df` written to the shared folder and read again: cuts lineage, survives lost executors."""
+    """`df` written to the shared folder and read again: cuts lineage, survives lost executors. The files of its shuffles go once it is written."""
     spark = df.sparkSession
     path = fresh(spark)
     if _open:
         _open[-1].append(path)
-    df.write.parquet(path)
+    with shuffles_dropped(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
