@@ -332,6 +332,20 @@ def test_repeated_and_reordered_copies_are_near_duplicates(spark):
     assert sorted(r.doc_id for r in near_dup.keep_one(table).collect()) == [*range(0, 320, 4), 900]
 
 
+def test_cells_lose_no_pair(spark, monkeypatch):
+    """All texts share a passage and so large buckets, in which each class of three must find itself, whatever the cells' size."""
+    passage = [f"p{i}" for i in range(120)]
+    rows = [(3 * k + j, " ".join(passage + [f"k{k}w{i}" if i % 40 != 7 * j or not j else f"k{k}j{j}w{i}" for i in range(100)])) for k in range(16) for j in range(3)]
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    want = {(3 * k + j, 3 * k, 3) for k in range(16) for j in range(3)}
+    monkeypatch.setattr(near_dup, "SMALL", 1)
+    monkeypatch.setattr(near_dup, "PIVOTS", 1)
+    for block, strip in ((5, 9), (1 << 16, 1 << 16)):
+        monkeypatch.setattr(near_dup, "BLOCK", block)
+        monkeypatch.setattr(near_dup, "STRIP", strip)
+        assert {(r.doc_id, r.class_id, r.class_size) for r in near_dup.classes(table).collect()} == want
+
+
 def test_alignment():
     a = [f"w{i}" for i in range(60)]
     b = a[:20] + ["x", "y"] + a[21:50] + a[52:]

@@ -47,8 +47,9 @@ PIVOTS = 8
 ROUNDS = 1
 #: Members of a large bucket that share a salt where they meet its pivots.
 SALTED = 4096
-#: Members of a block where a bucket's pairs are compared one by one.
-BLOCK = 1 << 16
+#: Where a bucket's pairs are compared one by one, its members are dealt to blocks of `BLOCK`, and the unsettled ones to strips
+#: of `STRIP`; a block and a strip meet in one task, whatever the size of the bucket.
+BLOCK, STRIP = 2048, 1 << 14
 #: One-bit minimum hashes: `ROWS` hash functions of 32 bins each, four 64-bit values in all. At a similarity of `FLOOR` 70 of
 #: the 256 bits differ, 106 with five standard deviations (3 pairs in ten million are lost); texts of fewer than `SHORT`
 #: k-mers leave bins empty and aren't filtered.
@@ -420,15 +421,16 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
     salts = F.ceil(F.col("size") / SALTED).cast("int")
     members = members.withColumn("salt", F.pmod(F.xxhash64("node.key", F.lit(3)), salts).cast("int"))
     every = F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt")
-    # in the last round all pairs of the rest meet: a bucket's members are dealt to as many blocks as it holds so many of them
-    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
+    # in the last round all pairs of the rest meet, in cells of a block and a strip; two unsettled members meet once
+    blocks, strips = (F.ceil(F.col("size") / n).cast("int") for n in (BLOCK, STRIP))
+    cell, parts = ("bucket", "block", "strip"), int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     for turn in range(ROUNDS + 1):
         label = components(done)
         named = members.withColumn("key", F.col("node.key")).join(label, "key", "left").select("bucket", "i", "size", "salt", "node", F.coalesce("label", "key").alias("label"))
         named = stored(named)
         # the component with most members in the bucket is settled; all others are compared
         main = named.groupBy("bucket", "size", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket", "size").agg(F.max(F.struct("n", "label")).alias("m")).select("bucket", F.col("m.label").alias("main"), every)
-        rest = named.join(main, ["bucket", "salt"]).filter("label <> main").select("bucket", "i", "size", "salt", F.col("node").alias("x"), F.col("label").alias("lx"))
+        rest = named.join(main, ["bucket", "salt"]).filter("label <> main").select("bucket", "i", "size", "salt", "main", F.col("node").alias("x"), F.col("label").alias("lx"))
         others = named.select("bucket", "size", F.col("node").alias("y"), F.col("label").alias("ly"))
         if turn < ROUNDS:
             draws = [F.min(F.struct(F.xxhash64("y.key", F.lit(turn * PIVOTS + p)).alias("h"), "y", "ly")).alias(f"p{p}") for p in range(PIVOTS)]
@@ -436,9 +438,11 @@ def links(docs: DataFrame, found: DataFrame) -> DataFrame:
             drawn = drawn.select("bucket", "size", F.explode(F.array(*[F.struct(f"p{p}.y", f"p{p}.ly") for p in range(PIVOTS)])).alias("p")).select("bucket", "p.y", "p.ly", every)
             more = rest.join(drawn, ["bucket", "salt"])
         else:
+            rest = rest.withColumn("strip", F.pmod(F.xxhash64("x.key", F.lit(6)), strips).cast("int"))
             rest = rest.withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("size", "salt")
-            others = others.select("bucket", "y", "ly", F.pmod(F.xxhash64("y.key", F.lit(4)), blocks).cast("int").alias("block"))
-            more = rest.join(others, ["bucket", "block"])
+            others = others.withColumn("block", F.pmod(F.xxhash64("y.key", F.lit(4)), blocks).cast("int"))
+            others = others.withColumn("strip", F.explode(F.sequence(F.lit(0), strips - 1))).drop("size")
+            more = rest.repartition(parts, *cell).join(others.repartition(parts, *cell), list(cell)).filter("ly = main or x.key < y.key")
         more = more.filter("lx <> ly").filter(_likely("x", "y")).filter(_alike("x", "y"))
         if turn == ROUNDS:
             more = more.filter(_once("x", "y"))
