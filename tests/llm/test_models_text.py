@@ -439,3 +439,17 @@ def test_pipeline_on_documents(spark, sf_dir, tmp_path, monkeypatch):
     assert [r.stage for r in counts] == [n for n, _ in corpus_pipeline.STAGES[:-1]]
     assert counts[0].rows_in == docs.count() and counts[-1].rows_out == len(rows)
     assert all(a.rows_out == b.rows_in for a, b in zip(counts, counts[1:]))
+
+
+def test_links_of_a_large_group_are_closed_without_joining_them_all(spark, monkeypatch):
+    name = lambda i: i.to_bytes(4, "big")
+    clique = [(i, j) for i in range(60) for j in range(i + 1, 60)]
+    chain = [(1000 + i, 1001 + i) for i in range(30)]
+    pairs = [(2000 + 2 * i, 2001 + 2 * i) for i in range(5)]
+    links = near_dup.stored(spark.createDataFrame([(bytearray(name(a)), bytearray(name(b))) for a, b in clique + chain + pairs], "a binary, b binary").repartition(7))
+    want = {name(k): name(k // 1000 * 1000 if k < 2000 else k // 2 * 2) for p in clique + chain + pairs for k in p}
+    for closed in (near_dup.CLOSED, 300, 10, 1):
+        monkeypatch.setattr(near_dup, "CLOSED", closed)
+        assert {bytes(r["key"]): bytes(r["label"]) for r in near_dup.components(links).collect()} == want
+    assert near_dup._stars(links, 1).count() == 59 + 30 + 5
+    assert near_dup.components(links.limit(0)).count() == 0
