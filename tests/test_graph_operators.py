@@ -346,3 +346,14 @@ def test_stored_tables_leave_no_shuffles(spark):
     new = set(spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(blocks).keySet()) - held
     assert len(new) <= 1  # count() of the table has a shuffle of its own
     assert spark.conf.get(CLEANUP, None) == before
+
+
+def test_rows_by_snapshot_are_counted_without_spreading_them(spark):
+    held = [(1, 0, 3), (1, 2, 5), (2, 4, 5), (2, 4, 4)]
+    got = {(r.k, r.t): r.rows for r in temporal.by_snapshot(spark.createDataFrame(held, "k int, valid_from int, valid_to int"), "k").collect()}
+    assert got == {(1, 0): 1, (1, 1): 1, (1, 2): 2, (1, 3): 1, (1, 4): 1, (2, 4): 1}
+
+
+@pytest.mark.parametrize("name", "cache_hits_by_policy".split())
+def test_query_reads_a_given_table(spark, sf_dir, name):
+    assert catalogue.queries()[name](spark, sf_dir).inputFiles()
