@@ -354,6 +354,13 @@ def test_rows_by_snapshot_are_counted_without_spreading_them(spark):
     assert got == {(1, 0): 1, (1, 1): 1, (1, 2): 2, (1, 3): 1, (1, 4): 1, (2, 4): 1}
 
 
+def test_jobs_that_agree_share_their_samples(spark, sf_dir, monkeypatch):
+    drawn = []
+    monkeypatch.setattr(train, "samples", lambda g, j, f=train.samples: drawn.append(j) or f(g, j))
+    rows = catalogue.queries()["train_cache_capacity"](spark, sf_dir).collect()
+    assert len(rows) == 7 and len({r.test_mae for r in rows}) == 1 and len(drawn) == 1
+
+
 @pytest.mark.parametrize("name", "cache_hits_by_policy cache_order_compare cache_scores_formula cache_scores_exact cache_trace cache_upper_counts memory_model order_seq_first order_node_first place_balance_by_sequence place_balance_by_snapshot place_overlap_copies".split())
 def test_query_reads_a_given_table(spark, sf_dir, name):
     assert catalogue.queries()[name](spark, sf_dir).inputFiles()
