@@ -89,3 +89,13 @@ def test_steps_stream_their_samples(spark, sf_dir, scheme):
     p = plan_of(made.parts(models.init("stk_conv_lstm", 2, 4), 0, 0, True))
     assert "MapInArrow" in p and "FlatMapGroupsIn" not in p
     made.close()
+
+
+def test_blocks_lie_on_machines_of_their_own(spark, sf_dir):
+    from pyspark.sql import functions as F
+
+    g, job = graphs.handoff(spark, sf_dir), train.Job(model="stk_conv_lstm", hidden=4, chunks=1, batches=1, machines=2)
+    made = train.Block(train.samples(g, job), job, g)
+    held = made.placed.select("block", F.spark_partition_id().alias("p")).distinct().collect()
+    assert len(held) == len({r.p for r in held}) == 2
+    made.close()
