@@ -99,3 +99,19 @@ def test_blocks_lie_on_machines_of_their_own(spark, sf_dir):
     held = made.placed.select("block", F.spark_partition_id().alias("p")).distinct().collect()
     assert len(held) == len({r.p for r in held}) == 2
     made.close()
+
+
+def test_graphs_are_made_once_for_all_that_read_them(spark, sf_dir, monkeypatch):
+    from tgengine.operators import batches as mini
+
+    seen, khop = [], mini.khop
+
+    def watched(graph, *args, **kwargs):
+        seen.append(graph)
+        return khop(graph, *args, **kwargs)
+
+    monkeypatch.setattr(mini, "khop", watched)
+    catalogue.queries()["forward_stk_skip_lstm"](spark, sf_dir)
+    train.fit(graphs.handoff(spark, sf_dir), train.Job(model="stk_conv_lstm", scheme="node_part", hidden=2, chunks=1, batches=1, epochs=0))
+    assert len(seen) == 2
+    assert all("events" not in f for g in seen for df in (g.edges, g.feats) for f in df.inputFiles())
