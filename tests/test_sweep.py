@@ -115,3 +115,33 @@ def test_graphs_are_made_once_for_all_that_read_them(spark, sf_dir, monkeypatch)
     train.fit(graphs.handoff(spark, sf_dir), train.Job(model="stk_conv_lstm", scheme="node_part", hidden=2, chunks=1, batches=1, epochs=0))
     assert len(seen) == 2
     assert all("events" not in f for g in seen for df in (g.edges, g.feats) for f in df.inputFiles())
+
+
+@pytest.mark.parametrize("name", ["int_conv_gru", "int_conv_lstm"])
+@pytest.mark.parametrize("part", ["enc", "dec"])
+def test_handed_on_states_are_swept_in_pieces(monkeypatch, name, part):
+    monkeypatch.setattr(sweep, "ROWS", 5)
+    edges, work = sweep.Shelf(), sweep.Shelf()
+    s, n = sweep.shelved(batches(6, 13, 40), LANES, SCALE, edges, None, "lookahead")
+    r = np.random.default_rng(3)
+    w = {k: v + 0.2 * r.normal(size=v.shape) for k, v in models.init(name, 2, 4).items()}
+    pairs = lambda: [tuple(r.normal(size=(13, 4)) for _ in "hc") for _ in range(2)]
+    state, up = pairs(), pairs()
+    gru = lambda pairs: [(h.copy(), None if "gru" in name else c.copy()) for h, c in pairs]
+    for back in (None, up):
+        came, grads, loss = models.run_piece(name, s, part, [1, 2, 3], w, state, reuse.NONE, back, 2 * n)
+        got, mine, own = sweep.piece(name, s, part, [1, 2, 3], w, gru(state), reuse.NONE, work, back and gru(back), 2 * n)
+        assert np.isclose(loss, own) and set(mine) == set(grads)
+        assert all(np.allclose(a[0], b[0]) and ("gru" in name or np.allclose(a[1], b[1])) for a, b in zip(came, got))
+        assert all(np.allclose(mine[k], grads[k]) for k in grads)
+    edges.close()
+
+
+def test_sequence_partitioning_moves_packed_vectors(spark, sf_dir):
+    g, job = graphs.handoff(spark, sf_dir), train.Job(model="stk_conv_lstm", scheme="seq_part", hidden=4, chunks=1, batches=1)
+    made = train.SeqPart(train.samples(g, job), job, g)
+    loose, packed = made.s.rows.filter("kind = 'f'"), made.rows.filter("kind = 'f'")
+    assert packed.count() == packed.select("block", "batch_id", "t").distinct().count() < loose.count() / 5
+    one = train.loose(made.rows.filter("block = 0 and t = 3").toPandas(), made.s.lanes)
+    key = lambda pdf: sorted(map(tuple, pdf[pdf["kind"] == "f"][["t", "a", "b", "n", *made.s.lanes]].to_numpy().tolist()))
+    assert key(one) == key(made.s.rows.filter("block = 0 and t = 3").toPandas())
