@@ -145,3 +145,14 @@ def test_sequence_partitioning_moves_packed_vectors(spark, sf_dir):
     one = train.loose(made.rows.filter("block = 0 and t = 3").toPandas(), made.s.lanes)
     key = lambda pdf: sorted(map(tuple, pdf[pdf["kind"] == "f"][["t", "a", "b", "n", *made.s.lanes]].to_numpy().tolist()))
     assert key(one) == key(made.s.rows.filter("block = 0 and t = 3").toPandas())
+
+
+def test_timed_aggregations_read_a_made_graph(spark, sf_dir, monkeypatch):
+    from tgengine.operators import aggregate, measures
+
+    seen = []
+    monkeypatch.setattr(aggregate, "scratch", lambda g: seen.append(g) or g.edges)
+    monkeypatch.setattr(aggregate, "incremental", lambda g: seen.append(g) or g.edges)
+    monkeypatch.setattr(measures, "epoch_time", lambda run: float(bool(run.__defaults__[0](run.__defaults__[1]))))
+    assert catalogue.queries()["aggregation_times"](spark, sf_dir).count() == 4
+    assert len(seen) == 4 and not any("lineitem" in f or "orders" in f for g in seen for f in g.edges.inputFiles())
