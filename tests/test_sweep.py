@@ -156,3 +156,27 @@ def test_timed_aggregations_read_a_made_graph(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(measures, "epoch_time", lambda run: float(bool(run.__defaults__[0](run.__defaults__[1]))))
     assert catalogue.queries()["aggregation_times"](spark, sf_dir).count() == 4
     assert len(seen) == 4 and not any("lineitem" in f or "orders" in f for g in seen for f in g.edges.inputFiles())
+
+
+def test_rows_of_a_sample_are_squeezed(spark, sf_dir):
+    r = np.random.default_rng(5)
+    src, dst = r.integers(-3, 90_000, 1 << 14) * 7, r.integers(0, 90_000, 1 << 14) * 7
+    row = sweep.put_edges(src, dst)
+    assert len(row) < 16 * len(src) / 4
+    order = np.lexsort((src, dst))
+    assert all(np.array_equal(a, b[order]) for a, b in zip(sweep.edge_ends(row, None), (src, dst)))
+    assert all(np.array_equal(a, b) for a, b in zip(sweep.edge_ends(src.tobytes(), dst.tobytes()), (src, dst)))
+    assert not any(len(x) for x in sweep.edge_ends(sweep.put_edges(src[:0], dst[:0]), None))
+    s = train.samples(graphs.handoff(spark, sf_dir), train.Job(hidden=2, chunks=1))
+    few = train.bundled(s.rows, ["block", "batch_id"], s.lanes)
+    key = ["block", "batch_id", "t"]
+    assert few.filter("kind = 'f'").count() < s.rows.filter("kind = 'f'").count() / 5
+    assert few.columns == s.rows.columns and few.filter("kind = 'e' and dst is not null").isEmpty()
+    for block, batch in ((0, 0), (1, 1)):
+        whole = s.rows.filter(f"block = {block} and batch_id = {batch}").toPandas()
+        want, nodes, n = train.unpack(whole, s.lanes, s.scale, train.Job())
+        table = train.in_order(few.filter(f"block = {block} and batch_id = {batch}").coalesce(1), key[:2]).toArrow()
+        got, m = sweep.shelved(iter(table.to_batches()), s.lanes, s.scale, sweep.Shelf(), None, "lookahead")
+        assert n == m and np.array_equal(want.targets, got.targets) and sorted(want.graphs) == sorted(got.graphs)
+        for t, g in want.graphs.items():
+            assert np.array_equal(want.feats[t], got.feats[t]) and np.array_equal(g.src, got.graphs[t].src) and np.array_equal(g.dst, got.graphs[t].dst)
