@@ -180,3 +180,15 @@ def test_rows_of_a_sample_are_squeezed(spark, sf_dir):
         assert n == m and np.array_equal(want.targets, got.targets) and sorted(want.graphs) == sorted(got.graphs)
         for t, g in want.graphs.items():
             assert np.array_equal(want.feats[t], got.feats[t]) and np.array_equal(g.src, got.graphs[t].src) and np.array_equal(g.dst, got.graphs[t].dst)
+
+
+@pytest.mark.parametrize("scheme", ["node_part"])
+def test_steps_shuffle_bundled_features(spark, sf_dir, scheme, monkeypatch):
+    seen, in_order = [], train.in_order
+    monkeypatch.setattr(train, "in_order", lambda rows, keys: seen.append(rows) or in_order(rows, keys))
+    job = train.Job(model="stk_conv_lstm", scheme=scheme, hidden=2, chunks=1, batches=1)
+    g = graphs.handoff(spark, sf_dir)
+    made = train.KINDS[scheme](train.samples(g, job), job, g)
+    made.parts(models.init("stk_conv_lstm", 2, 2), 0, 0, True)
+    assert len(seen) == 1 and seen[0].filter("kind = 'f'").filter("src is null").isEmpty()
+    made.close()
