@@ -182,7 +182,7 @@ def test_rows_of_a_sample_are_squeezed(spark, sf_dir):
             assert np.array_equal(want.feats[t], got.feats[t]) and np.array_equal(g.src, got.graphs[t].src) and np.array_equal(g.dst, got.graphs[t].dst)
 
 
-@pytest.mark.parametrize("scheme", ["node_part"])
+@pytest.mark.parametrize("scheme", ["node_part", "block"])
 def test_steps_shuffle_bundled_features(spark, sf_dir, scheme, monkeypatch):
     seen, in_order = [], train.in_order
     monkeypatch.setattr(train, "in_order", lambda rows, keys: seen.append(rows) or in_order(rows, keys))
