@@ -192,3 +192,40 @@ def test_steps_shuffle_bundled_features(spark, sf_dir, scheme, monkeypatch):
     made.parts(models.init("stk_conv_lstm", 2, 2), 0, 0, True)
     assert len(seen) == 1 and seen[0].filter("kind = 'f'").filter("src is null").isEmpty()
     made.close()
+
+
+@pytest.mark.parametrize("name", ["int_conv_gru", "int_conv_lstm", "stk_conv_lstm", "stk_skip_lstm"])
+def test_cells_on_arrays_are_those_of_the_tape(name):
+    from tgengine.nn import cells, tape
+
+    r, m = np.random.default_rng(11), reuse.MODELS[name]
+    w = {k: v + 0.3 * r.normal(size=v.shape) for k, v in models.init(name, 2, 4).items() if k.startswith("enc1.")}
+    ax, ah, across, h, c, gh, gc = (3 * r.normal(size=(9, 4)) for _ in range(7))
+    stacked, skip, lstm = m.kind == "stacked", name == "stk_skip_lstm", m.gates == 4
+    ins = ax, None if stacked else ah, across if skip else None, h, c if lstm else None
+    v, p = [None if x is None else tape.Var(x) for x in ins], {k: tape.Var(x) for k, x in w.items()}
+    if stacked:
+        u = tape.relu(v[0] @ p["enc1.conv"])
+        want = models._lstm([tape.beside(u, v[2]) if skip else u] * 4, [v[3]] * 4, v[4], p, "enc1")
+    else:
+        want = models._lstm([v[0]] * 4, [v[1]] * 4, v[4], p, "enc1") if lstm else (models._gru([v[0]] * 3, [v[1]] * 3, v[3], p, "enc1"), None)
+    tape.backward(tape.total([tape.dot(x, g) for x, g in zip(want, (gh, gc)) if x is not None]))
+    cell = cells.Cell(name, "enc1", w)
+    assert all(x is None or np.allclose(x.value, y) for x, y in zip(want, cell.forward(*ins)))
+    for x, y in zip(v, cell.backward(ins, gh, gc if lstm else None)):
+        assert x is None or x.grad is None or np.allclose(x.grad, y)
+    mine = cell.weights()
+    assert set(mine) == set(p) and all(np.allclose(p[k].grad, mine[k]) for k in p)
+
+
+def test_fits_run_abreast_on_one_placement(spark, sf_dir, monkeypatch):
+    from tgengine.storage import CLEANUP
+
+    placed, place, before = [], train.place, spark.conf.get(CLEANUP, None)
+    monkeypatch.setattr(train, "place", lambda s, job: placed.append(place(s, job)) or placed[-1])
+    jobs = [train.Job(model=m, hidden=2, length=3, chunks=1, batches=1, epochs=1) for m in ("stk_conv_lstm", "stk_skip_lstm")]
+    g = graphs.handoff(spark, sf_dir)
+    curve = lambda made: [(job.model, [{k: v for k, v in c.items() if k != "seconds"} for c in cs]) for job, _, cs in made]
+    assert curve(train.fit_all(g, jobs, 2)) == curve(train.fit_all(g, jobs))
+    assert len(placed) == 2 and not any(x.is_cached for x in placed)
+    assert spark.conf.get(CLEANUP, None) == before
