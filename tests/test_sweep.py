@@ -229,3 +229,18 @@ def test_fits_run_abreast_on_one_placement(spark, sf_dir, monkeypatch):
     assert curve(train.fit_all(g, jobs, 2)) == curve(train.fit_all(g, jobs))
     assert len(placed) == 2 and not any(x.is_cached for x in placed)
     assert spark.conf.get(CLEANUP, None) == before
+
+
+def test_edges_of_a_target_lie_together(spark, sf_dir):
+    from tgengine.operators import aggregate
+    from tgengine.operators.temporal import coded
+
+    g = graphs.trade(spark, sf_dir)
+    near, plain = aggregate.by_target(g), coded(g)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(near.edges) == rows(plain.edges) and rows(near.feats) == rows(plain.feats)
+    for f in (aggregate.scratch, aggregate.incremental):
+        assert rows(f(near)) == rows(f(plain))
+    by = near.edges.selectExpr("dst", "input_file_name() as f").distinct()
+    assert by.count() == by.select("dst").distinct().count()
+    assert "SortMergeJoin" not in near.edges.join(near.feats, near.edges.src == near.feats.node)._jdf.queryExecution().toString()
